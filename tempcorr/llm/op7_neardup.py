@@ -7,8 +7,9 @@ This finds every pair under the distance threshold. Pairs are confirmed on the f
 
 Equal sets are one class, and only classes are compared. A bucket is not turned into all its pairs: its members are
 first compared with one centre, the member that meets most others over all its buckets. Buckets whose members are then in
-one component are done; of the others only pairs of different components are left, taken by centres again, and at last
-all those that remain and are near by their signatures. So no link that could join two components is lost.
+one component are done; of the others only pairs of different components are left, taken by centres again. Of what remains,
+members of one group (those whose best centre is the same) are compared in tiles of two blocks, on their full sets, and
+members of different groups pair by pair. So no link that could join two components is lost.
 
 Defined results: null text, empty text or text of white space has an empty set, links with nothing and is kept; repeated
 rows are in one class; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored.
@@ -22,11 +23,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tempcorr.llm.anchors import BYTE_HASHES, Rolling, WordPlaces, zipped
-from tempcorr.llm.common import keyed, mix, text_bytes, unpacked, written
+from tempcorr.llm.common import keyed, mix, partitions, text_bytes, unpacked, written
 from tempcorr.llm.components import components
 
 SYMBOLS, CHUNKS, MOST_DIFFERENT = 64, 13, 25
 SHINGLE, SIMILAR = 3, 85
+#: Members of a group's block; a tile has two blocks.
+BLOCK = 128
 LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 FACTORS = mix(np.arange(1, SYMBOLS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 BOUNDS = [round(i * SYMBOLS / CHUNKS) for i in range(CHUNKS + 1)]
@@ -111,20 +114,25 @@ def near(pairs: DataFrame, classes: DataFrame) -> DataFrame:
     return both.select("a", "b", "siga", "sigb").mapInArrow(run, "a long, b long")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, size: int, similar: int, name: str) -> DataFrame:
-    """Those of the pairs that are similar on their full sets. Sets are made anew for the documents that have a pair."""
-    pairs = written(pairs, f"{name}-pairs")
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+def full_sets(docs: DataFrame, ids: DataFrame, size: int, name: str) -> DataFrame:
+    """(doc_id, items): the full sets of the given documents, made anew from their texts."""
 
     def sets(batches):
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingles(unpacked(t), size).tobytes() if t is not None else b"" for t in b.column(1).to_pylist()], pa.binary())], ["doc_id", "items"])
 
-    found = written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(sets, "doc_id long, items binary"), f"{name}-sets")
+    return written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(sets, "doc_id long, items binary"), f"{name}-sets")
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame, size: int, similar: int, name: str) -> DataFrame:
+    """Those of the pairs that are similar on their full sets."""
+    pairs = written(pairs, f"{name}-pairs")
+    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    found = full_sets(docs, ids, size, name)
     both = pairs.join(found.toDF("b", "y"), "b").join(found.toDF("a", "x"), "a").select("a", "b", "x", "y")
 
     def run(batches):
-        for t in batches:
+        for t in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
             keep = []
             for x, y in zip(t.column(2).to_pylist(), t.column(3).to_pylist(), strict=True):
                 x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
@@ -135,6 +143,75 @@ def confirmed(pairs: DataFrame, docs: DataFrame, size: int, similar: int, name:
     return written(both.mapInArrow(run, "a long, b long"), f"{name}-links")
 
 
+def common_items(sets: list[np.ndarray]) -> np.ndarray:
+    """The sizes of all intersections, by products of slices of the membership matrix."""
+    owner = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    _, item, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = times[item] > 1
+    owner, item = owner[shared], np.unique(item[shared], return_inverse=True)[1]
+    order = np.argsort(item, kind="stable")
+    owner, item = owner[order], item[order]
+    out = np.zeros((len(sets), len(sets)), np.float32)
+    for low in range(0, int(item[-1]) + 1 if len(item) else 0, 4096):
+        a, b = np.searchsorted(item, [low, low + 4096])
+        m = np.zeros((len(sets), 4096), np.float32)
+        m[owner[a:b], item[a:b] - low] = 1
+        out += m @ m.T
+    return out
+
+
+def tile_links(rows, similar: int):
+    """Links between members of a tile that join its components: as many as it takes, not all."""
+    sets = [np.frombuffer(r["items"], np.uint64) for r in rows]
+    size = np.array([len(x) for x in sets])
+    common = common_items(sets)
+    linked = np.triu(100 * common >= similar * (size[:, None] + size - common), 1)
+    up = {r["label"]: r["label"] for r in rows}
+
+    def root(x):
+        while up[x] != x:
+            up[x] = x = up[up[x]]
+        return x
+
+    for i, j in zip(*(x.tolist() for x in np.nonzero(linked)), strict=True):
+        x, y = root(rows[i]["label"]), root(rows[j]["label"])
+        if x != y:
+            up[x] = y
+            yield min(rows[i]["rep"], rows[j]["rep"]), max(rows[i]["rep"], rows[j]["rep"])
+
+
+def within_groups(members: DataFrame, docs: DataFrame, size: int, similar: int, name: str) -> DataFrame:
+    """Links between members (rep, grp, label) of one group: every pair of its blocks of about BLOCK is a tile of its own.
+
+    A tile has the full sets of two blocks; it gives links, never pairs. However large a group, no task has more.
+    """
+    members = written(members, f"{name}-members")
+    sizes = members.groupBy("grp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").drop("low", "high")
+    dealt = members.join(sizes, "grp").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    dealt = dealt.join(full_sets(docs, members.select(F.col("rep").alias("doc_id")).distinct(), size, name).toDF("rep", "items"), "rep")
+    tile = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi"))))
+    dealt = dealt.select("grp", tile.alias("tile"), "rep", "label", "items").select("grp", "tile.lo", "tile.hi", "rep", "label", "items")
+
+    def run(batches):
+        def out(rows):
+            got = list(tile_links(rows, similar)) if len({r["label"] for r in rows}) > 1 else []
+            if got:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*got, strict=True)], ["a", "b"])
+
+        held = []
+        for b in (b.slice(i, 256) for b in batches for i in range(0, b.num_rows, 256)):
+            for row in b.to_pylist():
+                if held and any(row[c] != held[-1][c] for c in ("grp", "lo", "hi")):
+                    yield from out(held)
+                    held = []
+                held.append(row)
+        if held:
+            yield from out(held)
+
+    keys = ["grp", "lo", "hi"]
+    return written(dealt.repartition(partitions(docs.sparkSession), *keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long"), f"{name}-links")
+
+
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every document."""
     docs = keyed(docs)
@@ -146,7 +223,9 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
     weight = met.groupBy("rep").agg(F.sum("n").alias("weight"))
     met = met.drop("n")
     centre = F.max_by("rep", F.struct("weight", -F.col("rep")))
-    first = met.join(weight, "rep").groupBy("key").agg(centre.alias("c"))
+    first = written(met.join(weight, "rep").groupBy("key").agg(centre.alias("c"), F.max("weight").alias("cw")), "op7-centres")
+    group = met.join(first, "key").groupBy("rep").agg(F.max_by("c", F.struct("cw", -F.col("c"))).alias("grp"))
+    first = first.drop("cw")
     pairs = met.join(first, "key").where("rep <> c").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
     links = confirmed(near(pairs, classes), docs, size, similar, "op7-0")
     labels = components(links, "op7-0")
@@ -163,12 +242,15 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
             best = centres.groupBy("key").agg(F.max_by(F.struct("c", "label"), F.struct("n", -F.col("c"))).alias("m")).select("key", "m.c", F.col("m.label").alias("own"))
             again = left.join(best, "key").where("label <> own").select("rep", "c")
         else:
-            one, two = left.toDF("key", "rep", "x"), left.toDF("key", "c", "y")
-            again = one.join(two, "key").where("x < y").select("rep", "c")
+            marked = written(left.join(group, "rep"), "op7-groups")
+            inner = within_groups(marked.select("rep", "grp", "label").distinct(), docs, size, similar, "op7-tiles")
+            links = links.unionByName(inner)
+            several = marked.groupBy("key").agg(F.min("grp").alias("low"), F.max("grp").alias("high")).where("low < high").select("key")
+            marked = marked.join(several, "key").select("key", "rep", "label", "grp")
+            one, two = marked.toDF("key", "rep", "x", "g"), marked.toDF("key", "c", "y", "h")
+            again = one.join(two, "key").where("x < y and g <> h").select("rep", "c")
         again = again.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
         more = confirmed(near(again, classes), docs, size, similar, f"op7-{turn}")
-        if more.isEmpty():
-            continue
         links = links.unionByName(more)
         labels = components(links, f"op7-{turn}")
     joined = classes.join(labels.toDF("rep", "component"), "rep", "left").select("s1", "s2", "n_shingles", F.coalesce("component", "rep").alias("component"))
