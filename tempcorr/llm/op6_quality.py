@@ -41,8 +41,12 @@ def repeated_words(words: Column) -> Column:
     return hashes
 
 
-def _covered(hashes: Column) -> Column:
-    pairs = F.sort_array(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+def _sorted(hashes: Column) -> Column:
+    return F.sort_array(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
+
+
+def _again(pairs: Column) -> Column:
+    """pairs must be a column of its own: an expression would be evaluated anew for every element."""
     size = F.size(pairs)
     again = F.filter(
         F.transform(pairs, lambda p, j: F.when(((j > 0) & (F.get(pairs, j - 1)["h"] == p["h"])) | ((j < size - 1) & (F.get(pairs, j + 1)["h"] == p["h"])), p["i"])),
@@ -67,7 +71,8 @@ def measured(docs: DataFrame) -> DataFrame:
     out = out.withColumn("words", words_of(F.col("text")))
     out = out.withColumn("lines", F.filter(F.split("text", "\n"), lambda x: x.rlike(WORD)))
     out = out.withColumn("hashes", repeated_words(F.col("words")))
-    out = out.withColumn("places", F.when(F.size(F.array_distinct("hashes")) < F.size("hashes"), _covered(F.col("hashes"))).otherwise(F.array().cast("array<int>")))
+    out = out.withColumn("pairs", F.when(F.size(F.array_distinct("hashes")) < F.size("hashes"), _sorted(F.col("hashes"))))
+    out = out.withColumn("places", _again(F.col("pairs")))
     return out.select(
         "doc_id",
         "lines",
