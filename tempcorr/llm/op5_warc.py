@@ -49,7 +49,7 @@ def records(pages: DataFrame, least: int = 1000) -> DataFrame:
         F.lit(f"WARC/1.1{CRLF}"),
         field("WARC-Type", F.when(again, "revisit").otherwise("response")),
         field("WARC-Record-ID", F.concat(F.lit(f"<{ID}"), page, F.lit(">"))),
-        field("WARC-Date", F.date_format(F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod("page_id", F.lit(1_000_000_000))), "yyyy-MM-dd'T'HH:mm:ss'Z'")),
+        field("WARC-Date", F.date_format(F.to_utc_timestamp(F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod("page_id", F.lit(1_000_000_000))), F.current_timezone()), "yyyy-MM-dd'T'HH:mm:ss'Z'")),
         field("WARC-Target-URI", url),
         field("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("digest"))),
         field("WARC-Profile", F.when(again, "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")),
