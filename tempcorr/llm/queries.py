@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from tempcorr.llm import op1_html, op2_packing, op3_suffix, op4_substring, op5_warc, op6_quality, op7_neardup, op8_scoring, op9_decontamination, op10_language
 from tempcorr.llm.common import documents
+from tempcorr.llm.oracles import ORACLES
 
 
 def html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -66,4 +67,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(ORACLES)
