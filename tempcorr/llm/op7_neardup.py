@@ -7,9 +7,9 @@ This finds every pair under the distance threshold. Pairs are confirmed on the f
 
 Equal sets are one class, and only classes are compared. A bucket is not turned into all its pairs: its members are
 first compared with one centre, the member that meets most others over all its buckets. Buckets whose members are then in
-one component are done; of the others only pairs of different components are left, taken by centres again. Of what remains,
-members of one group (those whose best centre is the same) are compared in tiles of two blocks, on their full sets, and
-members of different groups pair by pair. So no link that could join two components is lost.
+one component are done. In the others, members of one group (those whose best centre is the same) are compared in tiles of
+two blocks, on their full sets, and members of different groups pair by pair, in a bucket of more than a block in tiles
+again. So no link that could join two components is lost, and no step makes all pairs of a large group as rows.
 
 Defined results: null text, empty text or text of white space has an empty set, links with nothing and is kept; repeated
 rows are in one class; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored.
@@ -124,12 +124,9 @@ def full_sets(docs: DataFrame, ids: DataFrame, size: int, name: str) -> DataFram
     return written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(sets, "doc_id long, items binary"), f"{name}-sets")
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, size: int, similar: int, name: str) -> DataFrame:
-    """Those of the pairs that are similar on their full sets."""
-    pairs = written(pairs, f"{name}-pairs")
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    found = full_sets(docs, ids, size, name)
-    both = pairs.join(found.toDF("b", "y"), "b").join(found.toDF("a", "x"), "a").select("a", "b", "x", "y")
+def confirmed(pairs: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
+    """Those of the pairs that are similar on their full sets, which are rows (doc_id, items)."""
+    both = pairs.join(items.toDF("b", "y"), "b").join(items.toDF("a", "x"), "a").select("a", "b", "x", "y")
 
     def run(batches):
         for t in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
@@ -180,7 +177,25 @@ def tile_links(rows, similar: int):
             yield min(rows[i]["rep"], rows[j]["rep"]), max(rows[i]["rep"], rows[j]["rep"])
 
 
-def within_groups(members: DataFrame, docs: DataFrame, size: int, similar: int, name: str) -> DataFrame:
+def unresolved(left: DataFrame, classes: DataFrame, docs: DataFrame, size: int, similar: int) -> DataFrame:
+    """Links between the components that meet in buckets (key, rep, label, grp).
+
+    A group's members are compared in tiles. What a bucket has of several groups is compared pair by pair where it has
+    BLOCK members at most, so that a member meets no more than that; a larger bucket is a group of its own, in tiles too.
+    """
+    several = left.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("rep")).alias("h1"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("h2"), F.min("grp").alias("low"), F.max("grp").alias("high")).where("low < high")
+    several = written(several.groupBy("n", "h1", "h2").agg(F.min("key").alias("key")).select("key", "n"), "op7-several")  # equal buckets are one
+    own = left.select("rep", F.struct(F.lit(0).alias("kind"), F.col("grp").alias("id")).alias("grp"), "label")
+    large = left.join(several.where(F.col("n") > BLOCK), "key").select("rep", F.struct(F.lit(1).alias("kind"), F.col("key").alias("id")).alias("grp"), "label")
+    items = full_sets(docs, left.select(F.col("rep").alias("doc_id")).distinct(), size, "op7-1")
+    tiled = within_groups(own.unionByName(large).distinct(), items, similar, "op7-tiles")
+    small = left.join(several.where(F.col("n") <= BLOCK).select("key"), "key")
+    one, two = small.toDF("key", "rep", "x", "g"), small.toDF("key", "c", "y", "h")
+    pairs = one.join(two, "key").where("x < y and g <> h").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
+    return tiled.unionByName(confirmed(near(pairs, classes), items, similar, "op7-1"))
+
+
+def within_groups(members: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
     """Links between members (rep, grp, label) of one group: every pair of its blocks of about BLOCK is a tile of its own.
 
     A tile has the full sets of two blocks; it gives links, never pairs. However large a group, no task has more.
@@ -188,7 +203,7 @@ def within_groups(members: DataFrame, docs: DataFrame, size: int, similar: int,
     members = written(members, f"{name}-members")
     sizes = members.groupBy("grp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").drop("low", "high")
     dealt = members.join(sizes, "grp").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    dealt = dealt.join(full_sets(docs, members.select(F.col("rep").alias("doc_id")).distinct(), size, name).toDF("rep", "items"), "rep")
+    dealt = dealt.join(items.toDF("rep", "items"), "rep")
     tile = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi"))))
     dealt = dealt.select("grp", tile.alias("tile"), "rep", "label", "items").select("grp", "tile.lo", "tile.hi", "rep", "label", "items")
 
@@ -209,7 +224,7 @@ def within_groups(members: DataFrame, docs: DataFrame, size: int, similar: int,
             yield from out(held)
 
     keys = ["grp", "lo", "hi"]
-    return written(dealt.repartition(partitions(docs.sparkSession), *keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long"), f"{name}-links")
+    return written(dealt.repartition(partitions(items.sparkSession), *keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long"), f"{name}-links")
 
 
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR) -> DataFrame:
@@ -227,31 +242,18 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
     group = met.join(first, "key").groupBy("rep").agg(F.max_by("c", F.struct("cw", -F.col("c"))).alias("grp"))
     first = first.drop("cw")
     pairs = met.join(first, "key").where("rep <> c").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-    links = confirmed(near(pairs, classes), docs, size, similar, "op7-0")
+    pairs = written(near(pairs, classes), "op7-0-pairs")
+    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    links = confirmed(pairs, full_sets(docs, ids, size, "op7-0"), similar, "op7-0")
     labels = components(links, "op7-0")
-    for turn in (1, 2):
-        label = F.coalesce("component", "rep")
-        marked = met.join(labels.toDF("rep", "component"), "rep", "left").select("key", "rep", label.alias("label"))
-        open_keys = marked.groupBy("key").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("key")
-        left = written(marked.join(open_keys, "key"), f"op7-open{turn}")
-        if left.isEmpty():
-            break
-        if turn == 1:  # centres of the components of a bucket, against the members of others
-            weighted = left.join(weight, "rep")
-            centres = weighted.groupBy("key", "label").agg(centre.alias("c"), F.count("*").alias("n"))
-            best = centres.groupBy("key").agg(F.max_by(F.struct("c", "label"), F.struct("n", -F.col("c"))).alias("m")).select("key", "m.c", F.col("m.label").alias("own"))
-            again = left.join(best, "key").where("label <> own").select("rep", "c")
-        else:
-            marked = written(left.join(group, "rep"), "op7-groups")
-            inner = within_groups(marked.select("rep", "grp", "label").distinct(), docs, size, similar, "op7-tiles")
-            links = links.unionByName(inner)
-            several = marked.groupBy("key").agg(F.min("grp").alias("low"), F.max("grp").alias("high")).where("low < high").select("key")
-            marked = marked.join(several, "key").select("key", "rep", "label", "grp")
-            one, two = marked.toDF("key", "rep", "x", "g"), marked.toDF("key", "c", "y", "h")
-            again = one.join(two, "key").where("x < y and g <> h").select("rep", "c")
-        again = again.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-        more = confirmed(near(again, classes), docs, size, similar, f"op7-{turn}")
-        links = links.unionByName(more)
-        labels = components(links, f"op7-{turn}")
-    joined = classes.join(labels.toDF("rep", "component"), "rep", "left").select("s1", "s2", "n_shingles", F.coalesce("component", "rep").alias("component"))
+    marked = met.join(labels.toDF("rep", "component"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("label"))
+    open_keys = marked.groupBy("key").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("key")
+    left = written(marked.join(open_keys, "key").join(group, "rep"), "op7-open")
+    more = unresolved(left, classes, docs, size, similar)
+    found = classes.join(labels.toDF("rep", "component"), "rep", "left").select("s1", "s2", "n_shingles", "rep", F.coalesce("component", "rep").alias("label"))
+    if not more.isEmpty():  # these links are between components: only their labels are joined anew
+        ends = found.select("rep", "label")
+        upper = components(more.join(ends.toDF("a", "x"), "a").join(ends.toDF("b", "y"), "b").select(F.col("x").alias("a"), F.col("y").alias("b")), "op7-1")
+        found = found.join(upper.toDF("label", "component"), "label", "left").select("s1", "s2", "n_shingles", F.coalesce("component", "label").alias("label"))
+    joined = found.select("s1", "s2", "n_shingles", F.col("label").alias("component"))
     return sets.join(joined, ["s1", "s2", "n_shingles"], "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), (F.coalesce("component", "doc_id") == F.col("doc_id")).alias("kept"))
