@@ -1,8 +1,12 @@
 """Scores by masked pseudo-likelihood: a bidirectional window network, trained in numpy over all documents.
 
 Every word is predicted from two words on either side. The words before and after have embeddings of their own for each
-place; their sum goes through tanh and a softmax in two steps, over 32 classes and over the 32 words of a class. The
-vocabulary comes from counts over all documents. In training one word in four of every document is masked; each part of
+place; their sum goes through tanh and a softmax in two steps, over classes and over the ids of a class.
+
+All words are counted, each by its own 64-bit hash, in a distributed table that is as long as the corpus has words. The
+most frequent words that make up COVER of all tokens have an id each, and the network is as large as that takes. Every
+other word shares an id; its probability is that of the id times its part of the id's count, which is joined to the
+documents from the table, so that the probabilities of all words of the corpus sum to one. In training one word in four of every document is masked; each part of
 the input trains a copy of the network, and the copies are averaged, weighted by their words, by a tree of tasks. Half of
 the documents are the first round, the others the second. At last every word of every document is predicted.
 
@@ -15,65 +19,144 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tempcorr.llm.anchors import BYTE_HASHES, Rolling, WordPlaces
 from tempcorr.llm.common import keyed, mix, text_bytes, written
 
-BUCKETS, CLASSES, SIDE = 1 << 16, 32, 2
-VOCABULARY, OWN = CLASSES * CLASSES, 768
+#: The part of all tokens whose words have an id of their own.
+COVER = 0.5
+CLASSES, SIDE = 32, 2
 SIZE, BATCH, RATE, MASKED, ROUNDS = 24, 4096, 0.15, 4, 2
 EDGE = 0
 FAN = 16
+#: Words whose counts a task adds up at once.
+HELD = 1 << 22
 OUT = "doc_id long, n_tokens long, log_prob double, mean_log_prob double"
 
 
-def buckets_of(text: bytes | None) -> np.ndarray:
-    """A 16-bit bucket for each word."""
+def hashes_of(text: bytes | None) -> np.ndarray:
+    """A 64-bit hash for each word."""
     places = WordPlaces(text or b"")
     if not len(places):
         return np.zeros(0, np.int64)
-    return (Rolling(BYTE_HASHES[places.raw]).at(places.starts, places.ends) >> np.uint64(48)).astype(np.int64)
+    return Rolling(BYTE_HASHES[places.raw]).at(places.starts, places.ends).view(np.int64)
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
-    """(bucket, n) over all words of all documents."""
+    """(word, n) over all words of all documents; a task adds up what it holds at HELD words."""
 
     def run(batches):
-        counts = np.zeros(BUCKETS, np.int64)
+        held, size = [], 0
+
+        def counted():
+            word, n = np.unique(np.concatenate(held), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(word), pa.array(n)], ["word", "n"])
+
         for b in batches:
             for text in text_bytes(b.column(1)):
-                got = buckets_of(text)
-                if len(got):
-                    np.add.at(counts, got, 1)
-        some = np.flatnonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(counts[some])], ["bucket", "n"])
+                held.append(hashes_of(text))
+                size += len(held[-1])
+                if size >= HELD:
+                    yield counted()
+                    held, size = [], 0
+        if size:
+            yield counted()
+
+    return docs.mapInArrow(run, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+
+
+class Vocabulary:
+    """Ids of words: 0 is a text's edge, then the frequent words' own, then those that other words share."""
+
+    def __init__(self, frequent: list[int]):
+        """frequent: hashes of the words with an id of their own, the most frequent first."""
+        self.classes = max(2, int(np.ceil(np.sqrt(1 + len(frequent) * 4 / 3))))
+        self.own = len(frequent)
+        self.shared = self.classes * self.classes - 1 - self.own
+        words = np.array(frequent, np.int64)
+        self.order = np.argsort(words)
+        self.words = words[self.order]
+
+    def __call__(self, words: np.ndarray) -> np.ndarray:
+        ids = (1 + self.own + mix(words.view(np.uint64)) % np.uint64(self.shared)).astype(np.int32)
+        if self.own:
+            at = np.minimum(np.searchsorted(self.words, words), self.own - 1)
+            ids = np.where(self.words[at] == words, (1 + self.order[at]).astype(np.int32), ids)
+        return ids
+
+    def is_shared(self, ids: np.ndarray) -> np.ndarray:
+        return ids > self.own
+
+
+def vocabulary(counts: DataFrame, cover: float = COVER) -> Vocabulary:
+    """As many of the most frequent words as it takes to cover the tokens."""
+    total, found = 0, []
+    steps = counts.groupBy("n").agg(F.count("*").alias("words")).withColumn("tokens", F.col("n") * F.col("words")).orderBy(F.desc("n")).collect()
+    every, least = sum(r["tokens"] for r in steps), None
+    for r in steps:
+        if total >= cover * every:
+            break
+        least, wanted = r["n"], -int(-(cover * every - total) // r["n"])
+        total += r["tokens"]
+    if least is not None:
+        found = [r["word"] for r in counts.where(F.col("n") > least).orderBy(F.desc("n"), "word").collect()]
+        found += [r["word"] for r in counts.where(F.col("n") == least).orderBy("word").limit(wanted).collect()]
+    return Vocabulary(found)
+
+
+def shares(counts: DataFrame, table: Vocabulary) -> DataFrame:
+    """(word, share): the log of every other word's part of the count of its id."""
 
-    return docs.mapInArrow(run, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
+    def run(batches):
+        for b in batches:
+            ids = table(b.column(0).to_numpy())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ids)], ["word", "n", "id"]).filter(pa.array(table.is_shared(ids)))
 
+    others = counts.mapInArrow(run, "word long, n long, id int")
+    totals = others.groupBy("id").agg(F.sum("n").alias("all"))
+    return others.join(F.broadcast(totals), "id").select("word", F.log(F.col("n") / F.col("all")).alias("share"))
 
-def vocabulary(docs: DataFrame) -> np.ndarray:
-    """The id of every bucket: its own for the most frequent, one of the rest by hash for others. Id 0 is a text's edge."""
-    ids = (1 + OWN + mix(np.arange(BUCKETS, dtype=np.uint64)) % np.uint64(VOCABULARY - OWN - 1)).astype(np.int32)
-    for i, r in enumerate(word_counts(docs).orderBy(F.desc("n"), "bucket").limit(OWN).collect()):
-        ids[r["bucket"]] = 1 + i
-    return ids
 
+def key_of() -> Column:
+    """Of a row: rows with one key have one text."""
+    return F.xxhash64("doc_id", "text")
 
-class Network:
-    """The window network; all its numbers in one array, so that copies can be averaged."""
 
-    SHAPES = ((2 * SIDE, VOCABULARY, SIZE), (SIZE,), (SIZE, CLASSES), (CLASSES,), (CLASSES, SIZE, CLASSES), (CLASSES, CLASSES))
+def within_ids(docs: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFrame:
+    """(key, found, within): words with a shared id, and the sum of their shares, over all rows of a key."""
+
+    def run(batches):
+        for b in batches:
+            keys, words, times = [], [], []
+            for key, text in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), strict=True):
+                h = hashes_of(text)
+                h, n = np.unique(h[table.is_shared(table(h))], return_counts=True)
+                if len(h):
+                    keys.append(np.full(len(h), key))
+                    words.append(h)
+                    times.append(n)
+            if keys:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(words)), pa.array(np.concatenate(times).astype(np.int32))], ["key", "word", "times"])
+
+    rows = docs.select(key_of().alias("key"), "text").mapInArrow(run, "key long, word long, times int")
+    return rows.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
+
+
+class Network:
+    """The window network; all its numbers in one array, so that copies can be averaged. It has classes * classes ids."""
 
-    def __init__(self, flat: np.ndarray | None = None):
-        sizes = [int(np.prod(s)) for s in self.SHAPES]
+    def __init__(self, flat: np.ndarray | None = None, classes: int = CLASSES):
+        self.classes = classes
+        shapes = ((2 * SIDE, classes * classes, SIZE), (SIZE,), (SIZE, classes), (classes,), (classes, SIZE, classes), (classes, classes))
+        sizes = [int(np.prod(s)) for s in shapes]
         if flat is None:
             rng = np.random.default_rng(1)
             flat = (rng.standard_normal(sum(sizes)) * 0.05).astype(np.float32)
         self.flat = flat
         cuts = np.cumsum([0, *sizes])
-        self.embed, self.shift, self.to_class, self.class_bias, self.to_word, self.word_bias = (flat[a:b].reshape(s) for a, b, s in zip(cuts[:-1], cuts[1:], self.SHAPES, strict=True))
+        self.embed, self.shift, self.to_class, self.class_bias, self.to_word, self.word_bias = (flat[a:b].reshape(s) for a, b, s in zip(cuts[:-1], cuts[1:], shapes, strict=True))
 
     def hidden(self, context: np.ndarray) -> np.ndarray:
         """context: for each predicted word the ids around it."""
@@ -90,35 +173,36 @@ class Network:
         return x - np.log(total), e / total
 
     def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
-        h, cls = self.hidden(context), target // CLASSES
+        h, cls = self.hidden(context), target // self.classes
         logs, _ = self._softmax(h @ self.to_class + self.class_bias)
         out = logs[np.arange(len(target)), cls].astype(np.float64)
         order = np.argsort(cls, kind="stable")
-        cuts = np.searchsorted(cls[order], np.arange(CLASSES + 1))
-        for c in range(CLASSES):
+        cuts = np.searchsorted(cls[order], np.arange(self.classes + 1))
+        for c in range(self.classes):
             at = order[cuts[c] : cuts[c + 1]]
             if len(at):
                 logs, _ = self._softmax(h[at] @ self.to_word[c] + self.word_bias[c])
-                out[at] += logs[np.arange(len(at)), target[at] % CLASSES]
+                out[at] += logs[np.arange(len(at)), target[at] % self.classes]
         return out
 
     def train(self, context: np.ndarray, target: np.ndarray, memory: np.ndarray) -> None:
         """One step with rates that fall as squared gradients add up."""
         n = len(target)
-        grad = Network(np.zeros_like(self.flat))
-        h, cls = self.hidden(context), target // CLASSES
+        grad = Network(np.zeros_like(self.flat), self.classes)
+        ids = self.classes * self.classes
+        h, cls = self.hidden(context), target // self.classes
         _, p = self._softmax(h @ self.to_class + self.class_bias)
         p[np.arange(n), cls] -= 1
         grad.to_class[:] = h.T @ p
         grad.class_bias[:] = p.sum(0)
         back = p @ self.to_class.T
         order = np.argsort(cls, kind="stable")
-        cuts = np.searchsorted(cls[order], np.arange(CLASSES + 1))
-        for c in range(CLASSES):
+        cuts = np.searchsorted(cls[order], np.arange(self.classes + 1))
+        for c in range(self.classes):
             at = order[cuts[c] : cuts[c + 1]]
             if len(at):
                 _, q = self._softmax(h[at] @ self.to_word[c] + self.word_bias[c])
-                q[np.arange(len(at)), target[at] % CLASSES] -= 1
+                q[np.arange(len(at)), target[at] % self.classes] -= 1
                 grad.to_word[c] = h[at].T @ q
                 grad.word_bias[c] = q.sum(0)
                 back[at] += q @ self.to_word[c].T
@@ -126,7 +210,7 @@ class Network:
         grad.shift[:] = back.sum(0)
         dims = np.arange(SIZE)
         for j in range(2 * SIDE):
-            grad.embed[j] = np.bincount((context[:, j, None] * SIZE + dims).ravel(), back.ravel(), VOCABULARY * SIZE).reshape(VOCABULARY, SIZE)
+            grad.embed[j] = np.bincount((context[:, j, None] * SIZE + dims).ravel(), back.ravel(), ids * SIZE).reshape(ids, SIZE)
         g = grad.flat / np.float32(n)
         memory += g * g
         self.flat -= np.float32(RATE) * g / np.sqrt(memory + np.float32(1e-8))
@@ -137,18 +221,18 @@ def around(ids: np.ndarray, at: np.ndarray) -> np.ndarray:
     return np.stack([ids[at + d] for d in (*range(-SIDE, 0), *range(1, SIDE + 1))], 1)
 
 
-def framed(text: bytes | None, table: np.ndarray) -> np.ndarray:
+def framed(text: bytes | None, table: Vocabulary) -> np.ndarray:
     edge = np.full(SIDE, EDGE, np.int32)
-    return np.concatenate([edge, table[buckets_of(text)], edge])
+    return np.concatenate([edge, table(hashes_of(text)), edge])
 
 
-def trained(docs: DataFrame, table: np.ndarray, start: Network | None, turn: int) -> Network:
+def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int) -> Network:
     """The average of the copies that the parts of the input have trained."""
-    begin = Network(None if start is None else start.flat.copy()).flat
+    begin = Network(None if start is None else start.flat.copy(), table.classes).flat
     part_docs = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(ROUNDS)) == turn)
 
     def run(batches):
-        net, memory = Network(begin.copy()), np.zeros(len(begin), np.float32)
+        net, memory = Network(begin.copy(), table.classes), np.zeros(len(begin), np.float32)
         contexts, targets, held, words = [], [], 0, 0
         part = TaskContext.get().partitionId()
         for b in batches:
@@ -172,7 +256,7 @@ def trained(docs: DataFrame, table: np.ndarray, start: Network | None, turn: int
     copies = written(part_docs.mapInArrow(run, "part int, words long, net binary"), f"op8-copies{turn}")
     highest = copies.agg(F.max("part").alias("m")).first()["m"]
     if highest is None:
-        return Network(begin)
+        return Network(begin, table.classes)
 
     def average(batches):
         by: dict[int, list] = {}
@@ -189,22 +273,24 @@ def trained(docs: DataFrame, table: np.ndarray, start: Network | None, turn: int
         copies = copies.withColumn("part", F.floor(F.col("part") / FAN).cast("int")).repartition(highest + 1, "part").mapInArrow(average, "part int, words long, net binary")
     got = copies.mapInArrow(average, "part int, words long, net binary").collect()
     total = sum(r["words"] for r in got)
-    return Network((sum(r["words"] / total * np.frombuffer(r["net"], np.float32).astype(np.float64) for r in got)).astype(np.float32))
+    return Network((sum(r["words"] / total * np.frombuffer(r["net"], np.float32).astype(np.float64) for r in got)).astype(np.float32), table.classes)
 
 
 def score(docs: DataFrame) -> DataFrame:
     """Rows of OUT: the sum and mean of every document's conditional log-probabilities."""
     docs = keyed(docs)
-    table = vocabulary(docs)
+    counts = written(word_counts(docs), "op8-counts")
+    table = vocabulary(counts)
     net = None
     for turn in range(ROUNDS):
         net = trained(docs, table, net, turn)
     flat = net.flat
 
     def run(batches):
-        net = Network(flat)
+        net = Network(flat, table.classes)
         for b in batches:
             ids = [framed(t, table) for t in text_bytes(b.column(1))]
+            others = np.array([table.is_shared(x).sum() for x in ids], np.int64)
             sizes = np.array([len(x) - 2 * SIDE for x in ids])
             sums, doc, held = np.zeros(len(ids)), [], []
 
@@ -224,7 +310,10 @@ def score(docs: DataFrame) -> DataFrame:
                         doc, held, waiting = [], [], 0
             if held:
                 flush(doc, held, sums)
-            means = [s / n if n else None for s, n in zip(sums.tolist(), sizes.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes.astype(np.int64)), pa.array(sums), pa.array(means, pa.float64())], ["doc_id", "n_tokens", "log_prob", "mean_log_prob"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(sizes.astype(np.int64)), pa.array(others), pa.array(sums)], ["doc_id", "key", "n_tokens", "others", "log_prob"])
 
-    return docs.mapInArrow(run, OUT)
+    scored = docs.select("doc_id", "text", key_of().alias("key")).mapInArrow(run, "doc_id long, key long, n_tokens long, others long, log_prob double")
+    both = scored.join(within_ids(docs, counts, table), "key", "left")
+    # equal rows have one key, under which their words are added up: each has its part
+    log_prob = F.col("log_prob") + F.when(F.col("others") > 0, F.col("within") * F.col("others") / F.col("found")).otherwise(F.lit(0.0))
+    return both.select("doc_id", "n_tokens", log_prob.alias("log_prob"), F.when(F.col("n_tokens") > 0, log_prob / F.col("n_tokens")).alias("mean_log_prob"))

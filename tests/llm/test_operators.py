@@ -373,6 +373,23 @@ def test_scoring_gradient():
     assert abs(total - 1) < 1e-4
 
 
+def test_scoring_knows_every_word(spark):
+    """The probabilities of all words in one place add up to no more than one, however many words share an id."""
+    rng = random.Random(8)
+    words = ["r%d" % i for i in range(6000)]
+    rows = [(i, w) for i, w in enumerate(words)] + [(10_000 + i, " ".join(rng.choices(words[:2000], k=100) + ["the"] * 150)) for i in range(100)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    counts = op8_scoring.word_counts(docs)
+    assert counts.count() == 6001 and counts.agg(F.sum("n")).first()[0] == 6000 + 25_000
+    table = op8_scoring.vocabulary(counts, 0.7)
+    assert 100 < table.own < 2001 < table.classes**2 * 2 and op8_scoring.vocabulary(counts, 0.8).own > table.own
+    found = {r["doc_id"]: r["log_prob"] for r in op8_scoring.score(docs).where("doc_id < 10000").collect()}
+    assert len(found) == 6000 and 0.5 < sum(np.exp(v) for v in found.values()) < 1.0001
+    twice = docs.unionByName(docs.where("doc_id = 10001"))
+    same = [r["log_prob"] for r in op8_scoring.score(twice).where("doc_id = 10001").collect()]
+    assert len(same) == 2 and same[0] == same[1] < 0
+
+
 def test_empty_tables(spark, nothing):
     bench = spark.createDataFrame([], "item_id long, text string")
     pages = spark.createDataFrame([], "page_id long, url string, html string")
