@@ -6,8 +6,8 @@ place; their sum goes through tanh and a softmax in two steps, over classes and
 All words are counted, each by its own 64-bit hash, in a distributed table that is as long as the corpus has words. The
 most frequent words that make up COVER of all tokens have an id each, and the network is as large as that takes. Every
 other word shares an id; its probability is that of the id times its part of the id's count, which is joined to the
-documents from the table, so that the probabilities of all words of the corpus sum to one. In training one word in four of every document is masked; each part of
-the input trains a copy of the network, and the copies are averaged, weighted by their words, by a tree of tasks. Half of
+documents from the table, so that the probabilities of all words of the corpus sum to one. In training every word of every document is
+predicted once; each part of the input trains a copy of the network, and the copies are averaged, weighted by their words, by a tree of tasks. Half of
 the documents are the first round, the others the second. At last every word of every document is predicted.
 
 Defined results: null or empty text has no words, log-probability 0 and a null mean; repeated rows are scored each; an
@@ -28,7 +28,7 @@ from tempcorr.llm.common import keyed, mix, text_bytes, written
 #: The part of all tokens whose words have an id of their own.
 COVER = 0.5
 CLASSES, SIDE = 32, 2
-SIZE, BATCH, RATE, MASKED, ROUNDS = 24, 4096, 0.15, 4, 2
+SIZE, BATCH, RATE, ROUNDS = 24, 4096, 0.15, 2
 EDGE = 0
 FAN = 16
 #: Words whose counts a task adds up at once.
@@ -236,11 +236,11 @@ def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int
         contexts, targets, held, words = [], [], 0, 0
         part = TaskContext.get().partitionId()
         for b in batches:
-            for doc, text in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), strict=True):
+            for text in text_bytes(b.column(1)):
                 ids = framed(text, table)
                 n = len(ids) - 2 * SIDE
                 words += n
-                at = np.arange(SIDE + (doc or 0) % MASKED, SIDE + n, MASKED)
+                at = np.arange(SIDE, SIDE + n)
                 for s in range(0, len(at), BATCH):
                     contexts.append(around(ids, at[s : s + BATCH]))
                     targets.append(ids[at[s : s + BATCH]])

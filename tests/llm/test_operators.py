@@ -390,6 +390,18 @@ def test_scoring_knows_every_word(spark):
     assert len(same) == 2 and same[0] == same[1] < 0
 
 
+def test_scoring_trains_on_every_word(spark):
+    """The words of short texts are learnt whatever their doc_id."""
+    for doc in range(4):
+        docs = spark.createDataFrame([(4 * i + doc, "alpha") for i in range(200)], "doc_id long, text string")
+        table = op8_scoring.vocabulary(op8_scoring.word_counts(docs))
+        untrained = op8_scoring.Network(classes=table.classes)
+        ids = op8_scoring.framed(b"alpha", table)
+        at = np.array([op8_scoring.SIDE])
+        before = untrained.log_probs(op8_scoring.around(ids, at), ids[at])[0]
+        assert op8_scoring.score(docs).first()["log_prob"] > before + 0.1
+
+
 def test_empty_tables(spark, nothing):
     bench = spark.createDataFrame([], "item_id long, text string")
     pages = spark.createDataFrame([], "page_id long, url string, html string")
