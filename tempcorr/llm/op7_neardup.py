@@ -3,7 +3,8 @@
 A document's shingle set has a signature of 64 symbols of 16 bits. Sets of a similarity of at least 0.85 differ in at most
 25 symbols but for about one pair in a million. The signature is split into 13 chunks; of 25 differences some chunk has
 at most one, so that each chunk is indexed once for every symbol left out, and two sets that agree in all others meet.
-This finds every pair under the distance threshold. Pairs are confirmed on the full sets.
+This finds every pair under the distance threshold. For another similarity the symbols that may differ and the chunks are
+counted anew. Pairs are confirmed on the full sets.
 
 Equal sets are one class, and only classes are compared. A bucket is not turned into all its pairs: its members are
 first compared with one centre, the member that meets most others over all its buckets. Buckets whose members are then in
@@ -17,6 +18,8 @@ rows are in one class; ties are broken by the smallest doc_id; an empty table gi
 
 from __future__ import annotations
 
+from math import comb
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,13 +29,29 @@ from tempcorr.llm.anchors import BYTE_HASHES, Rolling, WordPlaces, zipped
 from tempcorr.llm.common import keyed, mix, partitions, text_bytes, unpacked, written
 from tempcorr.llm.components import components
 
-SYMBOLS, CHUNKS, MOST_DIFFERENT = 64, 13, 25
-SHINGLE, SIMILAR = 3, 85
+SYMBOLS, SHINGLE, SIMILAR = 64, 3, 85
+#: The part of pairs at the threshold that may be missed.
+MISSED = 1.3e-6
+
+
+def most_different(similar: int) -> int:
+    """Symbols in which signatures of sets of this similarity, in percent, differ at most but for MISSED of the pairs."""
+    j = similar / 100
+    chance = [comb(SYMBOLS, k) * (1 - j) ** k * j ** (SYMBOLS - k) for k in range(SYMBOLS + 1)]
+    return next(d for d in range(SYMBOLS + 1) if sum(chance[d + 1 :]) <= MISSED)
+
+
+def bounds(most: int) -> list[int]:
+    """Where chunks begin and end: so many that of `most` differences some chunk has at most one."""
+    chunks = min(SYMBOLS // 2, most // 2 + 1)
+    return [round(i * SYMBOLS / chunks) for i in range(chunks + 1)]
+
+
+MOST_DIFFERENT = most_different(SIMILAR)
 #: Members of a group's block; a tile has two blocks.
 BLOCK = 128
 LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 FACTORS = mix(np.arange(1, SYMBOLS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
-BOUNDS = [round(i * SYMBOLS / CHUNKS) for i in range(CHUNKS + 1)]
 SETS = "doc_id long, n_shingles long, s1 long, s2 long, signature binary"
 
 
@@ -74,8 +93,9 @@ def sketches(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, SETS)
 
 
-def indexed(classes: DataFrame) -> DataFrame:
-    """(key, rep): every chunk of a signature with each of its symbols left out."""
+def indexed(classes: DataFrame, most: int = MOST_DIFFERENT) -> DataFrame:
+    """(key, rep): every chunk of a signature with each of its symbols left out; sets that differ in `most` symbols or fewer meet."""
+    cuts = bounds(most)
 
     def run(batches):
         for b in batches:
@@ -84,10 +104,10 @@ def indexed(classes: DataFrame) -> DataFrame:
             reps = b.column(0).to_numpy()
             sig = np.frombuffer(b"".join(b.column(1).to_pylist()), np.uint16).reshape(-1, SYMBOLS).astype(np.uint64)
             keys = []
-            for c in range(CHUNKS):
-                for out in range(BOUNDS[c], BOUNDS[c + 1]):
+            for low, high in zip(cuts[:-1], cuts[1:], strict=True):
+                for out in range(low, high):
                     h = np.full(len(sig), out + 1, np.uint64)
-                    for j in range(BOUNDS[c], BOUNDS[c + 1]):
+                    for j in range(low, high):
                         if j != out:
                             h = mix(h + sig[:, j])
                     keys.append(h)
@@ -100,16 +120,17 @@ def different(a: bytes, b: bytes) -> int:
     return int((np.frombuffer(a, np.uint16) != np.frombuffer(b, np.uint16)).sum())
 
 
-def near(pairs: DataFrame, classes: DataFrame) -> DataFrame:
+def near(pairs: DataFrame, classes: DataFrame, similar: int) -> DataFrame:
     """Those of the pairs (a, b) whose sizes and signatures allow a link."""
+    most = most_different(similar)
     side = classes.select("rep", "n_shingles", "signature")
-    both = pairs.join(side.toDF("a", "na", "siga"), "a").join(side.toDF("b", "nb", "sigb"), "b").where(100 * F.least("na", "nb") >= SIMILAR * F.greatest("na", "nb"))
+    both = pairs.join(side.toDF("a", "na", "siga"), "a").join(side.toDF("b", "nb", "sigb"), "b").where(100 * F.least("na", "nb") >= similar * F.greatest("na", "nb"))
 
     def run(batches):
         for t in batches:
             if t.num_rows:
                 x, y = (np.frombuffer(b"".join(t.column(c).to_pylist()), np.uint16).reshape(-1, SYMBOLS) for c in (2, 3))
-                yield pa.RecordBatch.from_arrays([t.column(0), t.column(1)], ["a", "b"]).filter(pa.array((x != y).sum(1) <= MOST_DIFFERENT))
+                yield pa.RecordBatch.from_arrays([t.column(0), t.column(1)], ["a", "b"]).filter(pa.array((x != y).sum(1) <= most))
 
     return both.select("a", "b", "siga", "sigb").mapInArrow(run, "a long, b long")
 
@@ -192,7 +213,7 @@ def unresolved(left: DataFrame, classes: DataFrame, docs: DataFrame, size: int,
     small = left.join(several.where(F.col("n") <= BLOCK).select("key"), "key")
     one, two = small.toDF("key", "rep", "x", "g"), small.toDF("key", "c", "y", "h")
     pairs = one.join(two, "key").where("x < y and g <> h").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-    return tiled.unionByName(confirmed(near(pairs, classes), items, similar, "op7-1"))
+    return tiled.unionByName(confirmed(near(pairs, classes, similar), items, similar, "op7-1"))
 
 
 def within_groups(members: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
@@ -232,7 +253,7 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
     docs = keyed(docs)
     sets = written(sketches(docs, size), "op7-sets")
     classes = written(sets.where("n_shingles > 0").groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.min("signature").alias("signature")), "op7-classes")
-    keys = indexed(classes)
+    keys = indexed(classes, most_different(similar))
     many = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     met = written(keys.join(many, "key"), "op7-buckets")
     weight = met.groupBy("rep").agg(F.sum("n").alias("weight"))
@@ -242,7 +263,7 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
     group = met.join(first, "key").groupBy("rep").agg(F.max_by("c", F.struct("cw", -F.col("c"))).alias("grp"))
     first = first.drop("cw")
     pairs = met.join(first, "key").where("rep <> c").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-    pairs = written(near(pairs, classes), "op7-0-pairs")
+    pairs = written(near(pairs, classes, similar), "op7-0-pairs")
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
     links = confirmed(pairs, full_sets(docs, ids, size, "op7-0"), similar, "op7-0")
     labels = components(links, "op7-0")

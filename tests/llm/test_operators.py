@@ -131,6 +131,19 @@ def test_near_duplicates_table(spark, small):
     assert got(queries()["op7_neardup"](spark, small), *NEAR) == brute.neardup([tuple(r) for r in table.select("doc_id", "text").collect()])
 
 
+def test_near_duplicates_of_another_similarity(spark):
+    """Chains of texts cut by 15 to 20 percent: their sizes stand at 80 to 85 percent, and neighbours have different centres."""
+    rng = random.Random(9)
+    rows = []
+    for c in range(20):
+        words, n, i = ["c%dw%d" % (c, rng.randint(0, 10**9)) for _ in range(1200)], 1200, 0
+        while n > 60:
+            rows.append((100 * c + i, " ".join(words[:n])))
+            i, n = i + 1, int((n - 4) * rng.uniform(0.805, 0.845)) + 5
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert got(op7_neardup.near_duplicates(docs, 5, 80), *NEAR) == brute.neardup(rows, 5, 80)
+
+
 def test_index_finds_all_under_the_distance():
     rng = np.random.default_rng(2)
     for _ in range(300):
