@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import math
 from collections import defaultdict
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -25,8 +26,8 @@ from pyspark.sql import functions as F
 
 #: The bound of the fitted sample: labelled documents of a language.
 MOST_DOCUMENTS = 1500
-#: Symbols: space, others, and the most frequent letters of the sample.
-MOST_SYMBOLS = 255
+#: Bits of a symbol: space, others, and every letter of the sample (the most frequent 65,534, should it have more).
+BITS = 16
 ORDER = 4
 UND = "und"
 OUT = "doc_id long, lang_pred string, score double, cross_entropy double"
@@ -38,13 +39,17 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0
 
 
+@cache
+def is_letter() -> np.ndarray:
+    """Of every code point."""
+    return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
+
+
 class Letters:
     """Texts as arrays of symbols."""
 
     def __init__(self, alphabet: str):
-        self.table = np.full(0x110000, 1, np.uint8)
-        letter = np.array([chr(c).isalpha() for c in range(0x3000)])
-        self.table[:0x3000][~letter] = 0
+        self.table = is_letter().astype(np.uint16)
         for i, c in enumerate(alphabet):
             self.table[ord(c)] = i + 2
 
@@ -60,45 +65,52 @@ class Letters:
         s = s[keep]
         if not s.any():
             return s[:0]
-        return np.r_[np.uint8(0), s[1:] if s[0] == 0 else s, np.zeros(int(s[-1] != 0), np.uint8)]
+        return np.r_[np.uint16(0), s[1:] if s[0] == 0 else s, np.zeros(int(s[-1] != 0), np.uint16)]
+
 
+def packing(bits: int) -> type:
+    return np.uint32 if bits * ORDER <= 32 else np.uint64
 
-def grams(s: np.ndarray, n: int) -> np.ndarray:
+
+def grams(s: np.ndarray, n: int, bits: int = 8) -> np.ndarray:
+    kind = packing(bits)
     m = len(s) - n + 1
     if m <= 0:
-        return np.zeros(0, np.uint32)
-    out = s[:m].astype(np.uint32)
+        return np.zeros(0, kind)
+    out = s[:m].astype(kind)
     for j in range(1, n):
-        out = (out << np.uint32(8)) | s[j : j + m]
+        out = (out << kind(bits)) | s[j : j + m]
     return out
 
 
 class KneserNey:
     """Natural-log probabilities of all n-grams of a sample, interpolated down to letters."""
 
-    def __init__(self, counts: dict[int, int]):
-        keys = np.array(sorted(counts), np.uint32)
+    def __init__(self, counts: dict[int, int], bits: int = 8, symbols: int = 256):
+        kind = packing(bits)
+        self.shift, self.masks = kind(bits), [kind((1 << (bits * n)) - 1) for n in range(ORDER)]
+        keys = np.array(sorted(counts), kind)
         n = np.array([counts[k] for k in keys.tolist()], np.float64)
-        self.symbols = 256
+        self.symbols = symbols
         self.tables = {}
         stack = []
         for order in range(ORDER, 0, -1):
             stack.append((order, keys, n))
             if order > 1:  # continuation counts: how many different symbols stand before a shorter n-gram
-                keys, n = np.unique(keys & np.uint32((1 << (8 * (order - 1))) - 1), return_counts=True)
+                keys, n = np.unique(keys & self.masks[order - 1], return_counts=True)
                 n = n.astype(np.float64)
         lower_keys, lower = None, None
         for order, keys, n in reversed(stack):
             once, twice = (n == 1).sum(), (n == 2).sum()
             d = min(0.95, max(0.1, once / (once + 2 * twice))) if once else 0.5
-            context = keys >> np.uint32(8)
+            context = keys >> self.shift
             found, at = np.unique(context, return_inverse=True)
             total, kinds = np.bincount(at, n), np.bincount(at)
             gamma = d * kinds / total
             if order == 1:
                 base = np.full(len(keys), 1 / self.symbols)
             else:
-                short = keys & np.uint32((1 << (8 * (order - 1))) - 1)
+                short = keys & self.masks[order - 1]
                 base = lower[np.searchsorted(lower_keys, short)]
             p = np.maximum(n - d, 0) / total[at] + gamma[at] * base
             self.tables[order] = (keys, p, found, gamma)
@@ -113,9 +125,9 @@ class KneserNey:
         out, miss = p[i].copy(), keys[i] != key
         if miss.any():
             k = key[miss]
-            short = k & np.uint32((1 << (8 * (order - 1))) - 1) if order > 1 else k
+            short = k & self.masks[order - 1] if order > 1 else k
             rest = self.probability(short, order - 1)
-            c = k >> np.uint32(8)
+            c = k >> self.shift
             j = np.minimum(np.searchsorted(contexts, c), len(contexts) - 1)
             out[miss] = np.where(contexts[j] == c, gamma[j], 1.0) * rest
         return out
@@ -128,13 +140,13 @@ class Judge:
         self.letters, self.names = Letters(alphabet), sorted(models)
         models = [models[x] for x in self.names]
         self.keys, self.logs = {}, {}
-        for order in (3, 4):
+        for order in (2, 3, 4):
             self.keys[order] = np.unique(np.concatenate([m.tables[order][0] for m in models]))
             self.logs[order] = np.stack([np.log(m.probability(self.keys[order], order)) for m in models], 1).astype(np.float32)
-        pairs = np.arange(1 << 16, dtype=np.uint32)
-        self.pairs = np.stack([np.log(m.probability(pairs, 2)) for m in models], 1).astype(np.float32)
+        single = np.arange(len(alphabet) + 2, dtype=packing(BITS))
+        self.single = np.stack([np.log(m.probability(single, 1)) for m in models], 1).astype(np.float32)
         self.back = {}
-        for order in (3, 4):  # what remains for unseen symbols after a context
+        for order in (2, 3, 4):  # what remains for unseen symbols after a context
             contexts = np.unique(np.concatenate([m.tables[order][2] for m in models]))
             rest = np.zeros((len(contexts) + 1, len(models)), np.float32)
             for j, m in enumerate(models):
@@ -145,26 +157,22 @@ class Judge:
 
     def log_likelihoods(self, s: np.ndarray) -> np.ndarray:
         """Of each language; the sum over all characters after the first three."""
-        key = grams(s, 4)
-        keys = self.keys[4]
-        i = np.minimum(np.searchsorted(keys, key), len(keys) - 1)
-        seen = keys[i] == key
-        total = self.logs[4][i[seen]].sum(0, dtype=np.float64)
-        for order in (4, 3):
+        kind, total = packing(BITS), np.zeros(len(self.names))
+        key = grams(s, 4, BITS)
+        for order in (4, 3, 2):
+            keys = self.keys[order]
+            i = np.minimum(np.searchsorted(keys, key), len(keys) - 1)
+            seen = keys[i] == key
+            total += self.logs[order][i[seen]].sum(0, dtype=np.float64)
             key = key[~seen]
             if not len(key):
                 return total
             contexts, rest = self.back[order]
-            c = key >> np.uint32(8)
+            c = key >> kind(BITS)
             j = np.minimum(np.searchsorted(contexts, c), len(contexts) - 1)
             total += rest[np.where(contexts[j] == c, j, len(contexts))].sum(0, dtype=np.float64)
-            key = key & np.uint32((1 << (8 * (order - 1))) - 1)
-            if order == 4:
-                keys = self.keys[3]
-                i = np.minimum(np.searchsorted(keys, key), len(keys) - 1)
-                seen = keys[i] == key
-                total += self.logs[3][i[seen]].sum(0, dtype=np.float64)
-        return total + self.pairs[key].sum(0, dtype=np.float64)
+            key = key & kind((1 << (BITS * (order - 1))) - 1)
+        return total + self.single[key].sum(0, dtype=np.float64)
 
     def entropies(self, text: str):
         """(log-likelihoods, characters)."""
@@ -172,7 +180,7 @@ class Judge:
         for b in range(0, len(text), BLOCK):
             s = self.letters(text[b : b + BLOCK])
             if len(s):
-                s = np.r_[np.zeros(2, np.uint8), s]
+                s = np.r_[np.zeros(2, np.uint16), s]
                 total += self.log_likelihoods(s)
                 n += len(s) - 3
         return total, n
@@ -211,8 +219,8 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
                     got[c] += n
             yield pa.RecordBatch.from_arrays([pa.array(got.keys(), pa.int64()), pa.array(got.values(), pa.int64())], ["c", "n"])
 
-    found = chosen.mapInArrow(letters, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").limit(2000).collect()
-    alphabet = "".join([chr(r["c"]) for r in found if chr(r["c"]).isalpha()][: MOST_SYMBOLS - 2])
+    found = chosen.mapInArrow(letters, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").collect()
+    alphabet = "".join([chr(r["c"]) for r in found if chr(r["c"]).isalpha()][: (1 << BITS) - 2])
 
     def count(batches):
         known = Letters(alphabet)
@@ -221,15 +229,15 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
             for lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 s = known(text)
                 if len(s):
-                    held[lang].append(grams(np.r_[np.zeros(2, np.uint8), s], ORDER))
+                    held[lang].append(grams(np.r_[np.zeros(2, np.uint16), s], ORDER, BITS))
         for lang, parts in held.items():
             k, n = np.unique(np.concatenate(parts), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(k)), pa.array(k.astype(np.int64)), pa.array(n)], ["lang", "k", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(k)), pa.array(k.view(np.int64)), pa.array(n)], ["lang", "k", "n"])
 
     counts: dict[str, dict[int, int]] = defaultdict(dict)
     for r in chosen.mapInArrow(count, "lang string, k long, n long").groupBy("lang", "k").agg(F.sum("n").alias("n")).toLocalIterator():
-        counts[r["lang"]][r["k"]] = r["n"]
-    judge = Judge(alphabet, {x: KneserNey(c) for x, c in counts.items()}) if counts else Judge.__new__(Judge)
+        counts[r["lang"]][r["k"] & 0xFFFFFFFFFFFFFFFF] = r["n"]
+    judge = Judge(alphabet, {x: KneserNey(c, BITS, len(alphabet) + 2) for x, c in counts.items()}) if counts else Judge.__new__(Judge)
     if not counts:
         judge.names, judge.typical = [], {}
         return judge

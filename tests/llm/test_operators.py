@@ -350,6 +350,18 @@ def test_language(spark, docs, middle):
     assert all(r["lang_pred"] == "und" for r in op10_language.identify(docs.withColumn("lang", F.lit(None).cast("string"))).collect())
 
 
+def test_language_of_large_scripts(spark):
+    """Two rare scripts beside a large one are told apart, and what has no letter has no language."""
+    rng = random.Random(10)
+    large, one, two = [chr(0x4E00 + i) for i in range(3000)], [chr(0x10D0 + i) for i in range(33)], [chr(0x0561 + i) for i in range(38)]
+    make = lambda letters, words: " ".join("".join(rng.choices(letters, k=5)) for _ in range(words))
+    rows = [(i, make(large, 200), "zh") for i in range(100)] + [(200 + i, make(one, 30), "ka") for i in range(20)] + [(300 + i, make(two, 30), "hy") for i in range(20)]
+    rows += [(400, "\U0001f600 \U0001f601\U0001f602", None), (401, "\u3001\u3002\u300c\u300d", None), (402, "\uff11\uff12\uff13", None)]
+    found = {r["doc_id"]: r for r in op10_language.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert all(found[i]["lang_pred"] == (lang or "und") for i, _, lang in rows)
+    assert all(found[i]["score"] == 0 for i in (400, 401, 402))
+
+
 def test_kneser_ney_sums_to_one():
     rng = np.random.default_rng(0)
     s = rng.integers(0, 6, 400).astype(np.uint8)
