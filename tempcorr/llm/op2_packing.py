@@ -29,8 +29,6 @@ from tempcorr.llm.common import written
 END = 1
 TOKENS = "doc_id long, source string, part int, before long, n int, ids binary"
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, source string"
-#: Sources beyond the largest share one queue.
-MOST_QUEUES = 64
 #: Rows of (source, part) that are broadcast; more are joined by a shuffle.
 MOST_BROADCAST = 200_000
 
@@ -151,19 +149,14 @@ def pack(docs: DataFrame, window: int = 2048, targets: dict[str | None, float] |
     """Pieces of documents in windows of `window` tokens. targets: a weight for each source; the sources' own shares if None."""
     tokens = written(tokenised(docs), "op2-tokens")
     sums = written(tokens.groupBy("source", "part").agg(F.sum("n").alias("n")), "op2-sums")
-    largest = sums.groupBy("source").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "source").limit(MOST_QUEUES - 1).collect()
+    largest = sums.groupBy("source").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "source").collect()
     own = {r["source"]: q for q, r in enumerate(largest)}
-    total = sums.agg(F.sum("n").alias("n")).first()["n"] or 0
     totals = [r["n"] for r in largest]
-    rest = total - sum(totals)
-    totals += [rest] * (rest > 0)
-    weights = [Fraction(t) for t in totals] if targets is None else [Fraction(targets.get(s, 0)).limit_denominator(10**6) for s in own] + [Fraction(0)] * (rest > 0)
+    weights = [Fraction(t) for t in totals] if targets is None else [Fraction(targets.get(s, 0)).limit_denominator(10**6) for s in own]
     mixer = Mixer(phases(totals, weights), window)
-    queue = F.lit(len(own))
-    for s, q in own.items():
-        queue = F.when(F.col("source").eqNullSafe(F.lit(s)), q).otherwise(queue)
-    ordered = Window.partitionBy("queue").orderBy("source", "part").rowsBetween(Window.unboundedPreceding, -1)
-    base = sums.withColumn("queue", queue.cast("int")).withColumn("base", F.coalesce(F.sum("n").over(ordered), F.lit(0))).select(F.col("source").alias("s"), F.col("part").alias("p"), "queue", "base")
+    queues = tokens.sparkSession.createDataFrame(list(own.items()), "of string, queue int")
+    ordered = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    base = sums.withColumn("base", F.coalesce(F.sum("n").over(ordered), F.lit(0))).join(queues, F.col("source").eqNullSafe(F.col("of"))).select(F.col("source").alias("s"), F.col("part").alias("p"), "queue", "base")
     if sums.count() <= MOST_BROADCAST:
         base = F.broadcast(base)
     placed = tokens.join(base, F.col("source").eqNullSafe(F.col("s")) & (F.col("part") == F.col("p"))).select("doc_id", "source", "queue", (F.col("base") + F.col("before")).alias("at"), "n", "ids")

@@ -262,6 +262,14 @@ def test_packing_keeps_the_mixture(spark, small):
                 assert abs(own[source] - 2048 * k / n) <= 2
 
 
+def test_packing_serves_every_source(spark):
+    """A target for a small source beyond the 63 largest is kept from the first window on."""
+    rows = [(100 * s + i, "word " * (200 - s), "s%d" % s) for s in range(100) for i in range(3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    found = op2_packing.pack(docs, 64, {"s0": 1, "s95": 1}).where("sequence_id = 0").groupBy("source").agg(F.sum("length").alias("n")).collect()
+    assert {r["source"]: r["n"] for r in found} == {"s0": 32, "s95": 32}
+
+
 def test_encoder_is_the_tokenizer():
     from public_tokenizers import path
     from tokenizers import Tokenizer
