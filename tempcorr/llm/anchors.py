@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tempcorr.llm.common import mix, packed, partitions, text_bytes, unpacked, written
+from tempcorr.llm.common import lean, mix, packed, partitions, text_bytes, unpacked, written
 
 BASE, INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
 #: Longer runs (periodic text) are split; no window is lost.
@@ -39,7 +39,7 @@ class Words:
         return WordPlaces(text)
 
     def hashes(self, units) -> np.ndarray:
-        return Rolling(BYTE_HASHES[units.raw]).at(units.starts, units.ends)
+        return word_hashes(units)
 
     @staticmethod
     def part(units, start: int, end: int) -> bytes:
@@ -81,6 +81,17 @@ class WordPlaces:
         return b" ".join(self.text[self.at[start] : self.to[end - 1]].split()) if end > start else b""
 
 
+def word_hashes(places: WordPlaces, most: int = 1 << 20) -> np.ndarray:
+    """A 64-bit hash of each word, by blocks of about `most` bytes."""
+    n, out, s = len(places), [np.zeros(0, np.uint64)], 0
+    while s < n:
+        e = max(s + 1, int(np.searchsorted(places.to, places.at[s] + most, side="right")))
+        part = places[s:e]
+        out.append(Rolling(BYTE_HASHES[part.raw]).at(part.starts, part.ends))
+        s = e
+    return out[1] if len(out) == 2 else np.concatenate(out)
+
+
 class Bytes:
     """Bytes as units."""
 
@@ -98,24 +109,30 @@ class Bytes:
 class Rolling:
     """Hashes of any substring of a unit-hash array, from prefix sums modulo 2**64."""
 
+    #: Powers that a worker keeps: enough for a block of units, but never for a text of any length.
+    KEPT = 1 << 21
     up = down = np.ones(1, np.uint64)
 
     def __init__(self, h: np.ndarray):
-        if len(Rolling.up) <= len(h):
-            n = 2 * len(h) + 1
-            for name, base in (("up", BASE), ("down", INVERSE)):
-                p = np.full(n, base, np.uint64)
-                p[0] = 1
-                setattr(Rolling, name, np.multiply.accumulate(p))
-        self.sums = np.zeros(len(h) + 1, np.uint64)
-        np.cumsum(h * Rolling.up[: len(h)], out=self.sums[1:])
+        n = len(h)
+        if len(Rolling.up) <= n <= Rolling.KEPT:
+            Rolling.up, Rolling.down = (self._powers(base, min(2 * n, Rolling.KEPT) + 1) for base in (BASE, INVERSE))
+        up, self.down = (Rolling.up, Rolling.down) if len(Rolling.up) > n else (self._powers(base, n + 1) for base in (BASE, INVERSE))
+        self.sums = np.zeros(n + 1, np.uint64)
+        np.cumsum(h * up[:n], out=self.sums[1:])
+
+    @staticmethod
+    def _powers(base: int, n: int) -> np.ndarray:
+        p = np.full(n, base, np.uint64)
+        p[0] = 1
+        return np.multiply.accumulate(p)
 
     def all(self, size: int) -> np.ndarray:
         n = len(self.sums) - size
-        return mix((self.sums[size:] - self.sums[:n]) * Rolling.down[:n])
+        return mix((self.sums[size:] - self.sums[:n]) * self.down[:n])
 
     def at(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        return mix((self.sums[ends] - self.sums[starts]) * Rolling.down[starts]) ^ mix((ends - starts).astype(np.uint64))
+        return mix((self.sums[ends] - self.sums[starts]) * self.down[starts]) ^ mix((ends - starts).astype(np.uint64))
 
 
 def sliding_min(x: np.ndarray, size: int) -> np.ndarray:
@@ -195,7 +212,7 @@ def table_of(docs: DataFrame, make, window: int, k: int, tied: bool = False) ->
         for doc, start, count, anchor, r, two in hashed(batches, make(), window, k, tied):
             yield pa.RecordBatch.from_arrays([pa.array(anchor), pa.array(r), pa.array(doc), pa.array(start.astype(np.int32)), pa.array(count.astype(np.int32)), pa.array(two)], ["anchor", "run", "doc_id", "start", "windows", "tied"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, RUNS)
+    return docs.select("doc_id", "text").mapInArrow(lean(run), RUNS)
 
 
 def hot_anchors(docs: DataFrame, make, window: int, k: int, most: int) -> DataFrame:
@@ -219,7 +236,7 @@ def hot_anchors(docs: DataFrame, make, window: int, k: int, most: int) -> DataFr
         if held:
             yield out(32)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "anchor long, n long").groupBy("anchor").agg(F.sum("n").alias("n")).where(F.col("n") > most).select("anchor")
+    return docs.select("doc_id", "text").mapInArrow(lean(run), "anchor long, n long").groupBy("anchor").agg(F.sum("n").alias("n")).where(F.col("n") > most).select("anchor")
 
 
 def settle(runs: DataFrame, hot: DataFrame | None, ordered: bool) -> DataFrame:
@@ -270,7 +287,7 @@ def settle(runs: DataFrame, hot: DataFrame | None, ordered: bool) -> DataFrame:
         if held:
             yield from one([np.concatenate(x) for x in zip(*held, strict=True)])
 
-    return dealt.mapInArrow(run, FOUND)
+    return dealt.mapInArrow(lean(run), FOUND)
 
 
 def zipped(docs: DataFrame) -> DataFrame:
@@ -280,7 +297,7 @@ def zipped(docs: DataFrame) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([None if t is None else packed(t) for t in text_bytes(b.column(1))], pa.binary())], ["doc_id", "packed"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, packed binary")
+    return docs.select("doc_id", "text").mapInArrow(lean(run), "doc_id long, packed binary")
 
 
 def strings(docs: DataFrame, opened: DataFrame, make, window: int) -> DataFrame:
@@ -308,7 +325,7 @@ def strings(docs: DataFrame, opened: DataFrame, make, window: int) -> DataFrame:
     def out(rows):
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.bool_(), pa.binary()), strict=True)], ["anchor", "doc_id", "start", "windows", "low", "settled", "content"])
 
-    return zipped(docs).join(places, "doc_id").mapInArrow(run, STRINGS)
+    return zipped(docs).join(places, "doc_id").mapInArrow(lean(run), STRINGS)
 
 
 def pieces(batches: Iterator[pa.RecordBatch], most: int):
@@ -339,7 +356,7 @@ def window_hashes(found: DataFrame, make, window: int) -> DataFrame:
             if cols[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], ["anchor", "h", "doc_id", "at", "low", "settled"])
 
-    return found.mapInArrow(run, "anchor long, h long, doc_id long, at int, low long, settled boolean")
+    return found.mapInArrow(lean(run), "anchor long, h long, doc_id long, at int, low long, settled boolean")
 
 
 def repeats(docs: DataFrame, make, window: int, k: int, ordered: bool, resolve, name: str) -> DataFrame:
@@ -362,7 +379,7 @@ def repeats(docs: DataFrame, make, window: int, k: int, ordered: bool, resolve,
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int32(), pa.int32()), strict=True)], ["doc_id", "start", "end"])
 
     columns = [x.split()[0] for x in STRINGS.split(", ")]
-    usual = flagged.where("hot is null").select(*columns).repartition(n, "anchor").sortWithinPartitions("anchor", "doc_id", "start").mapInArrow(piecewise, SPANS)
+    usual = flagged.where("hot is null").select(*columns).repartition(n, "anchor").sortWithinPartitions("anchor", "doc_id", "start").mapInArrow(lean(piecewise), SPANS)
     rest = window_hashes(flagged.where("hot").select(*columns), make, window)
     least = rest.groupBy("anchor", "h").agg(F.min("low").alias("least"), F.count("*").alias("times"))
     rest = rest.where("not settled" if not ordered else "true").join(least, ["anchor", "h"]).where("least < doc_id" if ordered else "times > 1").select("doc_id", F.col("at").alias("start"), (F.col("at") + window).cast("int").alias("end"))
@@ -372,7 +389,7 @@ def repeats(docs: DataFrame, make, window: int, k: int, ordered: bool, resolve,
 def with_spans(docs: DataFrame, spans: DataFrame, f, schema: str) -> DataFrame:
     """Every document with the spans found in it, for a mapInArrow function over (doc_id, packed text, starts, ends)."""
     per = spans.groupBy("doc_id").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
-    return zipped(docs).join(per, "doc_id", "left").mapInArrow(f, schema)
+    return zipped(docs).join(per, "doc_id", "left").mapInArrow(lean(f), schema)
 
 
 def covered(n: int, spans) -> np.ndarray:

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
@@ -16,24 +17,74 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: Bytes of rows that are sent to a Python worker at once; a longer row goes alone.
+BATCH_BYTES = 4 << 20
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see; a temporary one only where the session names none (tests)."""
+    """The folder that the driver and all executors see. Only a local session that names none (tests) gets a temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         kept = spark.sparkContext._jsc.sc().getCheckpointDir()
         if kept.isDefined():
             return kept.get()
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = tempfile.mkdtemp(prefix="tempcorr-")
         spark.sparkContext.setCheckpointDir(found)
     return found
 
 
+def bounded(spark: SparkSession) -> None:
+    """Bounds the bytes of a batch that goes to Python, a setting that any session may change; never raises it."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(key, None)
+    if now is None or not now.isdigit() or not 0 < int(now) <= BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a Parquet table in the shared folder, read again: cuts the lineage, survives lost executors."""
     spark = df.sparkSession
+    bounded(spark)
     path = f"{shared_folder(spark).rstrip('/')}/tempcorr-{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.tempcorr_path = path
+    return out
+
+
+def dropped(*tables: DataFrame | None) -> None:
+    """Deletes written tables that nothing reads any more."""
+    for t in tables:
+        path = getattr(t, "tempcorr_path", None)
+        if path:
+            spark = t.sparkSession
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def _trim() -> None:
+    """Gives free memory back, so that an idle worker holds none of a task's."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # another C library
+        pass
+
+
+def lean(f):
+    """A function over batches that leaves no free memory behind in its worker."""
+
+    @wraps(f)
+    def run(batches):
+        try:
+            yield from f(batches)
+        finally:
+            _trim()
+
+    return run
 
 
 def partitions(spark: SparkSession) -> int:
@@ -46,13 +97,10 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def keyed(docs: DataFrame, *more: str) -> DataFrame:
     """Only the columns that an operator reads; clashing names among the others don't matter then."""
+    bounded(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *more)
 
 
-def arrow_map(df: DataFrame, f: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    return df.mapInArrow(f, schema)
-
-
 class WordHashes(dict):
     """Word to 64-bit hash, remembered; bounded, since a full memory is emptied."""
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from tempcorr.llm.common import written
+from tempcorr.llm.common import dropped, written
 
 
 def components(links: DataFrame, name: str = "cc") -> DataFrame:
@@ -23,7 +23,11 @@ def components(links: DataFrame, name: str = "cc") -> DataFrame:
         lower = labels.join(near, F.col("id") == F.col("a")).select("id", F.least("label", "near").alias("label"), F.col("label").alias("old"))
         far = labels.select(F.col("id").alias("label"), F.col("label").alias("far"))
         jumped = lower.join(far, "label", "left").select("id", F.least("label", F.coalesce("far", "label")).alias("label"), "old")
-        seen = Observation()
-        labels = written(jumped.observe(seen, F.count_if(F.col("label") < F.col("old")).alias("changed")), f"{name}-{step}").select("id", "label")
+        seen, before = Observation(), labels
+        labels = written(jumped.observe(seen, F.count_if(F.col("label") < F.col("old")).alias("changed")).select("id", "label"), f"{name}-{step}")
+        dropped(before)
         if not seen.get["changed"]:
-            return labels.select("id", F.col("label").alias("component"))
+            dropped(both)
+            out = labels.select("id", F.col("label").alias("component"))
+            out.tempcorr_path = labels.tempcorr_path
+            return out

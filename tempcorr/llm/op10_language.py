@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tempcorr.llm.common import bounded, lean
+
 #: The bound of the fitted sample: labelled documents of a language.
 MOST_DOCUMENTS = 1500
 #: Bits of a symbol: space, others, and every letter of the sample (the most frequent 65,534, should it have more).
@@ -219,7 +221,7 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
                     got[c] += n
             yield pa.RecordBatch.from_arrays([pa.array(got.keys(), pa.int64()), pa.array(got.values(), pa.int64())], ["c", "n"])
 
-    found = chosen.mapInArrow(letters, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").collect()
+    found = chosen.mapInArrow(lean(letters), "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").collect()
     alphabet = "".join([chr(r["c"]) for r in found if chr(r["c"]).isalpha()][: (1 << BITS) - 2])
 
     def count(batches):
@@ -235,7 +237,7 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(k)), pa.array(k.view(np.int64)), pa.array(n)], ["lang", "k", "n"])
 
     counts: dict[str, dict[int, int]] = defaultdict(dict)
-    for r in chosen.mapInArrow(count, "lang string, k long, n long").groupBy("lang", "k").agg(F.sum("n").alias("n")).toLocalIterator():
+    for r in chosen.mapInArrow(lean(count), "lang string, k long, n long").groupBy("lang", "k").agg(F.sum("n").alias("n")).toLocalIterator():
         counts[r["lang"]][r["k"] & 0xFFFFFFFFFFFFFFFF] = r["n"]
     judge = Judge(alphabet, {x: KneserNey(c, BITS, len(alphabet) + 2) for x, c in counts.items()}) if counts else Judge.__new__(Judge)
     if not counts:
@@ -252,7 +254,7 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
                     rows.append((lang, float(-total[judge.names.index(lang)] / n)))
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.float64())], ["lang", "h"])
 
-    for r in chosen.mapInArrow(typical, "lang string, h double").groupBy("lang").agg(F.avg("h").alias("m"), F.coalesce(F.stddev("h"), F.lit(0.0)).alias("s")).collect():
+    for r in chosen.mapInArrow(lean(typical), "lang string, h double").groupBy("lang").agg(F.avg("h").alias("m"), F.coalesce(F.stddev("h"), F.lit(0.0)).alias("s")).collect():
         judge.typical[r["lang"]] = (r["m"], max(0.05, r["s"]))
     for x in judge.names:  # too short a sample to tell: nothing is rejected for its entropy
         if judge.typical[x] == (0.0, 1.0):
@@ -271,7 +273,7 @@ def identify(docs: DataFrame, most: int = MOST_DOCUMENTS) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.string(), pa.float64(), pa.float64()), strict=True)], ["doc_id", "lang_pred", "score", "cross_entropy"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, OUT)
+    return docs.select("doc_id", "text").mapInArrow(lean(run), OUT)
 
 
 def accepted(docs: DataFrame, least: float = 0.02, most: int = MOST_DOCUMENTS) -> DataFrame:
@@ -283,4 +285,4 @@ def accepted(docs: DataFrame, least: float = 0.02, most: int = MOST_DOCUMENTS) -
         for b in batches:
             yield b.filter(pa.array([(r := judge(t))[0] != UND and r[1] >= least for t in b.column(at).to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

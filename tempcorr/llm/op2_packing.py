@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tempcorr.llm.common import written
+from tempcorr.llm.common import lean, written
 
 END = 1
 TOKENS = "doc_id long, source string, part int, before long, n int, ids binary"
@@ -86,7 +86,7 @@ def tokenised(docs: DataFrame) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.binary()), strict=True)], ["doc_id", "source", "part", "before", "n", "ids"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).mapInArrow(run, TOKENS)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("source").cast("string").alias("source")).mapInArrow(lean(run), TOKENS)
 
 
 def phases(totals: list[int], weights: list[Fraction]) -> list[tuple[int, list[int], list[int]]]:
@@ -172,4 +172,4 @@ def pack(docs: DataFrame, window: int = 2048, targets: dict[str | None, float] |
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.string() if i == 7 else pa.int64()) for i, c in enumerate(zip(*rows, strict=True))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "source"])
 
-    return placed.mapInArrow(run, PIECES)
+    return placed.mapInArrow(lean(run), PIECES)

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from tempcorr.llm import anchors
 from tempcorr.llm.automaton import SuffixAutomaton
-from tempcorr.llm.common import keyed, unpacked
+from tempcorr.llm.common import keyed, lean, unpacked
 
 SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string"
 
@@ -122,4 +122,4 @@ def without_passages(docs: DataFrame, window: int = 13) -> DataFrame:
                 columns[sized] = pa.array([None if t is None else len(t) for t in texts], b.schema.field(sized).type)
             yield pa.RecordBatch.from_arrays(columns, b.schema.names[:-1]).filter(pa.array(keep, pa.bool_()))
 
-    return joined.mapInArrow(run, docs.schema)
+    return joined.mapInArrow(lean(run), docs.schema)

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tempcorr.llm.common import partitions, shared_folder, written
+from tempcorr.llm.common import lean, partitions, shared_folder, written
 
 CRLF = "\r\n"
 INDEX = "urlkey string, captured string, page_id long, record_type string, refers_to long, payload_bytes long, payload_digest string, run string, place long"
@@ -115,7 +115,7 @@ def read_runs(spark, path: str) -> DataFrame:
                     arrays = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)]
                     yield pa.RecordBatch.from_arrays([*arrays, pa.array([name] * len(rows)), pa.array(range(len(rows)), pa.int64())], [x.split()[0] for x in INDEX.split(", ")])
 
-    return spark.read.format("binaryFile").option("pathGlobFilter", "*.gz").load(path).select("path", "content").mapInArrow(run, INDEX)
+    return spark.read.format("binaryFile").option("pathGlobFilter", "*.gz").load(path).select("path", "content").mapInArrow(lean(run), INDEX)
 
 
 class LoserTree:
@@ -179,7 +179,7 @@ def merged(runs: DataFrame) -> DataFrame:
         if held:
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*held, strict=True), schema.types, strict=True)], names)
 
-    return runs.repartitionByRange(partitions(runs.sparkSession), "urlkey", "captured", "page_id").mapInArrow(run, INDEX)
+    return runs.repartitionByRange(partitions(runs.sparkSession), "urlkey", "captured", "page_id").mapInArrow(lean(run), INDEX)
 
 
 def archive(pages: DataFrame, path: str | None = None, least: int = 1000) -> DataFrame:

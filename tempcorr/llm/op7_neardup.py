@@ -9,11 +9,13 @@ counted anew. Pairs are confirmed on the full sets.
 Equal sets are one class, and only classes are compared. A bucket is not turned into all its pairs: its members are
 first compared with one centre, the member that meets most others over all its buckets. Buckets whose members are then in
 one component are done. In the others, members of one group (those whose best centre is the same) are compared in tiles of
-two blocks, on their full sets, and members of different groups pair by pair, in a bucket of more than a block in tiles
-again. So no link that could join two components is lost, and no step makes all pairs of a large group as rows.
+two blocks: first by their signatures, then, what some member of another component may be linked with, on full sets.
+Members of different groups are compared pair by pair, in a bucket of more than SMALL in tiles again. So no link that
+could join two components is lost, and no step makes all pairs of a large group as rows.
 
 Defined results: null text, empty text or text of white space has an empty set, links with nothing and is kept; repeated
-rows are in one class; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored.
+rows are in one class; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored,
+whatever their names. A very long text is hashed in blocks; its set takes about 40 bytes of memory for each word.
 """
 
 from __future__ import annotations
@@ -25,8 +27,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tempcorr.llm.anchors import BYTE_HASHES, Rolling, WordPlaces, zipped
-from tempcorr.llm.common import keyed, mix, partitions, text_bytes, unpacked, written
+from tempcorr.llm.anchors import WordPlaces, word_hashes, zipped
+from tempcorr.llm.common import dropped, keyed, lean, mix, partitions, text_bytes, unpacked, written
 from tempcorr.llm.components import components
 
 SYMBOLS, SHINGLE, SIMILAR = 64, 3, 85
@@ -48,11 +50,13 @@ def bounds(most: int) -> list[int]:
 
 
 MOST_DIFFERENT = most_different(SIMILAR)
-#: Members of a group's block; a tile has two blocks.
-BLOCK = 128
+#: Members of a block of signatures, and of a block of full sets, which has about so many bytes at most; a tile has two blocks.
+BLOCK, SETS_BLOCK, SETS_BYTES = 1024, 256, 4 << 20
+#: Members of a bucket of several groups whose pairs are made as rows; a larger bucket goes in tiles.
+SMALL = 128
 LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 FACTORS = mix(np.arange(1, SYMBOLS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
-SETS = "doc_id long, n_shingles long, s1 long, s2 long, signature binary"
+SETS = "doc_id long, text_key long, n_shingles long, s1 long, s2 long, signature binary"
 
 
 def shingles(text: bytes | None, size: int = SHINGLE) -> np.ndarray:
@@ -60,7 +64,7 @@ def shingles(text: bytes | None, size: int = SHINGLE) -> np.ndarray:
     places = WordPlaces((text or b"").translate(LOWER))
     if not len(places):
         return np.zeros(0, np.uint64)
-    h = Rolling(BYTE_HASHES[places.raw]).at(places.starts, places.ends)
+    h = word_hashes(places)
     k = min(size, len(h))
     n = len(h) - k + 1
     out = np.full(n, k, np.uint64)
@@ -84,13 +88,13 @@ def sketches(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     def run(batches):
         for b in batches:
             rows = []
-            for doc, text in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), strict=True):
+            for doc, key, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), text_bytes(b.column(2)), strict=True):
                 s = shingles(text, size)
-                rows.append((doc, len(s), int(s.sum(dtype=np.uint64).view(np.int64)), int(np.bitwise_xor.reduce(mix(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64)) if len(s) else 0, signature(s) if len(s) else None))
+                rows.append((doc, key, len(s), int(s.sum(dtype=np.uint64).view(np.int64)), int(np.bitwise_xor.reduce(mix(s ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64)) if len(s) else 0, signature(s) if len(s) else None))
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], ["doc_id", "n_shingles", "s1", "s2", "signature"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], ["doc_id", "text_key", "n_shingles", "s1", "s2", "signature"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, SETS)
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(lean(run), SETS)
 
 
 def indexed(classes: DataFrame, most: int = MOST_DIFFERENT) -> DataFrame:
@@ -113,7 +117,7 @@ def indexed(classes: DataFrame, most: int = MOST_DIFFERENT) -> DataFrame:
                     keys.append(h)
             yield pa.RecordBatch.from_arrays([pa.array(np.stack(keys, 1).ravel().view(np.int64)), pa.array(np.repeat(reps, SYMBOLS))], ["key", "rep"])
 
-    return classes.select("rep", "signature").mapInArrow(run, "key long, rep long")
+    return classes.select("rep", "signature").mapInArrow(lean(run), "key long, rep long")
 
 
 def different(a: bytes, b: bytes) -> int:
@@ -132,7 +136,7 @@ def near(pairs: DataFrame, classes: DataFrame, similar: int) -> DataFrame:
                 x, y = (np.frombuffer(b"".join(t.column(c).to_pylist()), np.uint16).reshape(-1, SYMBOLS) for c in (2, 3))
                 yield pa.RecordBatch.from_arrays([t.column(0), t.column(1)], ["a", "b"]).filter(pa.array((x != y).sum(1) <= most))
 
-    return both.select("a", "b", "siga", "sigb").mapInArrow(run, "a long, b long")
+    return both.select("a", "b", "siga", "sigb").mapInArrow(lean(run), "a long, b long")
 
 
 def full_sets(docs: DataFrame, ids: DataFrame, size: int, name: str) -> DataFrame:
@@ -142,7 +146,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, size: int, name: str) -> DataFram
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingles(unpacked(t), size).tobytes() if t is not None else b"" for t in b.column(1).to_pylist()], pa.binary())], ["doc_id", "items"])
 
-    return written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(sets, "doc_id long, items binary"), f"{name}-sets")
+    return written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(lean(sets), "doc_id long, items binary"), f"{name}-sets")
 
 
 def confirmed(pairs: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
@@ -158,7 +162,7 @@ def confirmed(pairs: DataFrame, items: DataFrame, similar: int, name: str) -> Da
                 keep.append(100 * common >= similar * (len(x) + len(y) - common))
             yield pa.RecordBatch.from_arrays([t.column(0), t.column(1)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return written(both.mapInArrow(run, "a long, b long"), f"{name}-links")
+    return written(both.mapInArrow(lean(run), "a long, b long"), f"{name}-links")
 
 
 def common_items(sets: list[np.ndarray]) -> np.ndarray:
@@ -178,103 +182,171 @@ def common_items(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def tile_links(rows, similar: int):
-    """Links between members of a tile that join its components: as many as it takes, not all."""
-    sets = [np.frombuffer(r["items"], np.uint64) for r in rows]
-    size = np.array([len(x) for x in sets])
-    common = common_items(sets)
-    linked = np.triu(100 * common >= similar * (size[:, None] + size - common), 1)
-    up = {r["label"]: r["label"] for r in rows}
+def candidates(sig: np.ndarray, size: np.ndarray, label: np.ndarray, block: np.ndarray, similar: int) -> np.ndarray:
+    """Rows (i, j), i < j, of a tile's members of different labels whose sizes and signatures allow a link.
+
+    In a tile of two blocks only pairs across them; the pairs of a block are those of its tile with itself.
+    """
+    most, out = most_different(similar), [np.zeros((0, 2), np.int64)]
+    two = block.min() != block.max()
+    for i in range(len(sig) - 1):
+        rest = slice(i + 1, None)
+        j = np.flatnonzero((label[rest] != label[i]) & (100 * np.minimum(size[rest], size[i]) >= similar * np.maximum(size[rest], size[i])) & ((block[rest] != block[i]) | (not two))) + i + 1
+        if len(j):
+            j = j[(sig[j] != sig[i]).sum(1) <= most]
+            if len(j):
+                out.append(np.stack([np.full(len(j), i), j], 1))
+    return np.concatenate(out)
+
+
+def tile_links(pairs: np.ndarray, sets: list[np.ndarray], label: np.ndarray, similar: int):
+    """Those of the pairs (i, j) that are similar on their full sets and join two components of the tile: as many as it takes."""
+    up = {x: x for x in label.tolist()}
 
     def root(x):
         while up[x] != x:
             up[x] = x = up[up[x]]
         return x
 
-    for i, j in zip(*(x.tolist() for x in np.nonzero(linked)), strict=True):
-        x, y = root(rows[i]["label"]), root(rows[j]["label"])
+    used, at = np.unique(pairs, return_inverse=True)
+    at = at.reshape(pairs.shape)
+    size = [len(sets[x]) for x in used.tolist()]
+    common = common_items([sets[x] for x in used.tolist()]) if len(pairs) > 20 * len(used) else None
+    for (i, j), (p, q) in zip(pairs.tolist(), at.tolist(), strict=True):
+        x, y = root(int(label[i])), root(int(label[j]))
         if x != y:
-            up[x] = y
-            yield min(rows[i]["rep"], rows[j]["rep"]), max(rows[i]["rep"], rows[j]["rep"])
+            both = int(common[p, q]) if common is not None else len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+            if 100 * both >= similar * (size[p] + size[q] - both):
+                up[x] = y
+                yield i, j
 
 
 def unresolved(left: DataFrame, classes: DataFrame, docs: DataFrame, size: int, similar: int) -> DataFrame:
     """Links between the components that meet in buckets (key, rep, label, grp).
 
     A group's members are compared in tiles. What a bucket has of several groups is compared pair by pair where it has
-    BLOCK members at most, so that a member meets no more than that; a larger bucket is a group of its own, in tiles too.
+    SMALL members at most, so that a member meets no more than that; a larger bucket is a group of its own, in tiles too.
     """
     several = left.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("rep")).alias("h1"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("h2"), F.min("grp").alias("low"), F.max("grp").alias("high")).where("low < high")
     several = written(several.groupBy("n", "h1", "h2").agg(F.min("key").alias("key")).select("key", "n"), "op7-several")  # equal buckets are one
     own = left.select("rep", F.struct(F.lit(0).alias("kind"), F.col("grp").alias("id")).alias("grp"), "label")
-    large = left.join(several.where(F.col("n") > BLOCK), "key").select("rep", F.struct(F.lit(1).alias("kind"), F.col("key").alias("id")).alias("grp"), "label")
-    items = full_sets(docs, left.select(F.col("rep").alias("doc_id")).distinct(), size, "op7-1")
-    tiled = within_groups(own.unionByName(large).distinct(), items, similar, "op7-tiles")
-    small = left.join(several.where(F.col("n") <= BLOCK).select("key"), "key")
+    large = left.join(several.where(F.col("n") > SMALL), "key").select("rep", F.struct(F.lit(1).alias("kind"), F.col("key").alias("id")).alias("grp"), "label")
+    members = written(compared(written(own.unionByName(large).distinct(), "op7-members"), classes, similar), "op7-alike")
+    small = left.join(several.where(F.col("n") <= SMALL).select("key"), "key")
     one, two = small.toDF("key", "rep", "x", "g"), small.toDF("key", "c", "y", "h")
     pairs = one.join(two, "key").where("x < y and g <> h").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
-    return tiled.unionByName(confirmed(near(pairs, classes, similar), items, similar, "op7-1"))
+    pairs = written(near(pairs, classes, similar), "op7-1-pairs")
+    ids = members.select(F.col("rep").alias("doc_id")).union(pairs.select("a")).union(pairs.select("b")).distinct()
+    items = full_sets(docs, ids, size, "op7-1")
+    links = within_groups(members, items, similar).unionByName(confirmed(pairs, items, similar, "op7-1"))
+    out = written(links, "op7-1-found")
+    dropped(several, members, pairs, items)
+    return out
+
+
+def tiled(members: DataFrame, sizes: DataFrame, *payload: str) -> DataFrame:
+    """members (grp, rep, label, payload) dealt to tiles: every pair of a group's blocks. sizes: (grp, blocks)."""
+    dealt = members.join(sizes, "grp").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    tile = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi"))))
+    dealt = dealt.select("grp", tile.alias("tile"), "block", "rep", "label", *payload).select("grp", "tile.lo", "tile.hi", "block", "rep", "label", *payload)
+    keys = ["grp", "lo", "hi"]
+    return dealt.repartition(partitions(members.sparkSession), *keys).sortWithinPartitions(*keys)
+
+
+def by_tile(batches):
+    """The rows of each tile, as columns."""
+    held = []
+    for b in (b.slice(i, 256) for b in batches for i in range(0, b.num_rows, 256)):
+        for row in b.to_pylist():
+            if held and any(row[c] != held[-1][c] for c in ("grp", "lo", "hi")):
+                yield held
+                held = []
+            held.append(row)
+    if held:
+        yield held
+
 
+def columns(rows):
+    return np.frombuffer(b"".join([r["signature"] for r in rows]), np.uint16).reshape(-1, SYMBOLS), *(np.array([r[c] for r in rows]) for c in ("n_shingles", "label", "block"))
 
-def within_groups(members: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
-    """Links between members (rep, grp, label) of one group: every pair of its blocks of about BLOCK is a tile of its own.
 
-    A tile has the full sets of two blocks; it gives links, never pairs. However large a group, no task has more.
+def compared(members: DataFrame, classes: DataFrame, similar: int) -> DataFrame:
+    """The members (grp, rep, label) that some member of their group and of another label may be linked with.
+
+    Their signatures alone are dealt to tiles, a row of some 150 bytes for every BLOCK members of a group.
     """
-    members = written(members, f"{name}-members")
     sizes = members.groupBy("grp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").drop("low", "high")
-    dealt = members.join(sizes, "grp").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    dealt = dealt.join(items.toDF("rep", "items"), "rep")
-    tile = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("lo"), F.greatest("block", j).alias("hi"))))
-    dealt = dealt.select("grp", tile.alias("tile"), "rep", "label", "items").select("grp", "tile.lo", "tile.hi", "rep", "label", "items")
+    rows = members.join(classes.select("rep", "n_shingles", "signature"), "rep").select("grp", "rep", "label", "n_shingles", "signature")
 
     def run(batches):
-        def out(rows):
-            got = list(tile_links(rows, similar)) if len({r["label"] for r in rows}) > 1 else []
-            if got:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*got, strict=True)], ["a", "b"])
-
-        held = []
-        for b in (b.slice(i, 256) for b in batches for i in range(0, b.num_rows, 256)):
-            for row in b.to_pylist():
-                if held and any(row[c] != held[-1][c] for c in ("grp", "lo", "hi")):
-                    yield from out(held)
-                    held = []
-                held.append(row)
-        if held:
-            yield from out(held)
+        for tile in by_tile(batches):
+            if len({r["label"] for r in tile}) > 1:
+                found = candidates(*columns(tile), similar)
+                if len(found):
+                    chosen = [tile[i] for i in np.unique(found).tolist()]
+                    yield pa.RecordBatch.from_pylist([{"grp": r["grp"], "rep": r["rep"], "label": r["label"]} for r in chosen], pa.schema([("grp", pa.struct([("kind", pa.int32()), ("id", pa.int64())])), ("rep", pa.int64()), ("label", pa.int64())]))
 
-    keys = ["grp", "lo", "hi"]
-    return written(dealt.repartition(partitions(items.sparkSession), *keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long"), f"{name}-links")
+    found = tiled(rows, sizes, "n_shingles", "signature").mapInArrow(lean(run), "grp struct<kind:int,id:bigint>, rep long, label long").distinct()
+    return found.join(classes.select("rep", "n_shingles", "signature"), "rep")
+
+
+def within_groups(members: DataFrame, items: DataFrame, similar: int) -> DataFrame:
+    """Links between members (grp, rep, label, n_shingles, signature) of one group, confirmed on full sets.
+
+    Every pair of a group's blocks is a tile, which has the full sets of two blocks of bounded bytes and gives links, never
+    pairs. However large a group, no task has more.
+    """
+    per = F.greatest(F.count("*") / SETS_BLOCK, F.sum("n_shingles") * 8 / SETS_BYTES)
+    sizes = members.groupBy("grp").agg(F.ceil(per).cast("int").alias("blocks"))
+    rows = members.join(items.toDF("rep", "items"), "rep")
+
+    def run(batches):
+        for tile in by_tile(batches):
+            sig, size, label, block = columns(tile)
+            pairs = candidates(sig, size, label, block, similar)
+            if len(pairs):
+                got = list(tile_links(pairs, [np.frombuffer(r["items"], np.uint64) for r in tile], label, similar))
+                if got:
+                    ends = [sorted((tile[i]["rep"], tile[j]["rep"])) for i, j in got]
+                    yield pa.RecordBatch.from_arrays([pa.array([e[k] for e in ends], pa.int64()) for k in (0, 1)], ["a", "b"])
+
+    return tiled(rows, sizes, "n_shingles", "signature", "items").mapInArrow(lean(run), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) for every document."""
+    """(doc_id, text_key, n_shingles, component_id, kept) for every document; text_key tells rows of one doc_id apart."""
     docs = keyed(docs)
     sets = written(sketches(docs, size), "op7-sets")
     classes = written(sets.where("n_shingles > 0").groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.min("signature").alias("signature")), "op7-classes")
     keys = indexed(classes, most_different(similar))
     many = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    met = written(keys.join(many, "key"), "op7-buckets")
+    met = buckets = written(keys.join(many, "key"), "op7-buckets")
     weight = met.groupBy("rep").agg(F.sum("n").alias("weight"))
     met = met.drop("n")
     centre = F.max_by("rep", F.struct("weight", -F.col("rep")))
-    first = written(met.join(weight, "rep").groupBy("key").agg(centre.alias("c"), F.max("weight").alias("cw")), "op7-centres")
+    first = centres = written(met.join(weight, "rep").groupBy("key").agg(centre.alias("c"), F.max("weight").alias("cw")), "op7-centres")
     group = met.join(first, "key").groupBy("rep").agg(F.max_by("c", F.struct("cw", -F.col("c"))).alias("grp"))
     first = first.drop("cw")
     pairs = met.join(first, "key").where("rep <> c").select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct()
     pairs = written(near(pairs, classes, similar), "op7-0-pairs")
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    links = confirmed(pairs, full_sets(docs, ids, size, "op7-0"), similar, "op7-0")
+    items = full_sets(docs, ids, size, "op7-0")
+    links = confirmed(pairs, items, similar, "op7-0")
+    dropped(pairs, items)
     labels = components(links, "op7-0")
+    dropped(links)
     marked = met.join(labels.toDF("rep", "component"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("label"))
     open_keys = marked.groupBy("key").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("key")
     left = written(marked.join(open_keys, "key").join(group, "rep"), "op7-open")
+    dropped(buckets, centres)
     more = unresolved(left, classes, docs, size, similar)
+    dropped(left)
     found = classes.join(labels.toDF("rep", "component"), "rep", "left").select("s1", "s2", "n_shingles", "rep", F.coalesce("component", "rep").alias("label"))
+    upper = None
     if not more.isEmpty():  # these links are between components: only their labels are joined anew
         ends = found.select("rep", "label")
         upper = components(more.join(ends.toDF("a", "x"), "a").join(ends.toDF("b", "y"), "b").select(F.col("x").alias("a"), F.col("y").alias("b")), "op7-1")
         found = found.join(upper.toDF("label", "component"), "label", "left").select("s1", "s2", "n_shingles", F.coalesce("component", "label").alias("label"))
-    joined = found.select("s1", "s2", "n_shingles", F.col("label").alias("component"))
-    return sets.join(joined, ["s1", "s2", "n_shingles"], "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), (F.coalesce("component", "doc_id") == F.col("doc_id")).alias("kept"))
+    joined = written(found.select("s1", "s2", "n_shingles", F.col("label").alias("component")), "op7-labels")
+    dropped(classes, labels, more, upper)
+    return sets.join(joined, ["s1", "s2", "n_shingles"], "left").select("doc_id", "text_key", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), (F.coalesce("component", "doc_id") == F.col("doc_id")).alias("kept"))

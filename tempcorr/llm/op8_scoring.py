@@ -22,8 +22,8 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tempcorr.llm.anchors import BYTE_HASHES, Rolling, WordPlaces
-from tempcorr.llm.common import keyed, mix, text_bytes, written
+from tempcorr.llm.anchors import WordPlaces, word_hashes
+from tempcorr.llm.common import keyed, lean, mix, text_bytes, written
 
 #: The part of all tokens whose words have an id of their own.
 COVER = 0.5
@@ -41,7 +41,7 @@ def hashes_of(text: bytes | None) -> np.ndarray:
     places = WordPlaces(text or b"")
     if not len(places):
         return np.zeros(0, np.int64)
-    return Rolling(BYTE_HASHES[places.raw]).at(places.starts, places.ends).view(np.int64)
+    return word_hashes(places).view(np.int64)
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
@@ -64,7 +64,7 @@ def word_counts(docs: DataFrame) -> DataFrame:
         if size:
             yield counted()
 
-    return docs.mapInArrow(run, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    return docs.mapInArrow(lean(run), "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
 class Vocabulary:
@@ -114,7 +114,7 @@ def shares(counts: DataFrame, table: Vocabulary) -> DataFrame:
             ids = table(b.column(0).to_numpy())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ids)], ["word", "n", "id"]).filter(pa.array(table.is_shared(ids)))
 
-    others = counts.mapInArrow(run, "word long, n long, id int")
+    others = counts.mapInArrow(lean(run), "word long, n long, id int")
     totals = others.groupBy("id").agg(F.sum("n").alias("all"))
     return others.join(F.broadcast(totals), "id").select("word", F.log(F.col("n") / F.col("all")).alias("share"))
 
@@ -140,7 +140,7 @@ def within_ids(docs: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFra
             if keys:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(words)), pa.array(np.concatenate(times).astype(np.int32))], ["key", "word", "times"])
 
-    rows = docs.select(key_of().alias("key"), "text").mapInArrow(run, "key long, word long, times int")
+    rows = docs.select(key_of().alias("key"), "text").mapInArrow(lean(run), "key long, word long, times int")
     return rows.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
 
 
@@ -253,7 +253,7 @@ def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int
         if words:
             yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([words], pa.int64()), pa.array([net.flat.tobytes()], pa.binary())], ["part", "words", "net"])
 
-    copies = written(part_docs.mapInArrow(run, "part int, words long, net binary"), f"op8-copies{turn}")
+    copies = written(part_docs.mapInArrow(lean(run), "part int, words long, net binary"), f"op8-copies{turn}")
     highest = copies.agg(F.max("part").alias("m")).first()["m"]
     if highest is None:
         return Network(begin, table.classes)
@@ -270,8 +270,8 @@ def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int
 
     while highest:
         highest //= FAN
-        copies = copies.withColumn("part", F.floor(F.col("part") / FAN).cast("int")).repartition(highest + 1, "part").mapInArrow(average, "part int, words long, net binary")
-    got = copies.mapInArrow(average, "part int, words long, net binary").collect()
+        copies = copies.withColumn("part", F.floor(F.col("part") / FAN).cast("int")).repartition(highest + 1, "part").mapInArrow(lean(average), "part int, words long, net binary")
+    got = copies.mapInArrow(lean(average), "part int, words long, net binary").collect()
     total = sum(r["words"] for r in got)
     return Network((sum(r["words"] / total * np.frombuffer(r["net"], np.float32).astype(np.float64) for r in got)).astype(np.float32), table.classes)
 
@@ -312,7 +312,7 @@ def score(docs: DataFrame) -> DataFrame:
                 flush(doc, held, sums)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(sizes.astype(np.int64)), pa.array(others), pa.array(sums)], ["doc_id", "key", "n_tokens", "others", "log_prob"])
 
-    scored = docs.select("doc_id", "text", key_of().alias("key")).mapInArrow(run, "doc_id long, key long, n_tokens long, others long, log_prob double")
+    scored = docs.select("doc_id", "text", key_of().alias("key")).mapInArrow(lean(run), "doc_id long, key long, n_tokens long, others long, log_prob double")
     both = scored.join(within_ids(docs, counts, table), "key", "left")
     # equal rows have one key, under which their words are added up: each has its part
     log_prob = F.col("log_prob") + F.when(F.col("others") > 0, F.col("within") * F.col("others") / F.col("found")).otherwise(F.lit(0.0))

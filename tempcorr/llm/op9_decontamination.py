@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tempcorr.llm.common import keyed, mix, text_bytes
+from tempcorr.llm.common import keyed, lean, mix, text_bytes
 
 #: Everything but ASCII letters, digits and bytes of other characters separates words; upper case is lowered.
 FOLD = bytes(x + 32 if 65 <= x <= 90 else x if 48 <= x <= 57 or 97 <= x <= 122 or x >= 128 else 32 for x in range(256))
@@ -130,7 +130,7 @@ def _rarity(docs: DataFrame, windows: Windows) -> dict[tuple[int, int], int]:
             some = c > 0
             yield pa.RecordBatch.from_arrays([pa.array(np.full(some.sum(), k, np.int32)), pa.array(windows.shingles[k][some]), pa.array(c[some])], ["k", "h", "n"])
 
-    found = docs.mapInArrow(run, "k int, h long, n long").groupBy("k", "h").agg(F.sum("n").alias("n")).collect()
+    found = docs.mapInArrow(lean(run), "k int, h long, n long").groupBy("k", "h").agg(F.sum("n").alias("n")).collect()
     return {(r["k"], r["h"]): r["n"] for r in found}
 
 
@@ -153,7 +153,7 @@ def _hits(docs: DataFrame, items: list[tuple[str, bytes | None]], size: int) ->
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), pa.list_(pa.string())), strict=True)], ["doc_id", "n_words", "spans", "items"])
 
-    return docs.mapInArrow(run, HITS)
+    return docs.mapInArrow(lean(run), HITS)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, size: int = 13, share: int = 20) -> DataFrame:
@@ -196,4 +196,4 @@ def judge(hits: DataFrame, share: int = 20) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()), strict=True)], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    return hits.select("doc_id", "n_words", "spans", "items").mapInArrow(run, OUT)
+    return hits.select("doc_id", "n_words", "spans", "items").mapInArrow(lean(run), OUT)

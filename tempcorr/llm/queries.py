@@ -35,7 +35,7 @@ def quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return op7_neardup.near_duplicates(documents(spark, sf_dir))
+    return op7_neardup.near_duplicates(documents(spark, sf_dir)).drop("text_key")
 
 
 def scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
