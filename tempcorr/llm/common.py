@@ -147,5 +147,5 @@ def unpacked(text: bytes) -> bytes:
 
 def text_bytes(column: pa.Array) -> list[bytes | None]:
     """The UTF-8 bytes of a string column, without decoding them."""
-    kind = pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()
+    kind = pa.large_binary() if pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type) else pa.binary()
     return column.cast(kind).to_pylist()

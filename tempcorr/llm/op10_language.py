@@ -3,14 +3,16 @@
 Texts are lowered; every run of what is no letter is one space. N-grams are packed into integers, which serve as perfect
 hashes; the probabilities of all languages stand beside each other in arrays sorted by them, so that one search serves
 all languages. The language of the lowest cross-entropy for a character wins. Its score is its share among the languages
-(a softmax over the whole text's log-likelihoods, tempered) times the acceptance of its cross-entropy: what lies far
-above that of the language's own sample is rejected.
+(a softmax over the whole text's log-likelihoods, tempered) times the acceptance of its cross-entropy. That is calibrated on
+a fifth of the sample, which the models don't learn: a text is rejected whose cross-entropy lies one spread or more
+above the largest there.
 
 The models are fitted on a sample of at most about MOST_DOCUMENTS labelled documents for each language, taken by a hash
 of doc_id. Everything else covers all rows.
 
 Defined results: null text or text without a letter is `und` with score 0; without any labelled text all is `und`;
-repeated rows are judged each; an empty table gives no rows; other columns are ignored.
+repeated rows are judged each; an empty table gives no rows; other columns are ignored, whatever their names. A very long
+text is judged in blocks.
 """
 
 from __future__ import annotations
@@ -31,6 +33,8 @@ MOST_DOCUMENTS = 1500
 #: Bits of a symbol: space, others, and every letter of the sample (the most frequent 65,534, should it have more).
 BITS = 16
 ORDER = 4
+#: Labelled documents from which on a fifth of a language's sample is not learned but calibrates its rejection.
+LEAST_MEASURED = 20
 UND = "und"
 OUT = "doc_id long, lang_pred string, score double, cross_entropy double"
 #: Texts are judged in blocks of so many characters, whose sums are added.
@@ -155,7 +159,7 @@ class Judge:
                 _, _, found, gamma = m.tables[order]
                 rest[np.searchsorted(contexts, found), j] = np.log(gamma)
             self.back[order] = (contexts, rest)
-        self.typical: dict[str, tuple[float, float]] = {}
+        self.typical: dict[str, tuple[float, float, float]] = {}
 
     def log_likelihoods(self, s: np.ndarray) -> np.ndarray:
         """Of each language; the sum over all characters after the first three."""
@@ -194,19 +198,17 @@ class Judge:
         best = int(total.argmax())
         share = 1 / np.exp(np.maximum((total - total[best]) / max(1.0, math.sqrt(n) / 4), -700)).sum()
         h = -total[best] / n
-        mean, spread = self.typical[self.names[best]]
-        beyond = (h - mean) / (spread * (1 + 8 / math.sqrt(n)))
-        return self.names[best], float(share / (1 + math.exp(min(50.0, beyond - 12)))), float(h)
+        mean, spread, limit = self.typical[self.names[best]]
+        beyond = (h - mean) / (spread * widened(n)) - limit  # at one spread beyond the limit the score is under 0.02
+        return self.names[best], float(share / (1 + math.exp(max(-50.0, min(50.0, 4 * beyond))))), float(h)
 
 
 def sample(docs: DataFrame, most: int = MOST_DOCUMENTS) -> DataFrame:
-    """Labelled texts to learn from, about `most` of each language by a hash of doc_id, none of them held out."""
+    """(lang, text, measured): about `most` labelled texts of each language by a hash of doc_id, none of them held out."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
-    sizes = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(1000).collect()}
-    part = F.lit(0)
-    for lang, n in sizes.items():
-        part = F.when(F.col("lang") == lang, min(1_000_000, most * 1_000_000 // n)).otherwise(part)
-    return labelled.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < part).select("lang", "text")
+    sizes = labelled.groupBy("lang").agg(F.count("*").alias("_n"))  # a row for each language
+    part = F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) * F.col("_n") < F.lit(most * 1_000_000)
+    return labelled.join(F.broadcast(sizes), "lang").where(part).select("lang", "text", ((F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(5)) == 0) & (F.col("_n") >= LEAST_MEASURED)).alias("measured"))
 
 
 def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
@@ -237,33 +239,49 @@ def fit(docs: DataFrame, most: int = MOST_DOCUMENTS) -> Judge:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(k)), pa.array(k.view(np.int64)), pa.array(n)], ["lang", "k", "n"])
 
     counts: dict[str, dict[int, int]] = defaultdict(dict)
-    for r in chosen.mapInArrow(lean(count), "lang string, k long, n long").groupBy("lang", "k").agg(F.sum("n").alias("n")).toLocalIterator():
+    for r in chosen.where("not measured").mapInArrow(lean(count), "lang string, k long, n long").groupBy("lang", "k").agg(F.sum("n").alias("n")).toLocalIterator():
         counts[r["lang"]][r["k"] & 0xFFFFFFFFFFFFFFFF] = r["n"]
     judge = Judge(alphabet, {x: KneserNey(c, BITS, len(alphabet) + 2) for x, c in counts.items()}) if counts else Judge.__new__(Judge)
     if not counts:
         judge.names, judge.typical = [], {}
         return judge
-    judge.typical = {x: (0.0, 1.0) for x in judge.names}
 
-    def typical(batches):
+    def entropy(batches):
         for b in batches:
             rows = []
             for lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 total, n = judge.entropies(text)
-                if n > 200 and lang in judge.names:
-                    rows.append((lang, float(-total[judge.names.index(lang)] / n)))
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.float64())], ["lang", "h"])
-
-    for r in chosen.mapInArrow(lean(typical), "lang string, h double").groupBy("lang").agg(F.avg("h").alias("m"), F.coalesce(F.stddev("h"), F.lit(0.0)).alias("s")).collect():
-        judge.typical[r["lang"]] = (r["m"], max(0.05, r["s"]))
-    for x in judge.names:  # too short a sample to tell: nothing is rejected for its entropy
-        if judge.typical[x] == (0.0, 1.0):
-            judge.typical[x] = (10.0, 1.0)
+                if n > 0 and lang in judge.names:
+                    rows.append((lang, float(-total[judge.names.index(lang)] / n), n))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], kind) for i, kind in enumerate((pa.string(), pa.float64(), pa.int64()))], ["lang", "h", "n"])
+
+    measured: dict[str, list[tuple[float, int]]] = defaultdict(list)
+    for r in chosen.where("measured").mapInArrow(lean(entropy), "lang string, h double, n long").toLocalIterator():
+        measured[r["lang"]].append((r["h"], r["n"]))  # as many as the sample's bound allows
+    judge.typical = {x: limits(measured[x]) for x in judge.names}
     return judge
 
 
+def limits(found: list[tuple[float, int]]) -> tuple[float, float, float]:
+    """(mean, spread, limit) of cross-entropies of texts of a language that its model has not seen.
+
+    The limit is what no such text exceeds, in spreads that are wider for short texts. Without such texts none is set.
+    """
+    if not found:
+        return 0.0, 1.0, math.inf
+    h, n = (np.array(x, float) for x in zip(*found, strict=True))
+    mean = float(np.average(h, weights=np.minimum(n, 2000)))
+    spread = max(0.05, float(np.median(np.abs(h - mean))) * 1.5)
+    return mean, spread, float(max(1.0, ((h - mean) / (spread * widened(n))).max()))
+
+
+def widened(n):
+    return 1 + 8 / np.sqrt(n)
+
+
 def identify(docs: DataFrame, most: int = MOST_DOCUMENTS) -> DataFrame:
     """Rows of OUT for every document. Fits on `doc_id`, `text` and `lang`; judges by the text alone."""
+    bounded(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
     judge = fit(docs, most)
 
@@ -278,6 +296,7 @@ def identify(docs: DataFrame, most: int = MOST_DOCUMENTS) -> DataFrame:
 
 def accepted(docs: DataFrame, least: float = 0.02, most: int = MOST_DOCUMENTS) -> DataFrame:
     """The documents whose language is told with a score of `least` or more, with all their columns."""
+    bounded(docs.sparkSession)
     judge = fit(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")), most)
     at = docs.columns.index("text")
 

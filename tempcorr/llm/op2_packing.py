@@ -8,12 +8,14 @@ for each part of the input, so that no text or token is shuffled. A queue that r
 others are scaled up. Only the last window of all is not full.
 
 Defined results: null text is empty and gives the end token alone; null source is a queue of its own; repeated rows are
-packed each; an empty table gives no rows; other columns are ignored.
+packed each; `<|endoftext|>` inside a text is that one token, as the tokenizers library has it; an empty table gives no
+rows; other columns are ignored, whatever their names. A very long text is encoded as a whole.
 """
 
 from __future__ import annotations
 
 import base64
+import json
 import re
 import zlib
 from fractions import Fraction
@@ -38,7 +40,8 @@ class Encoder:
 
     Where all white space is single, the vocabulary's splitting pattern always begins a new part at a space, so that a
     text's ids are those of its words, each with the space before it. Other texts are encoded whole. The rank file has
-    the vocabulary of byte_bpe_50k.json; a test holds the ids against the tokenizers library.
+    the vocabulary of byte_bpe_50k.json; a test holds the ids against the tokenizers library. As there, a special token
+    that stands in a text is that token.
     """
 
     LIMIT = 300_000
@@ -52,6 +55,9 @@ class Encoder:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.whole = tiktoken.Encoding("own", pat_str=public.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         self.known: dict[str, bytes] = {}
+        with open(public.path("byte_bpe_50k.json"), encoding="utf-8") as f:
+            self.special = {x["content"]: np.array([x["id"]], np.uint16).tobytes() for x in json.load(f)["added_tokens"]}
+        self.cut = re.compile("|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) or r"(?!)")
 
     def of(self, word: str) -> bytes:
         if len(self.known) >= self.LIMIT:
@@ -61,6 +67,13 @@ class Encoder:
 
     def __call__(self, text: str) -> bytes:
         """Little-endian unsigned 16-bit ids."""
+        if self.cut.search(text):
+            parts = self.cut.split(text)
+            between = [*map(self.special.__getitem__, self.cut.findall(text)), b""]
+            return b"".join([x for part, token in zip(parts, between, strict=True) for x in (self.plain(part), token)])
+        return self.plain(text)
+
+    def plain(self, text: str) -> bytes:
         if not text:
             return b""
         if "\0" in text or self.UNEVEN.search(text):

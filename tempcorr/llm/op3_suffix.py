@@ -6,7 +6,9 @@ never sorted. A shard's strings are sorted by external induction (induced.py): n
 meet in one task, are matched window by window.
 
 Defined results: null or empty text has 0 bytes, nothing removed and the hash of no bytes; texts shorter than the window
-lose nothing; two rows with one doc_id count as two places; an empty table gives no rows; other columns are ignored.
+lose nothing; every row is a place of its own, also where rows share a doc_id; an empty table gives no rows; other columns
+are ignored, whatever their names. A very long text is hashed in blocks and cut as a whole, in some 20 bytes of memory
+for each of its bytes.
 """
 
 from __future__ import annotations
@@ -16,9 +18,10 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from tempcorr.llm import anchors
-from tempcorr.llm.common import keyed, unpacked
+from tempcorr.llm.common import keyed, lean, packed, text_bytes, unpacked, written
 from tempcorr.llm.induced import suffix_array
 
 SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
@@ -68,9 +71,31 @@ def repeated(window: int):
     return resolve
 
 
-def strings(docs: DataFrame, window: int = 400) -> DataFrame:
-    """(doc_id, start, end): spans of bytes that are repeated."""
-    return anchors.repeats(keyed(docs), anchors.Bytes, window, max(1, min(64, window // 4)), False, repeated(window), "op3")
+def numbered(docs: DataFrame) -> DataFrame:
+    """(row, doc_id, packed): every row of the input under a number of its own, its text compressed; a written table."""
+
+    def run(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([None if t is None else packed(t) for t in text_bytes(b.column(2))], pa.binary())], ["row", "doc_id", "packed"])
+
+    rows = keyed(docs).select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
+    return written(rows.mapInArrow(lean(run), "row long, doc_id long, packed binary"), "op3-rows")
+
+
+def plain(rows: DataFrame) -> DataFrame:
+    """(doc_id, text) as the anchors' functions take them: the number of the row, and its bytes."""
+
+    def run(batches):
+        for b in batches:
+            for p in (b.slice(i, 64) for i in range(0, b.num_rows, 64)):
+                yield pa.RecordBatch.from_arrays([p.column(0), pa.array([None if t is None else unpacked(t) for t in p.column(1).to_pylist()], pa.binary())], ["doc_id", "text"])
+
+    return rows.select("row", "packed").mapInArrow(lean(run), "doc_id long, text binary")
+
+
+def strings(rows: DataFrame, window: int = 400) -> DataFrame:
+    """(doc_id, start, end): spans of bytes that are repeated, by the number of the row."""
+    return anchors.repeats(plain(rows), anchors.Bytes, window, max(1, min(64, window // 4)), False, repeated(window), "op3")
 
 
 def dedup(docs: DataFrame, window: int = 400) -> DataFrame:
@@ -87,5 +112,6 @@ def dedup(docs: DataFrame, window: int = 400) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()), strict=True)], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    docs = keyed(docs)
-    return anchors.with_spans(docs, strings(docs, window), cut, SCHEMA)
+    rows = numbered(docs)
+    spans = strings(rows, window).groupBy(F.col("doc_id").alias("row")).agg(F.collect_list(F.struct("start", "end")).alias("spans"))
+    return rows.join(spans, "row", "left").select("doc_id", "packed", "spans").mapInArrow(lean(cut), SCHEMA)

@@ -5,14 +5,17 @@ ends a WARC record: gzip files, in any store that Spark writes, committed by its
 and parsed; every file gives a run of index entries sorted by URL key and time. Runs are dealt by ranges of the key and
 time and merged by a loser tree of k runs in each range, so that the whole is in order.
 
-Defined results: null html is an empty payload, null url a record without a target; repeated page_ids are records of
-their own; an empty table gives an empty index; other columns are ignored.
+Defined results: null html is an empty payload, null url a record without a target, null page_id a record of its own that
+is older than those with an id; repeated page_ids are records of their own, each judged by its own payload; an empty table
+gives an empty index; other columns are ignored, whatever their names. A reader holds a file of at most RECORDS records,
+so that very long pages need memory for as many of them.
 """
 
 from __future__ import annotations
 
 import gzip
 import hashlib
+import tempfile
 import uuid
 from urllib.parse import urlsplit
 
@@ -26,7 +29,9 @@ CRLF = "\r\n"
 INDEX = "urlkey string, captured string, page_id long, record_type string, refers_to long, payload_bytes long, payload_digest string, run string, place long"
 #: Records of a file: bounds what a reader holds.
 RECORDS = 2000
-ID = "urn:tempcorr:page:"
+ID, NO_ID = "urn:tempcorr:page:", "none"
+#: Rows of a run that are read from disk at once, and runs that are merged at once.
+BLOCK, FAN = 128, 256
 
 
 def records(pages: DataFrame, least: int = 1000) -> DataFrame:
@@ -34,8 +39,9 @@ def records(pages: DataFrame, least: int = 1000) -> DataFrame:
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
     known = pages.select("page_id", F.octet_length("html").alias("size"), F.sha1(F.col("html").cast("binary")).alias("digest"))
     last = known.where(F.col("size") >= least).groupBy("digest").agg(F.max("page_id").alias("last"), F.count("*").alias("n")).where("n > 1")
-    revisits = known.where(F.col("size") >= least).join(last, "digest").where("page_id < last").select("page_id", "last").distinct()
-    full = pages.join(revisits, "page_id", "left").withColumn("size", F.octet_length("html")).withColumn("digest", F.sha1(F.col("html").cast("binary")))
+    revisits = known.where(F.col("size") >= least).join(last, "digest").where("page_id is null and last is not null or page_id < last").select(F.col("page_id").alias("_page"), F.col("digest").alias("_digest"), "last").distinct()
+    full = pages.withColumn("size", F.octet_length("html")).withColumn("digest", F.sha1(F.col("html").cast("binary")))
+    full = full.join(revisits, F.col("page_id").eqNullSafe(F.col("_page")) & (F.col("digest") == F.col("_digest")), "left")
     http = F.concat(F.lit(f"HTTP/1.1 200 OK{CRLF}Content-Type: text/html; charset=utf-8{CRLF}Content-Length: "), F.col("size").cast("string"), F.lit(CRLF + CRLF))
     again = F.col("last").isNotNull()
     block = F.when(again, http).otherwise(F.concat(http, F.col("html")))
@@ -44,12 +50,12 @@ def records(pages: DataFrame, least: int = 1000) -> DataFrame:
     def field(name: str, value: Column) -> Column:
         return F.coalesce(F.concat(F.lit(f"{name}: "), value, F.lit(CRLF)), F.lit(""))
 
-    page = F.col("page_id").cast("string")
+    page = F.coalesce(F.col("page_id").cast("string"), F.lit(NO_ID))
     head = F.concat(
         F.lit(f"WARC/1.1{CRLF}"),
         field("WARC-Type", F.when(again, "revisit").otherwise("response")),
         field("WARC-Record-ID", F.concat(F.lit(f"<{ID}"), page, F.lit(">"))),
-        field("WARC-Date", F.date_format(F.to_utc_timestamp(F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod("page_id", F.lit(1_000_000_000))), F.current_timezone()), "yyyy-MM-dd'T'HH:mm:ss'Z'")),
+        field("WARC-Date", F.date_format(F.to_utc_timestamp(F.timestamp_seconds(F.lit(1_700_000_000) + F.pmod(F.coalesce("page_id", F.lit(0)), F.lit(1_000_000_000))), F.current_timezone()), "yyyy-MM-dd'T'HH:mm:ss'Z'")),
         field("WARC-Target-URI", url),
         field("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("digest"))),
         field("WARC-Profile", F.when(again, "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")),
@@ -58,7 +64,7 @@ def records(pages: DataFrame, least: int = 1000) -> DataFrame:
         field("Content-Length", F.octet_length(block).cast("string")),
         F.lit(CRLF),
     )
-    return full.where("page_id is not null").select(F.concat(head, block).alias("value"))
+    return full.select(F.concat(head, block).alias("value"))
 
 
 def write_archives(pages: DataFrame, path: str, least: int = 1000) -> None:
@@ -94,11 +100,17 @@ def _fields(head: bytes) -> dict[str, str]:
     return {k.decode().lower(): v.decode() for k, _, v in (x.partition(b": ") for x in head.split(b"\r\n")[1:])}
 
 
+def in_order(row):
+    """By URL key and time, then by page; a page without an id comes first."""
+    return row[0], row[1], row[2] is not None, row[2] or 0
+
+
 def read_runs(spark, path: str) -> DataFrame:
     """Index entries of the archives in a folder; those of a file are a run, sorted by URL key and time."""
 
     def number(name: str | None) -> int | None:
-        return None if name is None else int(name.strip("<>").removeprefix(ID))
+        name = NO_ID if name is None else name.strip("<>").removeprefix(ID)
+        return None if name == NO_ID else int(name)
 
     def run(batches):
         for b in batches:
@@ -109,7 +121,7 @@ def read_runs(spark, path: str) -> DataFrame:
                     if fields["warc-type"] == "response":
                         digest, size = hashlib.sha1(payload).hexdigest(), len(payload)
                     rows.append((url_key(fields.get("warc-target-uri")), fields["warc-date"], number(fields["warc-record-id"]), fields["warc-type"], number(fields.get("warc-refers-to")), size, digest))
-                rows.sort(key=lambda r: r[:3])
+                rows.sort(key=in_order)
                 if rows:
                     kinds = (pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string())
                     arrays = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)]
@@ -157,29 +169,74 @@ class LoserTree:
             self._replay(i)
 
 
-def merged(runs: DataFrame) -> DataFrame:
-    """All runs as one, in the order of URL key, time and page: ranges of it, each merged by a loser tree."""
-    names = [x.split()[0] for x in INDEX.split(", ")]
-
-    def run(batches):
-        by: dict[str, list] = {}
-        schema = None
-        for b in batches:
-            schema = b.schema
-            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                by.setdefault(row[7], []).append(row)
-        for rows in by.values():  # a shuffle may bring the blocks of a run in any order
-            rows.sort(key=lambda r: r[8])
+class RunFile:
+    """Sorted runs on a task's scratch disk, as blocks of few rows; of each run one block is in memory at a time."""
+
+    def __init__(self, schema: pa.Schema):
+        self.schema, self.file = schema, tempfile.TemporaryFile()
+        self.runs: list[list[tuple[int, int]]] = []
+
+    def add(self, batch: pa.RecordBatch) -> None:
+        """Appends rows to the last run."""
+        for i in range(0, batch.num_rows, BLOCK):
+            data = batch.slice(i, BLOCK).serialize()
+            self.file.seek(0, 2)
+            self.runs[-1].append((self.file.tell(), data.size))
+            self.file.write(data)
+
+    def rows(self, run: list[tuple[int, int]]):
+        for at, size in run:
+            self.file.seek(at)
+            batch = pa.ipc.read_record_batch(pa.py_buffer(self.file.read(size)), self.schema)
+            yield from zip(*(c.to_pylist() for c in batch.columns), strict=True)
+
+    def merged(self):
+        """Batches of all runs in order; more than FAN runs are merged in several passes."""
+        waiting = self.runs
+        while len(waiting) > FAN:
+            self.runs = []
+            for i in range(0, len(waiting), FAN):
+                self.runs.append([])
+                for batch in self._merge(waiting[i : i + FAN]):
+                    self.add(batch)
+            waiting = self.runs
+        yield from self._merge(waiting)
+
+    def _merge(self, runs):
         held = []
-        for row in LoserTree(by.values(), lambda r: r[:3]):
+        for row in LoserTree([self.rows(r) for r in runs], in_order):
             held.append(row)
-            if len(held) == 10_000:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*held, strict=True), schema.types, strict=True)], names)
+            if len(held) == 4096:
+                yield self._batch(held)
                 held = []
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*held, strict=True), schema.types, strict=True)], names)
+            yield self._batch(held)
 
-    return runs.repartitionByRange(partitions(runs.sparkSession), "urlkey", "captured", "page_id").mapInArrow(lean(run), INDEX)
+    def _batch(self, rows) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), self.schema, strict=True)], schema=self.schema)
+
+
+def merged(runs: DataFrame) -> DataFrame:
+    """All runs as one, in the order of URL key, time and page: ranges of it, each merged from disk by a loser tree."""
+
+    def run(batches):
+        file, last = None, None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            file = file or RunFile(b.schema)
+            names = b.column(7).to_pylist()
+            cuts = [0, *(i for i in range(1, len(names)) if names[i] != names[i - 1]), len(names)]
+            for s, e in zip(cuts[:-1], cuts[1:], strict=True):
+                if names[s] != last:
+                    file.runs.append([])
+                    last = names[s]
+                file.add(b.slice(s, e - s))
+        if file is not None:
+            yield from file.merged()
+
+    dealt = runs.repartitionByRange(partitions(runs.sparkSession), "urlkey", "captured", "page_id")
+    return dealt.sortWithinPartitions("run", "place").mapInArrow(lean(run), INDEX)
 
 
 def archive(pages: DataFrame, path: str | None = None, least: int = 1000) -> DataFrame:

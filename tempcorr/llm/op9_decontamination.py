@@ -8,7 +8,9 @@ place is compared word by word.
 The items are broadcast, in blocks of a checked size: more items mean more blocks, each over all documents.
 
 Defined results: null or empty text has no words: such a document is clean, such an item has no window; repeated rows of
-an item count once in n_items; an empty benchmark leaves all documents clean; other columns are ignored.
+an item count once in n_items; repeated rows of a document are judged each, and rows of one doc_id with other texts each
+by its own text, whatever the number of blocks; an empty benchmark leaves all documents clean; other columns are ignored,
+whatever their names. A very long text takes some 100 bytes of memory for each word.
 """
 
 from __future__ import annotations
@@ -27,8 +29,8 @@ FOLD = bytes(x + 32 if 65 <= x <= 90 else x if 48 <= x <= 57 or 97 <= x <= 122 o
 SHINGLE = 4
 #: Bytes of items that are broadcast at once.
 MOST_BYTES = 64 << 20
-HITS = "doc_id long, n_words long, spans array<struct<start:int,end:int>>, items array<string>"
-OUT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
+HITS = "doc_id long, text_key long, n_words long, spans array<struct<start:int,end:int>>, items array<string>"
+OUT = "doc_id long, text_key long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
 
 
 def words_of(text: bytes | None) -> list[bytes]:
@@ -141,7 +143,7 @@ def _hits(docs: DataFrame, items: list[tuple[str, bytes | None]], size: int) ->
     def run(batches):
         for b in batches:
             rows = []
-            for doc, text in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), strict=True):
+            for doc, text, key in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), b.column(2).to_pylist(), strict=True):
                 words = words_of(text)
                 edge, found = np.zeros(len(words) + 1, np.int64), set()
                 for starts, i in windows.hits(windows.codes(words)):
@@ -149,17 +151,18 @@ def _hits(docs: DataFrame, items: list[tuple[str, bytes | None]], size: int) ->
                     np.add.at(edge, starts + len(windows.windows[i]), -1)
                     found.update(windows.owners[i])
                 turns = np.diff((np.cumsum(edge) > 0).astype(np.int8), prepend=np.int8(0)) if found else edge[:0]
-                rows.append((doc, len(words), [{"start": s, "end": e} for s, e in zip(np.flatnonzero(turns == 1).tolist(), np.flatnonzero(turns == -1).tolist(), strict=True)], sorted(found)))
+                rows.append((doc, key, len(words), [{"start": s, "end": e} for s, e in zip(np.flatnonzero(turns == 1).tolist(), np.flatnonzero(turns == -1).tolist(), strict=True)], sorted(found)))
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), pa.list_(pa.string())), strict=True)], ["doc_id", "n_words", "spans", "items"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])), pa.list_(pa.string())), strict=True)], ["doc_id", "text_key", "n_words", "spans", "items"])
 
-    return docs.mapInArrow(lean(run), HITS)
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("text_key")).mapInArrow(lean(run), HITS)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, size: int = 13, share: int = 20) -> DataFrame:
     """The documents that are not contaminated, with all their columns."""
-    bad = judge(find(docs, benchmark, size), share).where("contaminated").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti").select(*docs.columns)
+    bad = judge(find(docs, benchmark, size), share).where("contaminated").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
+    same = (F.col("doc_id").cast("long") == F.col("_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("_key"))
+    return docs.join(bad, same, "left_anti").select(*docs.columns)
 
 
 def find(docs: DataFrame, benchmark: DataFrame, size: int = 13, most_bytes: int = MOST_BYTES) -> DataFrame:
@@ -172,12 +175,12 @@ def find(docs: DataFrame, benchmark: DataFrame, size: int = 13, most_bytes: int
     for i in range(blocks):
         part = items.where(F.pmod(F.xxhash64("text"), F.lit(blocks)) == i)
         parts.append(_hits(docs, [(r["item_id"], None if r["text"] is None else r["text"].encode()) for r in part.collect()], size))
-    if blocks == 1:
-        return parts[0]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
-    return out.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
+    if blocks > 1:  # equal rows have equal results: as many of them as there were
+        out = out.groupBy("doc_id", "text_key").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"), F.explode(F.array_repeat(F.lit(0), (F.count("*") / blocks).cast("int"))).alias("_copy")).drop("_copy")
+    return out
 
 
 def judge(hits: DataFrame, share: int = 20) -> DataFrame:
@@ -186,14 +189,14 @@ def judge(hits: DataFrame, share: int = 20) -> DataFrame:
     def run(batches):
         for b in batches:
             rows = []
-            for doc, n, spans, items in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for doc, key, n, spans, items in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 edge = np.zeros(n + 1, np.int64)
                 for s in spans:
                     edge[s["start"]] += 1
                     edge[s["end"]] -= 1
                 hit = int((np.cumsum(edge) > 0).sum()) if spans else 0
-                rows.append((doc, n, hit, len(items), hashlib.sha256(",".join(sorted(items)).encode()).hexdigest(), hit > 0 and share * hit >= n))
+                rows.append((doc, key, n, hit, len(items), hashlib.sha256(",".join(sorted(items)).encode()).hexdigest(), hit > 0 and share * hit >= n))
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()), strict=True)], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()), strict=True)], ["doc_id", "text_key", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    return hits.select("doc_id", "n_words", "spans", "items").mapInArrow(lean(run), OUT)
+    return hits.select("doc_id", "text_key", "n_words", "spans", "items").mapInArrow(lean(run), OUT)

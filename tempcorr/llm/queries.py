@@ -43,7 +43,7 @@ def scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return op9_decontamination.judge(op9_decontamination.find(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet")))
+    return op9_decontamination.judge(op9_decontamination.find(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))).drop("text_key")
 
 
 def language(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -84,6 +84,19 @@ def test_suffix_dedup_awkward(docs, rows):
     assert got(op3_suffix.dedup(docs), *SUFFIX) == brute.suffix(pairs(rows))
 
 
+def test_suffix_dedup_of_rows_with_one_id(spark):
+    rng = random.Random(4)
+    one, two = ("".join(rng.choices("abcdefgh ", k=1500)) for _ in range(2))
+    rows = [(7, one), (7, two), (7, two[:300] + one[:600]), (8, one[100:900]), (9, two), (9, two), (None, two)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted((tuple(r) for r in op3_suffix.dedup(docs).select(*SUFFIX).collect()), key=str) == sorted(_suffix(rows), key=str)
+
+
+def _suffix(rows):
+    """brute.suffix by place: rows of one id, and without an id."""
+    return [(rows[i][0], *r[1:]) for i, r in enumerate(brute.suffix([(i, t) for i, (_, t) in enumerate(rows)]))]
+
+
 def test_suffix_dedup_table(spark, small):
     table = spark.read.parquet(f"{small}/documents.parquet")
     assert got(queries()["op3_suffix_dedup"](spark, small), *SUFFIX) == brute.suffix([tuple(r) for r in table.select("doc_id", "text").collect()])
@@ -184,6 +197,10 @@ def test_decontamination(spark, docs, rows):
     want = brute.decontamination(pairs(rows), items)
     assert got(op9_decontamination.judge(op9_decontamination.find(docs, bench)), *HIT) == want
     assert got(op9_decontamination.judge(op9_decontamination.find(docs, bench, most_bytes=300)), *HIT) == want
+    twice = docs.where("doc_id in (3, 10, 402)").unionByName(docs).unionByName(docs.where("doc_id = 3").withColumn("text", F.lit("w1 w2 w1 w2")))
+    few, many = (got(op9_decontamination.judge(op9_decontamination.find(twice, bench, most_bytes=n)), *HIT) for n in (1 << 20, 300))
+    assert few == many and len(few) == len(rows) + 4
+    assert op9_decontamination.clean(twice, bench).where("doc_id = 3").count() == 2  # the third row of this id is contaminated
     none = bench.limit(0)
     assert all(not r["contaminated"] for r in op9_decontamination.judge(op9_decontamination.find(docs, none)).collect())
 
@@ -217,7 +234,8 @@ def test_packing(spark, docs, rows, small):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
+    special = [(9001, "one <|endoftext|> two<|endoftext|><|endoftext|>", "en", "a", 0, "x", 1, 2, 3), (9002, "<|endoftext|>", "en", "a", 0, "x", 1, 2, 3), (9003, "<|endoftext| >", "en", "b", 0, "x", 1, 2, 3)]
+    docs, rows = docs.unionByName(spark.createDataFrame(special, SCHEMA)), [*rows, *special]
     table = [tuple(r) for r in spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text").collect()]
     for df, source in ((op2_packing.pack(docs), pairs(rows)), (queries()["op2_packing"](spark, small), table), (op2_packing.pack(docs, 256, {"hot": 3, "a": 1, "c": 1}), pairs(rows))):
         window = 256 if df is None else 2048
@@ -296,6 +314,29 @@ def test_warc(spark, tmp_path):
     assert len(list(op5_warc.parse(raw))) == len(rows)
 
 
+def test_warc_of_repeated_and_missing_ids(spark, tmp_path):
+    p, q, r = ("<p>" + c * 1500 for c in "pqr")
+    rows = [(5, p), (5, q), (9, p), (9, r), (3, r), (None, r), (None, None)]
+    df = op5_warc.archive(spark.createDataFrame([(i, "http://h.org/", h) for i, h in rows], "page_id long, url string, html string"), str(tmp_path / "w"))
+    found = [(r["page_id"], r["record_type"], r["refers_to"]) for r in df.collect()]
+    want = [(5, "revisit", 9), (5, "response", None), (9, "response", None), (9, "response", None), (3, "revisit", 9), (None, "revisit", 9), (None, "response", None)]
+    assert Counter(found) == Counter(want)
+
+
+def test_runs_are_merged_from_disk_in_passes(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(op5_warc, "FAN", 3)
+    rng, schema = random.Random(2), pa.schema([("a", pa.string()), ("b", pa.string()), ("c", pa.int64())])
+    runs = [sorted((rng.choice("abc"), rng.choice("xy"), rng.randint(0, 99)) for _ in range(rng.randint(1, 400))) for _ in range(20)]
+    file = op5_warc.RunFile(schema)
+    for rows in runs:
+        file.runs.append([])
+        file.add(file._batch(rows))
+    found = [tuple(r.values()) for b in file.merged() for r in b.to_pylist()]
+    assert found == sorted(x for r in runs for x in r)
+
+
 def test_warc_table(spark, small):
     table = spark.read.parquet(f"{small}/pages.parquet").select("page_id", "html").collect()
     df = queries()["op5_warc"](spark, small).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -358,6 +399,17 @@ def test_language(spark, docs, middle):
     assert all(r["lang_pred"] == "und" for r in op10_language.identify(docs.withColumn("lang", F.lit(None).cast("string"))).collect())
 
 
+def test_language_rejects_by_calibration(spark, middle):
+    table = spark.read.parquet(f"{middle}/documents.parquet")
+    rng = random.Random(8)
+    noise = spark.createDataFrame([(10**6 + i, "".join(rng.choices("qxzjkwvy bfg", k=400))) for i in range(30)], "doc_id long, text string")
+    docs = table.unionByName(noise, allowMissingColumns=True)
+    kept = {r["doc_id"] for r in op10_language.accepted(docs).select("doc_id").collect()}
+    assert not any(i >= 10**6 for i in kept)
+    prose = [r["doc_id"] for r in table.where("length(text) > 300").select("doc_id").collect()]
+    assert len(kept.intersection(prose)) >= 0.98 * len(prose)
+
+
 def test_language_of_large_scripts(spark):
     """Two rare scripts beside a large one are told apart, and what has no letter has no language."""
     rng = random.Random(10)
