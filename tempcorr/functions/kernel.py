@@ -28,54 +28,118 @@ def jitter(v: np.ndarray, salt: int) -> np.ndarray:
     return v + noise * 1e-6 * (v.std() or 1.0)
 
 
-def _rows(x, y, rows, k):
-    """Nearest k of the given points among all: distance of the k-th, extents over all k and of the k-th alone."""
-    dx, dy = np.abs(x[rows, None] - x), np.abs(y[rows, None] - y)
-    d = np.maximum(dx, dy)
-    d[np.arange(len(rows)), rows] = np.inf
-    near = np.argsort(d, axis=1, kind="stable")[:, :k] if d.shape[1] <= 4 * k else None
-    if near is None:  # ties at the k-th place go to the smaller index
-        part = np.partition(d, k - 1, axis=1)[:, k - 1]
-        rank = np.where(d < part[:, None], 0, np.where(d == part[:, None], 1, 2))
-        near = np.argsort(rank, axis=1, kind="stable")[:, :k]
-    r = np.arange(len(rows))[:, None]
-    kth = np.lexsort((near, d[r, near]), axis=1)[:, -1] if near.size else np.zeros(0, int)
-    last = near[np.arange(len(rows)), kth]
-    one = np.arange(len(rows))
-    return d[one, last], dx[r, near].max(1), dy[r, near].max(1), dx[one, last], dy[one, last]
-
-
-def brute(x, y, k, block=512):
-    parts = [_rows(x, y, np.arange(b, min(len(x), b + block)), k) for b in range(0, len(x), block)]
-    return tuple(np.concatenate(p) for p in zip(*parts, strict=True))
-
-
-class BoxIndex:
-    """Points in equal cells; rings of cells are searched until the k-th distance is inside the searched square."""
-
-    def __init__(self, x, y, k):
-        self.x, self.y, self.k = x, y, k
-        area = max(np.ptp(x), 1e-12) * max(np.ptp(y), 1e-12)
-        self.side = max((area * k / len(x)) ** 0.5, max(np.ptp(x), np.ptp(y), 1e-12) / max(1, len(x)))
-        self.cells: dict[tuple[int, int], list[int]] = {}
-        self.cx, self.cy = ((v - v.min()) // self.side for v in (x, y))
-        for i, c in enumerate(zip(self.cx.astype(int).tolist(), self.cy.astype(int).tolist(), strict=True)):
-            self.cells.setdefault(c, []).append(i)
-        self.width = int(max(self.cx.max(), self.cy.max())) + 1
+def smallest(d, at, size):
+    """Of each row of distances d, to points `at`, the `size` smallest in order; ties go to the smaller point.
 
-    def nearest(self, i: int) -> np.ndarray:
-        a, b, found, ring = int(self.cx[i]), int(self.cy[i]), [], 0
-        while True:
-            for u in range(a - ring, a + ring + 1):
-                for v in range(b - ring, b + ring + 1) if abs(u - a) == ring else (b - ring, b + ring) if ring else (b,):
-                    found += self.cells.get((u, v), ())
-            c = np.array([j for j in found if j != i], int)
-            if len(c) >= self.k:
-                d = np.maximum(np.abs(self.x[c] - self.x[i]), np.abs(self.y[c] - self.y[i]))
-                o = np.lexsort((c, d))[: self.k]
-                if d[o[-1]] < ring * self.side or ring > self.width:
-                    return c[o]
-            ring += 1
+    Rows with fewer are filled up with infinite distances to a point beyond all.
+    """
+    n = d.shape[1]
+    if n > size:
+        part = np.argpartition(d, size - 1, axis=1)[:, :size]
+        near, who = np.take_along_axis(d, part, 1), np.take_along_axis(at, part, 1)
+        tied = np.flatnonzero((d <= near.max(1)[:, None]).sum(1) > size)
+        if len(tied):
+            order = np.lexsort((at[tied], d[tied]), axis=1)[:, :size]
+            near[tied], who[tied] = np.take_along_axis(d[tied], order, 1), np.take_along_axis(at[tied], order, 1)
+    else:
+        near, who = d, at
+    order = np.lexsort((who, near), axis=1)
+    near, who = np.take_along_axis(near, order, 1), np.take_along_axis(who, order, 1)
+    if n < size:
+        fill = ((0, 0), (0, size - n))
+        near, who = np.pad(near, fill, constant_values=np.inf), np.pad(who, fill, constant_values=BEYOND)
+    who[np.isinf(near)] = BEYOND
+    return near, who
+
+
+def matrix_nearest(x, y, rows, size, block=512):
+    """Distances to and indices of the nearest `size` of each of the given points, against all points."""
+    out = []
+    for b in range(0, len(rows), block):
+        p = rows[b : b + block]
+        d = np.maximum(np.abs(x[p, None] - x), np.abs(y[p, None] - y))
+        d[np.arange(len(p)), p] = np.inf
+        out.append(smallest(d, np.broadcast_to(np.arange(len(x)), d.shape), size))
+    return tuple(np.concatenate(c) for c in zip(*out, strict=True)) if out else (np.zeros((0, size)), np.zeros((0, size), np.int64))
+
+
+class Boxes:
+    """Points in equal boxes, sorted by box; the boxes around many points are looked at together.
+
+    A column of neighbouring boxes is one stretch of the sorted points, so that a square of boxes is a few stretches. A
+    point is settled when its last distance does not reach beyond the square; the others go on with a square twice as wide.
+    """
+
+    MOST = 1 << 21
+
+    def __init__(self, x, y, per_box=3):
+        self.x, self.y, n = x, y, len(x)
+        wide, high = np.ptp(x), np.ptp(y)
+        longest = max(wide, high, 1e-300)
+        self.side = max((wide * high * per_box / n) ** 0.5, longest * per_box / n, longest * 1e-6)
+        self.cx, self.cy = ((v - v.min()) // self.side for v in (x, y))
+        self.cx, self.cy = self.cx.astype(np.int64), self.cy.astype(np.int64)
+        self.columns, self.rows = int(self.cx.max()) + 1, int(self.cy.max()) + 1
+        key = self.cx * self.rows + self.cy
+        self.order = np.argsort(key, kind="stable")
+        self.keys = key[self.order]
+
+    def _around(self, p, ring):
+        """Candidates of the points p: a row each, padded, with their distances."""
+        cols = self.cx[p, None] + np.arange(-ring, ring + 1)
+        inside = (cols >= 0) & (cols < self.columns)
+        low, high = np.maximum(self.cy[p] - ring, 0), np.minimum(self.cy[p] + ring, self.rows - 1)
+        cols = np.clip(cols, 0, self.columns - 1) * self.rows
+        s = np.searchsorted(self.keys, cols + low[:, None], side="left")
+        e = np.where(inside, np.searchsorted(self.keys, cols + high[:, None], side="right"), s)
+        many = (e - s).sum(1)
+        width = int(many.max())
+        flat_s, flat_n = s.ravel(), (e - s).ravel()
+        total = int(flat_n.sum())
+        at = np.arange(total) - np.repeat(np.cumsum(flat_n) - flat_n, flat_n) + np.repeat(flat_s, flat_n)
+        row = np.repeat(np.arange(len(p)), many)
+        col = np.arange(total) - np.repeat(np.cumsum(many) - many, many)
+        who = np.full((len(p), width), BEYOND, np.int64)
+        who[row, col] = self.order[at]
+        d = np.full((len(p), width), np.inf)
+        j = self.order[at]
+        d[row, col] = np.where(j == p[row], np.inf, np.maximum(np.abs(self.x[p[row]] - self.x[j]), np.abs(self.y[p[row]] - self.y[j])))
+        return d, who
+
+    def nearest(self, rows, size):
+        near, who = np.empty((len(rows), size)), np.empty((len(rows), size), np.int64)
+        waiting, ring = np.arange(len(rows)), 1 + (size > 9)
+        while len(waiting):
+            whole, later = ring >= max(self.columns, self.rows), []
+            block = max(1, self.MOST // (len(self.x) if whole else min(len(self.x), 4 * (2 * ring + 1) ** 2 * 3)))
+            for b in range(0, len(waiting), block):
+                w = waiting[b : b + block]
+                if whole:
+                    near[w], who[w] = matrix_nearest(self.x, self.y, rows[w], size)
+                    continue
+                near[w], who[w] = smallest(*self._around(rows[w], ring), size)
+                later.append(w[~(near[w, -1] < ring * self.side * (1 - 1e-9))])
+            waiting, ring = np.concatenate(later) if later else waiting[:0], ring * 2
+        return near, who
+
+
+#: The index of no point, and the size of a window from which on its points are put into boxes.
+BEYOND, BOXED = np.iinfo(np.int64).max, 1024
+
+
+def nearest(x, y, rows, size):
+    """By boxes where there are many points, else by the whole matrix of distances; the result is the same."""
+    return Boxes(x, y).nearest(rows, size) if len(x) >= BOXED and len(rows) else matrix_nearest(x, y, rows, size)
+
+
+def extents_of(x, y, near, who):
+    """Of each point: distance to the k-th, extents over all k and of the k-th alone."""
+    dx, dy = np.abs(x[who] - x[:, None]), np.abs(y[who] - y[:, None])
+    return near[:, -1], dx.max(1), dy.max(1), dx[:, -1], dy[:, -1]
+
+
+def brute(x, y, k):
+    return extents_of(x, y, *matrix_nearest(x, y, np.arange(len(x)), k))
 
 
 class Tree:
@@ -136,12 +200,14 @@ def projected(x, y, k):
 def extents(x, y, k, search="brute"):
     if search == "brute":
         return brute(x, y, k)
+    if search == "box":
+        return extents_of(x, y, *Boxes(x, y).nearest(np.arange(len(x)), k))
     if search == "projection":
         by = projected(x, y, k)
         near = np.stack([by[i] for i in range(len(x))])
     else:
-        index = BoxIndex(x, y, k) if search == "box" else Tree(x, y)
-        near = np.stack([index.nearest(i) if search == "box" else index.nearest(i, k) for i in range(len(x))])
+        tree = Tree(x, y)
+        near = np.stack([tree.nearest(i, k) for i in range(len(x))])
     dx, dy = np.abs(x[near] - x[:, None]), np.abs(y[near] - y[:, None])
     d = np.maximum(dx, dy)
     one, last = np.arange(len(x)), d.shape[1] - 1 - np.argmax(d[:, ::-1], axis=1)
@@ -155,13 +221,19 @@ def within(sorted_values, values, reach):
     return b - a - 1
 
 
-def exact_within(v, at, reach, block=1024):
-    """The same by comparing differences, as the incremental counts do."""
-    out = np.empty(len(at), np.int64)
-    for b in range(0, len(at), block):
-        s = at[b : b + block]
-        out[b : b + block] = (np.abs(v[s, None] - v) <= reach[b : b + block, None]).sum(1) - 1
-    return out
+def counted(ordered, v, reach):
+    """How many other values lie within reach, by their places in the ordered values; as exact as comparing differences."""
+    n = len(ordered)
+    low, high = np.searchsorted(ordered, v - reach, side="left"), np.searchsorted(ordered, v + reach, side="right")
+    while (m := (low > 0) & (v - ordered[low - 1] <= reach)).any():  # sums are rounded: mend by differences
+        low[m] = np.searchsorted(ordered, ordered[low[m] - 1], side="left")
+    while (m := (low < n) & (v - ordered[np.minimum(low, n - 1)] > reach)).any():
+        low[m] = np.searchsorted(ordered, ordered[low[m]], side="right")
+    while (m := (high < n) & (ordered[np.minimum(high, n - 1)] - v <= reach)).any():
+        high[m] = np.searchsorted(ordered, ordered[high[m]], side="right")
+    while (m := (high > 0) & (ordered[high - 1] - v > reach)).any():
+        high[m] = np.searchsorted(ordered, ordered[high[m] - 1], side="left")
+    return high - low - 1
 
 
 def knn_mi(x, y, k=6, extent="max_k", variant=2, search="brute", tie=None) -> float | None:
@@ -173,13 +245,12 @@ def knn_mi(x, y, k=6, extent="max_k", variant=2, search="brute", tie=None) -> fl
     if tie == "jitter":
         x, y = jitter(x, 1), jitter(y, 2)
     d, dx, dy, kx, ky = extents(x, y, k, search)
-    at = np.arange(n)
     if variant == 1:
         nx, ny = ((np.abs(v[:, None] - v) < d[:, None]).sum(1) - 1 for v in (x, y))
         return float(digamma_int(np.array(k)) - (digamma_int(nx + 1) + digamma_int(ny + 1)).mean() + digamma_int(np.array(n)))
     if extent == "kth":
         dx, dy = kx, ky
-    nx, ny = exact_within(x, at, dx), exact_within(y, at, dy)
+    nx, ny = counted(np.sort(x), x, dx), counted(np.sort(y), y, dy)
     return from_counts(nx, ny, k, n)
 
 
@@ -190,63 +261,117 @@ def from_counts(nx, ny, k, n) -> float:
 class IncrementalKnn:
     """The estimator's state for a window that slides: only points that a change can touch are looked at again.
 
-    region 'square' searches a point again when a change lies within its k-th distance on both axes, which is exact;
-    'rect' uses its extents instead and misses neighbours.
+    Every point keeps a list of its nearest neighbours, more than k, in order, and the distance up to which the list is
+    whole. Points that leave the window leave the lists; points that come are put into the lists that they fall into.
+    A point is searched anew, by boxes, only when its list has fewer than k left. Marginal counts follow from the sorted
+    values of the window. The result equals that of a window that starts from nothing.
+
+    region 'square' takes a newcomer into a list by its distance, which is exact; 'rect' only where it lies within the
+    point's extents on both axes, and misses neighbours. counters: 'researched' are points of whose k neighbours one left
+    or came, 'recounted' others with another marginal count, 'rebuilt' those searched anew.
     """
 
-    def __init__(self, x, y, k=6, region="square"):
+    def __init__(self, x, y, k=6, region="square", spare=None):
         self.x, self.y, self.k, self.region = np.asarray(x, float), np.asarray(y, float), k, region
-        n = len(self.x)
-        self.d, self.dx, self.dy = (np.zeros(n) for _ in range(3))
-        self.nx, self.ny = (np.zeros(n, np.int64) for _ in range(2))
+        n, self.size = len(self.x), k + (k + 4 if spare is None else spare)
+        self.near, self.who = np.full((n, self.size), np.inf), np.full((n, self.size), BEYOND, np.int64)
+        self.whole, self.last = np.full(n, np.inf), np.full(n, BEYOND, np.int64)
+        self.dx, self.dy = np.zeros(n), np.zeros(n)
+        self.nx, self.ny = np.zeros(n, np.int64), np.zeros(n, np.int64)
         self.s = self.e = 0
-        self.counters = dict.fromkeys(("windows", "added", "removed", "researched", "recounted", "untouched"), 0)
+        self.counters = dict.fromkeys(("windows", "added", "removed", "researched", "recounted", "untouched", "rebuilt"), 0)
+
+    @property
+    def d(self):
+        """The distance of each point to its k-th neighbour."""
+        return self.near[:, self.k - 1]
+
+    def _bound(self, at) -> None:
+        """A full list is whole up to its last entry, one that has all points of the window up to any distance."""
+        self.whole[at], self.last[at] = self.near[at, -1], self.who[at, -1]
 
     def _search(self, at: np.ndarray) -> None:
-        x, y = self.x[self.s : self.e], self.y[self.s : self.e]
-        for b in range(0, len(at), 512):
-            p = at[b : b + 512]
-            self.d[p], self.dx[p], self.dy[p], _, _ = _rows(x, y, p - self.s, self.k)
-            self.nx[p] = exact_within(x, p - self.s, self.dx[p])
-            self.ny[p] = exact_within(y, p - self.s, self.dy[p])
+        s, e = self.s, self.e
+        near, who = nearest(self.x[s:e], self.y[s:e], at - s, self.size)
+        self.near[at], self.who[at] = near, np.where(who == BEYOND, BEYOND, who + s)
+        self._bound(at)
+
+    def _leave(self, stay: slice) -> np.ndarray:
+        """Takes what has left the window out of the lists; which points have lost one of their k."""
+        who = self.who[stay]
+        gone = ((who < self.s) | (who >= self.e)) & (who != BEYOND)
+        rows = np.flatnonzero(gone.any(1))
+        if len(rows):
+            order = np.argsort(gone[rows], axis=1, kind="stable")
+            at, out = rows + stay.start, np.take_along_axis(gone[rows], order, 1)
+            near, who = np.take_along_axis(self.near[at], order, 1), np.take_along_axis(self.who[at], order, 1)
+            near[out], who[out] = np.inf, BEYOND
+            self.near[at], self.who[at] = near, who
+        return gone[:, : self.k].any(1)
+
+    def _enter(self, stay: slice, come: np.ndarray) -> np.ndarray:
+        """Puts newcomers into the lists that they fall into; which points have got one of their k."""
+        changed = np.zeros(stay.stop - stay.start, bool)
+        for b in range(0, len(come), 512):
+            p = come[b : b + 512]
+            ax, ay = np.abs(self.x[stay, None] - self.x[p]), np.abs(self.y[stay, None] - self.y[p])
+            d = np.maximum(ax, ay)
+            whole = self.whole[stay, None]
+            inside = (d < whole) | ((d == whole) & (p < self.last[stay, None]))
+            if self.region == "rect":
+                inside &= (ax <= self.dx[stay, None]) & (ay <= self.dy[stay, None])
+            rows = np.flatnonzero(inside.any(1))
+            if not len(rows):
+                continue
+            at, kth = rows + stay.start, self.who[rows + stay.start, : self.k]
+            d = np.where(inside[rows], d[rows], np.inf)
+            every = np.concatenate([self.near[at], d], 1)
+            near, who = smallest(every, np.concatenate([self.who[at], np.broadcast_to(p, d.shape)], 1), self.size)
+            self.near[at], self.who[at] = near, who
+            over = at[np.isfinite(every).sum(1) > self.size]  # something fell out at the far end
+            self._bound(over)
+            changed[rows] |= (who[:, : self.k] != kth).any(1)
+        return changed
+
+    def _count(self, at: np.ndarray) -> None:
+        s, e = self.s, self.e
+        who = self.who[at, : self.k]
+        self.dx[at], self.dy[at] = np.abs(self.x[who] - self.x[at, None]).max(1), np.abs(self.y[who] - self.y[at, None]).max(1)
+        self.nx[s:e] = counted(np.sort(self.x[s:e]), self.x[s:e], self.dx[s:e])
+        self.ny[s:e] = counted(np.sort(self.y[s:e]), self.y[s:e], self.dy[s:e])
 
     def slide(self, s: int, e: int) -> float | None:
-        c = self.counters
+        c, k = self.counters, self.k
         c["windows"] += 1
-        stay = np.arange(max(s, self.s), min(e, self.e))
-        if len(stay) <= self.k or e - s <= self.k:
-            self.s, self.e = s, e
+        a, b = max(s, self.s), min(e, self.e)
+        old = (self.s, self.e)
+        self.s, self.e = s, e
+        if b - a <= k or e - s <= k:
             c["added"] += e - s
-            if e - s <= self.k:
+            if e - s <= k:
+                self.s = self.e = s
                 return None
             self._search(np.arange(s, e))
-            return from_counts(self.nx[s:e], self.ny[s:e], self.k, e - s)
-        gone = np.r_[self.s : stay[0], stay[-1] + 1 : self.e]
-        come = np.r_[s : stay[0], stay[-1] + 1 : e]
-        self.s, self.e = s, e
-        again, moved = np.zeros(len(stay), bool), np.zeros(len(stay), bool)
-        for change, sign in ((gone, -1), (come, 1)):
-            for b in range(0, len(change), 512):
-                p = change[b : b + 512]
-                ax, ay = np.abs(self.x[stay, None] - self.x[p]), np.abs(self.y[stay, None] - self.y[p])
-                if self.region == "square":
-                    again |= (np.maximum(ax, ay) <= self.d[stay, None]).any(1)
-                else:
-                    again |= ((ax <= self.dx[stay, None]) & (ay <= self.dy[stay, None])).any(1)
-                ix, iy = (ax <= self.dx[stay, None]).sum(1), (ay <= self.dy[stay, None]).sum(1)
-                self.nx[stay] += sign * ix
-                self.ny[stay] += sign * iy
-                moved |= (ix + iy) > 0
-        self._search(np.concatenate([stay[again], come]).astype(int))
+            self._count(np.arange(s, e))
+            return from_counts(self.nx[s:e], self.ny[s:e], k, e - s)
+        stay, come = slice(a, b), np.r_[s:a, b:e]
+        nx, ny = self.nx[stay].copy(), self.ny[stay].copy()
+        moved = self._leave(stay) | self._enter(stay, come)
+        short = np.flatnonzero(np.isinf(self.near[stay, k - 1])) + a
+        self._search(np.concatenate([short, come]).astype(np.int64))
+        moved[short - a] = True
+        self._count(np.concatenate([np.flatnonzero(moved) + a, come]).astype(np.int64))
+        other = ~moved & ((self.nx[stay] != nx) | (self.ny[stay] != ny))
         c["added"] += len(come)
-        c["removed"] += len(gone)
-        c["researched"] += int(again.sum())
-        c["recounted"] += int((moved & ~again).sum())
-        c["untouched"] += int((~moved & ~again).sum())
-        return from_counts(self.nx[s:e], self.ny[s:e], self.k, e - s)
+        c["removed"] += (a - old[0]) + (old[1] - b)
+        c["rebuilt"] += len(short)
+        c["researched"] += int(moved.sum())
+        c["recounted"] += int(other.sum())
+        c["untouched"] += int((~moved & ~other).sum())
+        return from_counts(self.nx[s:e], self.ny[s:e], k, e - s)
 
     def state_bytes(self) -> int:
-        return sum(a.nbytes for a in (self.d, self.dx, self.dy, self.nx, self.ny))
+        return sum(a.nbytes for a in (self.near, self.who, self.whole, self.last, self.dx, self.dy, self.nx, self.ny))
 
 
 def bins_for(n: int) -> int:
@@ -344,6 +469,24 @@ def total_correlation(columns, bins=None) -> float:
     return float(h + (p * np.log(p)).sum())
 
 
+def top_down(x, y, start, end, layers, accept_of, **options):
+    """All layers, coarse to fine, over [start, end): a finer layer has the spans that the coarser ones left.
+
+    layers: (size, step) pairs. Returns (layer, row) of what is selected, the spans left at last, and counters by layer.
+    """
+    spans, chosen, tallies = [(start, end)], [], []
+    for i, (size, step) in enumerate(layers):
+        left, tally = [], {}
+        for s, e in spans:
+            got, rest, counters = scan(x, y, s, e, size, step, accept_of(i), **options)
+            chosen += [(i, r) for r in got]
+            left += rest
+            tally = {c: tally.get(c, 0) + n for c, n in counters.items()}
+        tallies.append(tally)
+        spans = left
+    return chosen, spans, tallies
+
+
 def scan(x, y, start, end, size, step, accept, k=6, estimator="knn", incremental=True, tie="jitter", region="square", scores=None):
     """One layer over [start, end): take a window that passes and jump past it, shift one that fails.
 
@@ -374,5 +517,5 @@ def scan(x, y, start, end, size, step, accept, k=6, estimator="knn", incremental
             s += step
     if free < end:
         left.append((free, end))
-    counters = dict(kernel.counters) if kernel is not None else {"windows": windows, "added": 0, "removed": 0, "researched": 0, "recounted": 0, "untouched": 0}
+    counters = dict(kernel.counters) if kernel is not None else dict.fromkeys(("added", "removed", "researched", "recounted", "untouched", "rebuilt"), 0) | {"windows": windows}
     return chosen, left, counters

@@ -86,41 +86,78 @@ def grid(segments: DataFrame, size: int, step: int) -> DataFrame:
     return segments.where(F.col("e") - F.col("s") >= size).select("pair_id", F.col("s").alias("seg"), F.explode(F.sequence("s", F.col("e") - size, F.lit(step).cast("long"))).alias("s")).select("pair_id", "seg", "s", (F.col("s") + size).alias("e"))
 
 
+#: Steps of a series whose windows are ordered in one task; what earlier ones reach is carried by a row for each.
+STRETCH = 1 << 16
+
+
+def _carried(df: DataFrame, keys: list[str], value: Column, name: str, include: bool) -> DataFrame:
+    """Adds the largest value among the rows before (and with) each, by (s, e): within its stretch, and of all stretches before."""
+    at = F.floor(F.col("s") / STRETCH)
+    df = df.withColumn("_t", at).withColumn("_v", value)
+    own = F.max("_v").over(Window.partitionBy(*keys, "_t").orderBy("s", "e").rowsBetween(Window.unboundedPreceding, 0 if include else -1))
+    before = Window.partitionBy(*keys).orderBy("_t").rowsBetween(Window.unboundedPreceding, -1)
+    carry = df.groupBy(*keys, "_t").agg(F.max("_v").alias("_m")).select(*keys, "_t", F.max("_m").over(before).alias("_m"))
+    return df.withColumn("_o", own).join(carry, [*keys, "_t"]).withColumn(name, F.greatest("_o", "_m")).drop("_t", "_v", "_o", "_m")
+
+
+def islands(df: DataFrame, keys: list[str]) -> DataFrame:
+    """Adds _i: where the run of overlapping windows begins that a window is in. No task has a whole series."""
+    out = _carried(df, keys, F.col("e"), "_before", False)
+    new = F.col("_before").isNull() | (F.col("s") >= F.col("_before"))
+    return _carried(out, keys, F.when(new, F.col("s")), "_i", True).drop("_before")
+
+
+def _folded(df: DataFrame, keys: list[str], order, taken) -> DataFrame:
+    """Of every island the windows that a fold over them, in an order, takes."""
+    spans = islands(df, keys).groupBy(*keys, "_i").agg(order(F.collect_list(F.struct("s", "e"))).alias("all"))
+    return spans.select(*keys, F.explode(taken("all")).alias("w")).select(*keys, "w.s", "w.e")
+
+
 def greedy(passing: DataFrame, keys: list[str]) -> DataFrame:
     """The windows that a left-to-right scan takes. Islands of overlapping windows don't touch each other's choice."""
-    w = Window.partitionBy(*keys).orderBy("s", "e")
-    new = F.coalesce(F.col("s") >= F.max("e").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(True))
-    marked = passing.withColumn("_new", new.cast("int")).withColumn("_i", F.sum("_new").over(w))
-    spans = marked.groupBy(*keys, "_i").agg(F.array_sort(F.collect_list(F.struct("s", "e"))).alias("all"))
-    taken = F.aggregate(
-        "all",
-        F.struct(F.array().cast("array<struct<s:bigint,e:bigint>>").alias("t"), F.lit(-(1 << 62)).cast("long").alias("end")),
-        lambda a, x: F.when(x["s"] >= a["end"], F.struct(F.concat(a["t"], F.array(F.struct(x["s"].alias("s"), x["e"].alias("e")))).alias("t"), x["e"].alias("end"))).otherwise(a),
-        lambda a: a["t"],
-    )
-    return spans.select(*keys, F.explode(taken).alias("w")).select(*keys, "w.s", "w.e")
+
+    def taken(column):
+        return F.aggregate(
+            column,
+            F.struct(F.array().cast("array<struct<s:bigint,e:bigint>>").alias("t"), F.lit(-(1 << 62)).cast("long").alias("end")),
+            lambda a, x: F.when(x["s"] >= a["end"], F.struct(F.concat(a["t"], F.array(F.struct(x["s"].alias("s"), x["e"].alias("e")))).alias("t"), x["e"].alias("end"))).otherwise(a),
+            lambda a: a["t"],
+        )
+
+    return _folded(passing, keys, F.array_sort, taken)
+
+
+def disjoint(selected: DataFrame) -> DataFrame:
+    """(pair_id, s, e): of overlapping windows the larger, of equal ones the earlier; what is kept never overlaps."""
+    larger = lambda a: F.transform(F.array_sort(F.transform(a, lambda w: F.struct((w["s"] - w["e"]).alias("n"), w["s"].alias("s"), w["e"].alias("e")))), lambda w: F.struct(w["s"].alias("s"), w["e"].alias("e")))
+
+    def taken(column):
+        none = F.array().cast("array<struct<s:bigint,e:bigint>>")
+        return F.aggregate(column, none, lambda kept, x: F.when(F.exists(kept, lambda k: (k["s"] < x["e"]) & (x["s"] < k["e"])), kept).otherwise(F.concat(kept, F.array(x))))
+
+    return _folded(selected.select("pair_id", "s", "e").distinct(), ["pair_id"], larger, taken)
 
 
 def leftouts(segments: DataFrame, selected: DataFrame) -> DataFrame:
-    """What the selected windows leave of the segments: heads, gaps and tails."""
+    """What the selected windows leave of the segments: heads, gaps and tails. Windows meet segments by stretches of time."""
+    stretch = lambda s, e: F.explode(F.sequence(F.floor(F.col(s) / STRETCH), F.floor((F.col(e) - 1) / STRETCH)))
     seg = segments.select("pair_id", F.col("s").alias("gs"), F.col("e").alias("ge"))
-    inside = seg.join(selected.select("pair_id", "s", "e"), "pair_id", "left").where("s is null or (s < ge and e > gs)")
-    inside = inside.unionByName(seg.select("*", F.lit(None).cast("long").alias("s"), F.lit(None).cast("long").alias("e"))).distinct()
-    w = Window.partitionBy("pair_id", "gs", "ge").orderBy(F.col("s").asc_nulls_first())
-    before = F.greatest("gs", F.coalesce(F.max("e").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.col("gs")))
-    gaps = inside.withColumn("a", before).where("s > a").select("pair_id", F.col("a").alias("s"), F.col("s").alias("e"))
-    tails = inside.groupBy("pair_id", "gs", "ge").agg(F.greatest("gs", F.coalesce(F.max("e"), F.col("gs"))).alias("s")).where("s < ge").select("pair_id", "s", F.col("ge").alias("e"))
+    cut = seg.where("gs < ge").select("*", stretch("gs", "ge").alias("_t"))
+    inside = cut.join(selected.select("pair_id", "s", "e", stretch("s", "e").alias("_t")), ["pair_id", "_t"]).where("s < ge and e > gs").drop("_t").distinct()
+    keys = ["pair_id", "gs", "ge"]
+    gaps = _carried(inside, keys, F.col("e"), "_before", False).withColumn("a", F.greatest("gs", F.coalesce("_before", F.col("gs")))).where("s > a").select("pair_id", F.col("a").alias("s"), F.col("s").alias("e"))
+    tails = seg.join(inside.groupBy(*keys).agg(F.max("e").alias("last")), keys, "left").select("pair_id", F.greatest("gs", F.coalesce("last", "gs")).alias("s"), F.col("ge").alias("e")).where("s < e")
     return gaps.unionByName(tails)
 
 
 def merge(selected: DataFrame, mode: str = "contained") -> DataFrame:
-    """contained: drop windows inside a larger one; union: one span for each run of overlapping windows."""
-    w = Window.partitionBy("pair_id").orderBy("s", F.desc("e"))
-    before = F.max("e").over(w.rowsBetween(Window.unboundedPreceding, -1))
-    if mode == "contained":
-        return selected.withColumn("_m", before).where("_m is null or e > _m").drop("_m")
-    marked = selected.withColumn("_i", F.when(before > F.col("s"), 0).otherwise(1)).withColumn("_i", F.sum("_i").over(w))
-    return marked.groupBy("pair_id", "_i").agg(F.min("s").alias("s"), F.max("e").alias("e"), F.array_sort(F.collect_list(F.struct("s", "e"))).alias("parts")).drop("_i")
+    """contained: drop windows inside a larger one; disjoint: of overlapping ones the larger; union: a span for each run."""
+    if mode == "disjoint":
+        return selected.join(disjoint(selected), ["pair_id", "s", "e"])
+    if mode == "contained":  # of windows that begin together the longest comes first
+        longest = selected.withColumn("_r", F.row_number().over(Window.partitionBy("pair_id", "s").orderBy(F.desc("e")))).where("_r = 1").drop("_r")
+        return _carried(longest, ["pair_id"], F.col("e"), "_m", False).where("_m is null or e > _m").drop("_m")
+    return islands(selected, ["pair_id"]).groupBy("pair_id", "_i").agg(F.min("s").alias("s"), F.max("e").alias("e"), F.array_sort(F.collect_list(F.struct("s", "e"))).alias("parts")).drop("_i")
 
 
 def coverage(selected: DataFrame, sizes: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 
 import numpy as np
@@ -12,25 +13,38 @@ from pyspark.sql import functions as F
 from tempcorr.functions import kernel
 from tempcorr.operators import prep
 from tempcorr.operators import windows as W
+from tempcorr.sources.synth import noise
 
 SCORE = "n long, mi double, hx double, hy double, hxy double, h_norm double, mi_norm1 double, mi_norm2 double, pp long, np long, mu double, sign string, conf double"
-FOUND = f"pair_id string, kind string, s long, e long, {SCORE}, windows long, added long, removed long, researched long, recounted long, untouched long"
+FOUND = f"pair_id string, kind string, number long, s long, e long, {SCORE}, windows long, added long, removed long, researched long, recounted long, untouched long, rebuilt long"
 NAMES = [c.split()[0] for c in SCORE.split(", ")]
-COUNTERS = ["windows", "added", "removed", "researched", "recounted", "untouched"]
+COUNTERS = ["windows", "added", "removed", "researched", "recounted", "untouched", "rebuilt"]
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cuts the lineage between layers: a table in the shared folder, or a checkpoint where one is set up."""
-    folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-    if folder is None:
-        if not df.sparkSession.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-            import tempfile
+    """Cuts the lineage between layers: a table in the shared folder, or a checkpoint where one is set up.
 
-            df.sparkSession.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tempcorr-"))
+    Only a local session that names no folder (tests) gets a temporary one.
+    """
+    spark = df.sparkSession
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder is None:
+        if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
+            master = spark.sparkContext.master
+            if not master.startswith("local") or master.startswith("local-cluster"):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tempcorr-"))
         return df.checkpoint()
     path = f"{folder.rstrip('/')}/tempcorr-search-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def untied(paired: DataFrame, share: float = 1e-6) -> DataFrame:
+    """Breaks ties by noise of a millionth of a pair's spread. It depends on idx alone: every slice has the same values."""
+    spread = paired.groupBy("pair_id").agg(*[F.coalesce(F.nullif(F.stddev_pop(c), F.lit(0.0)), F.lit(1.0)).alias(f"_{c}") for c in "xy"])
+    moved = [(F.col(c) + share * F.col(f"_{c}") * (noise(F.col("idx"), f"tie{c}") - 0.5)).alias(c) for c in "xy"]
+    return paired.join(spread, "pair_id").select("pair_id", "idx", *moved)
 
 
 def _rows(pair, kind, spans):
@@ -38,27 +52,30 @@ def _rows(pair, kind, spans):
 
 
 def _frame(rows) -> pd.DataFrame:
-    out = pd.DataFrame(rows, columns=[c.split()[0] for c in FOUND.split(", ")]).astype({c: "Int64" for c in ("s", "e", "n", "pp", "np", *COUNTERS)})
+    out = pd.DataFrame(rows, columns=[c.split()[0] for c in FOUND.split(", ")]).astype({c: "Int64" for c in ("number", "s", "e", "n", "pp", "np", *COUNTERS)})
     for c in ("pair_id", "kind", "sign"):  # plain objects: strings and nulls in one array
         out[c] = [None if v is None or v != v else str(v) for v in out[c]]
         out[c] = out[c].astype(object)
     return out
 
 
-def scan_segments(paired: DataFrame, segments: DataFrame, layer: W.Layer, accept, options: dict) -> DataFrame:
-    """One sequential scan for each segment: rows of FOUND of kind selected, left and counters."""
-    bucket = max(layer.size, 1024)
-    inside = prep.assign_points(paired, segments.select("pair_id", "s", "e"), bucket)
+def scan_segments(paired: DataFrame, segments: DataFrame, layers: list[tuple[W.Layer, object]], options: dict) -> DataFrame:
+    """For each segment one task's scan by the given (layer, rule) pairs, coarse to fine: rows of FOUND.
+
+    kind is selected, left, or counters; a row's number is its layer's place in `layers`.
+    """
+    inside = prep.assign_points(paired, segments.select("pair_id", "s", "e"), max(layers[0][0].size, 1024))
+    sizes, rules = [(x.size, x.step) for x, _ in layers], [r for _, r in layers]
 
     def run(df: pd.DataFrame) -> pd.DataFrame:
         df = df.sort_values("idx")
         pair, s, e = df["pair_id"].iloc[0], int(df["s"].iloc[0]), int(df["e"].iloc[0])
         if len(df) != e - s:
             raise ValueError("a series has gaps: fill its spine first")
-        chosen, left, counters = kernel.scan(df["x"].to_numpy(), df["y"].to_numpy(), 0, e - s, layer.size, layer.step, accept, **options)
-        rows = [{"pair_id": pair, "kind": "selected", **r, "s": r["s"] + s, "e": r["e"] + s} for r in chosen]
+        chosen, left, tallies = kernel.top_down(df["x"].to_numpy(), df["y"].to_numpy(), 0, e - s, sizes, rules.__getitem__, **options)
+        rows = [{"pair_id": pair, "kind": "selected", "number": i, **r, "s": r["s"] + s, "e": r["e"] + s} for i, r in chosen]
         rows += _rows(pair, "left", [(a + s, b + s) for a, b in left])
-        rows.append({"pair_id": pair, "kind": "counters", "s": s, "e": e, **counters})
+        rows += [{"pair_id": pair, "kind": "counters", "number": i, "s": s, "e": e, **c} for i, c in enumerate(tallies)]
         return _frame(rows)
 
     return inside.groupBy("pair_id", "s", "e").applyInPandas(run, FOUND)
@@ -100,40 +117,80 @@ def _chunked(segments: DataFrame, largest: int, m: int) -> DataFrame:
 def layered_search(paired: DataFrame, ladder: W.Ladder, criterion, executor: str = "sequential", windows_per_chunk: int = 4, independent_layers: bool = False, **options):
     """(selected, left out, counters). Finer layers search only what coarser ones left.
 
-    executor 'sequential' scans each segment in a task; 'chunked' scans overlapping chunks of segments; 'grid' scores
-    all grid windows at once and then takes greedily, which equals the scan where the step divides the size.
+    executor 'sequential' scans each segment in a task; 'grid' scores all grid windows at once and then takes greedily,
+    which equals the scan where the step divides the size. 'chunked' scans overlapping chunks of bounded size, layer by
+    layer; 'recursive' runs the whole ladder inside each chunk. Both then keep of overlapping windows the larger, then the
+    earlier, deal what the others have covered to new tasks of bounded size, and end when nothing more is left.
     """
-    options = {"estimator": "knn", "k": 6, **options}
-    segments, first = cut(W.whole(paired)), None
-    found, tallies = [], []
-    for i, layer in enumerate(ladder.layers):
-        accept = criterion if layer.sigma is None else W.Absolute(layer.sigma)
+    options = {"estimator": "knn", "k": 6, "tie": "jitter", **options}
+    if options["estimator"] != "plugin" and options["tie"] == "jitter":
+        paired, options["tie"] = cut(untied(paired)), None
+    rules = [criterion if x.sigma is None else W.Absolute(x.sigma) for x in ladder.layers]
+    layers = list(zip(ladder.layers, rules, strict=True))
+    whole = cut(W.whole(paired))
+    if executor == "recursive":
+        return _in_chunks(paired, whole, layers, list(range(len(layers))), windows_per_chunk, options)
+    segments, found, tallies, left = whole, [], [], whole
+    for i, (layer, rule) in enumerate(layers):
         if executor == "grid" and layer.size % layer.step == 0:
             wanted = W.grid(segments, layer.size, layer.step)
             kept = {k: v for k, v in options.items() if k in ("estimator", "k", "bins", "tie")}
             scores = cut(score_windows(paired, wanted, layer.size, kept))
-            passing = scores.where(accept.column()).select("pair_id", "s", "e").join(wanted, ["pair_id", "s", "e"])
+            passing = scores.where(rule.column()).select("pair_id", "s", "e").join(wanted, ["pair_id", "s", "e"])
             selected = W.greedy(passing, ["pair_id", "seg"]).select("pair_id", "s", "e").join(scores, ["pair_id", "s", "e"])
-            left = W.leftouts(segments, selected)
-            tallies.append(scores.groupBy("pair_id").agg(F.count("*").alias("windows"), *[F.lit(0).cast("long").alias(c) for c in COUNTERS[1:]]).withColumn("layer", F.lit(i)))
+            selected = cut(selected.withColumn("layer", F.lit(i)).withColumn("g", F.lit(layer.size).cast("long")))
+            left = cut(W.leftouts(segments, selected))
+            tally = scores.groupBy("pair_id").agg(F.count("*").alias("windows"), *[F.lit(0).cast("long").alias(c) for c in COUNTERS[1:]]).withColumn("layer", F.lit(i))
+        elif executor == "chunked":
+            selected, left, tally = _in_chunks(paired, segments, [(layer, rule)], [i], windows_per_chunk, options, ladder.layers[0].size)
         else:
-            parts = segments if executor != "chunked" else _chunked(segments, ladder.layers[0].size, windows_per_chunk)
-            rows = cut(scan_segments(paired, parts, layer, accept, options))
-            selected = rows.where("kind = 'selected'").select("pair_id", "s", "e", *NAMES)
-            if executor == "chunked":
-                selected = W.merge(selected.dropDuplicates(["pair_id", "s", "e"]), "contained")
-                left = W.leftouts(segments, selected)
-            else:
-                left = rows.where("kind = 'left'").select("pair_id", "s", "e")
-            tallies.append(rows.where("kind = 'counters'").groupBy("pair_id").agg(*[F.sum(c).alias(c) for c in COUNTERS]).withColumn("layer", F.lit(i)))
-        found.append(cut(selected.withColumn("layer", F.lit(i)).withColumn("g", F.lit(layer.size).cast("long"))))
-        left = cut(left)
-        first = segments if first is None else first
-        segments = first if independent_layers else left
+            rows = cut(scan_segments(paired, segments, [(layer, rule)], options))
+            selected = _selected(rows, [i], [layer.size])
+            left = rows.where("kind = 'left'").select("pair_id", "s", "e")
+            tally = _tallies(rows, [i])
+        found.append(selected)
+        tallies.append(tally)
+        segments = whole if independent_layers else left
         if segments.isEmpty():
             break
-    union = lambda dfs: dfs[0] if len(dfs) == 1 else union([dfs[0].unionByName(dfs[1]), *dfs[2:]])
-    return union(found), left, union(tallies)
+    return _union(found), left, _union(tallies)
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def _numbered(values: list[int], kind: str):
+    return F.array(*[F.lit(v) for v in values])[F.col("number").cast("int")].cast(kind)
+
+
+def _selected(rows: DataFrame, numbers: list[int], sizes: list[int]) -> DataFrame:
+    return rows.where("kind = 'selected'").select("pair_id", "s", "e", *NAMES, _numbered(numbers, "int").alias("layer"), _numbered(sizes, "long").alias("g"))
+
+
+def _tallies(rows: DataFrame, numbers: list[int]) -> DataFrame:
+    return rows.where("kind = 'counters'").groupBy("pair_id", _numbered(numbers, "int").alias("layer")).agg(*[F.sum(c).alias(c) for c in COUNTERS]).select("pair_id", *COUNTERS, "layer")
+
+
+def _in_chunks(paired, segments, layers, numbers, windows_per_chunk, options, largest=None):
+    """Scans of overlapping chunks, their windows merged, and what the merging has freed dealt anew until nothing is."""
+    largest, sizes = largest or layers[0][0].size, [x.size for x, _ in layers]
+    finest, found, tallies, waiting = min(sizes), None, [], segments
+    while True:
+        rows = cut(scan_segments(paired, _chunked(waiting, largest, windows_per_chunk), layers, options))
+        scanned = _selected(rows, numbers, sizes).dropDuplicates(["pair_id", "s", "e"])
+        tallies.append(_tallies(rows, numbers))
+        new = cut(W.merge(scanned, "disjoint"))
+        found = new if found is None else found.unionByName(new)
+        left = cut(W.leftouts(segments, found))
+        dropped = scanned.join(new.select("pair_id", "s", "e"), ["pair_id", "s", "e"], "left_anti")
+        free = prep.overlaps(left.where(F.col("e") - F.col("s") >= finest), dropped, W.STRETCH).select("pair_id", F.col("as").alias("s"), F.col("ae").alias("e")).distinct()
+        waiting = cut(free)  # only where a window has gone that another one overlapped can there be something new
+        if waiting.isEmpty():
+            return found, left, _union(tallies).groupBy("pair_id", "layer").agg(*[F.sum(c).alias(c) for c in COUNTERS]).select("pair_id", *COUNTERS, "layer")
 
 
 def choose_executor(segments: int, longest_share: float, divides: bool, cores: int) -> str:
@@ -204,16 +261,22 @@ def knn_mi_distributed(paired: DataFrame, k: int = 6, cells: int | None = None)
     from pyspark.sql import Window
 
     n = paired.groupBy("pair_id").agg(F.count("*").alias("n"), F.min("x").alias("lx"), F.max("x").alias("hx"), F.min("y").alias("ly"), F.max("y").alias("hy"))
-    side = F.sqrt((F.col("hx") - F.col("lx")) * (F.col("hy") - F.col("ly")) * (k if cells is None else 1) / (F.col("n") if cells is None else F.lit(cells)))
+    per = (F.lit(float(k)) / F.col("n")) if cells is None else F.lit(1.0 / cells)
+    wide, high = F.col("hx") - F.col("lx"), F.col("hy") - F.col("ly")
+    longest = F.greatest(wide, high)  # a series that is flat on one axis has a side all the same, a point cloud of one place too
+    side = F.greatest(F.sqrt(wide * high * per), longest * per, F.when(longest == 0, F.lit(1.0)))
     points = cut(paired.join(n, "pair_id").withColumn("side", side).select("pair_id", "idx", "x", "y", "n", "side", F.floor((F.col("x") - F.col("lx")) / F.col("side")).alias("cx"), F.floor((F.col("y") - F.col("ly")) / F.col("side")).alias("cy")))
+    if not points.where(F.col("n") <= k).isEmpty():
+        raise ValueError("a pair needs more than k points")
+    ends = points.agg(F.max(F.greatest("cx", "cy")).alias("m")).first()["m"]
     waiting, settled, ring = points, None, 1
-    while True:
+    while ends is not None:
         around = F.explode(F.transform(F.sequence(F.lit(0), F.lit((2 * ring + 1) ** 2 - 1)), lambda j: F.struct((j % (2 * ring + 1) - ring).alias("u"), (F.floor(j / (2 * ring + 1)) - ring).alias("v"))))
         asked = waiting.select("*", around.alias("o")).select("pair_id", "idx", "x", "y", "side", "cx", "cy", (F.col("cx") + F.col("o.u")).alias("jx"), (F.col("cy") + F.col("o.v")).alias("jy"))
         other = points.select("pair_id", F.col("cx").alias("jx"), F.col("cy").alias("jy"), F.col("idx").alias("i2"), F.col("x").alias("x2"), F.col("y").alias("y2"))
         near = asked.join(other, ["pair_id", "jx", "jy"]).where("idx <> i2").withColumn("ax", F.abs(F.col("x") - F.col("x2"))).withColumn("ay", F.abs(F.col("y") - F.col("y2"))).withColumn("d", F.greatest("ax", "ay"))
         best = near.withColumn("r", F.row_number().over(Window.partitionBy("pair_id", "idx").orderBy("d", "i2"))).where(F.col("r") <= k)
-        got = cut(best.groupBy("pair_id", "idx", "side").agg(F.count("*").alias("m"), F.max("d").alias("d"), F.max("ax").alias("dx"), F.max("ay").alias("dy")).where((F.col("m") == k) & (F.col("d") < ring * F.col("side"))).select("pair_id", "idx", "dx", "dy"))
+        got = cut(best.groupBy("pair_id", "idx", "side").agg(F.count("*").alias("m"), F.max("d").alias("d"), F.max("ax").alias("dx"), F.max("ay").alias("dy")).where((F.col("m") == k) & ((F.col("d") < ring * F.col("side")) | F.lit(ring > ends))).select("pair_id", "idx", "dx", "dy"))
         settled = got if settled is None else settled.unionByName(got)
         waiting = cut(waiting.join(got.select("pair_id", "idx"), ["pair_id", "idx"], "left_anti"))
         if waiting.isEmpty():
@@ -234,7 +297,7 @@ def _strip_counts(points: DataFrame, v: str, reach: str, k: int) -> DataFrame:
     from pyspark.sql import Window
 
     edges = points.groupBy("pair_id").agg(F.min(v).alias("lo"), F.max(v).alias("hi"), F.sqrt(F.count("*") / 4).cast("int").alias("slices"))
-    cell = lambda c: F.floor((c - F.col("lo")) / (F.col("hi") - F.col("lo")) * F.col("slices"))
+    cell = lambda c: F.coalesce(F.floor(F.try_divide(c - F.col("lo"), F.col("hi") - F.col("lo")) * F.col("slices")), F.lit(0).cast("long"))
     p = points.join(edges, "pair_id").withColumn("a", F.col(v) - F.col(reach)).withColumn("b", F.col(v) + F.col(reach)).withColumn("slice", cell(F.col(v))).withColumn("sa", F.greatest(cell(F.col("a")), F.lit(-1))).withColumn("sb", F.least(cell(F.col("b")), F.col("slices") + 1))
     sizes = p.groupBy("pair_id", "slice").agg(F.count("*").alias("c"))
     upto = sizes.select("pair_id", "slice", F.sum("c").over(Window.partitionBy("pair_id").orderBy("slice")).alias("upto"))

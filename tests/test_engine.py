@@ -53,7 +53,7 @@ def test_box_example():
     y = np.array([0.0, 1.0, -1.0, 7.0, 0.5, 9.0, -9.0])
     d, dx, dy, _, _ = K.brute(x, y, 2)
     assert (d[0], dx[0], dy[0]) == (1, 1, 1)
-    assert K.exact_within(x, np.array([0]), dx[:1])[0] == 3 and K.exact_within(y, np.array([0]), dy[:1])[0] == 3
+    assert K.counted(np.sort(x), x[:1], dx[:1])[0] == 3 and K.counted(np.sort(y), y[:1], dy[:1])[0] == 3
     for px, py, nx, ny in ((20.0, 0.2, 3, 4), (0.2, 20.0, 4, 3), (20.0, 20.0, 3, 3)):
         k = K.IncrementalKnn(np.r_[x, px], np.r_[y, py], 2)
         k.slide(0, 7)
@@ -72,7 +72,28 @@ def test_incremental_equals_scratch(step):
     for s in range(0, 161, step):
         assert k.slide(s, s + 100) == pytest.approx(K.knn_mi(x[s : s + 100], y[s : s + 100]), abs=1e-12)
     c = k.counters
-    assert c["untouched"] + c["researched"] + c["recounted"] > 0 and k.state_bytes() == 260 * 40
+    assert c["untouched"] + c["researched"] + c["recounted"] > 0 and k.state_bytes() == 260 * 8 * (2 * 16 + 6)
+
+
+@pytest.mark.parametrize("n,step,ties", [(1500, 60, False), (1500, 700, False), (300, 7, True), (1300, 40, True), (40, 3, True)])
+def test_incremental_equals_scratch_in_boxes_and_with_ties(n, step, ties):
+    x, y = gauss(0.6, 2 * n, step)
+    if ties:
+        x, y = np.round(x * 2), np.round(y * 2)
+    k = K.IncrementalKnn(x, y, 6)
+    for s in range(0, n, step):
+        assert k.slide(s, s + n) == pytest.approx(K.knn_mi(x[s : s + n], y[s : s + n]), abs=1e-12)
+    for s in range(n, 0, -3 * step):
+        assert k.slide(s, s + n) == pytest.approx(K.knn_mi(x[s : s + n], y[s : s + n]), abs=1e-12)
+
+
+def test_boxes_find_the_nearest():
+    rng = np.random.default_rng(3)
+    for x, y in ((rng.random(1200), rng.random(1200)), (np.zeros(50), np.zeros(50)), (np.arange(300.0), np.zeros(300)), (rng.exponential(size=900) ** 6, rng.random(900)), (np.round(rng.random(700) * 5), np.round(rng.random(700) * 5))):
+        rows = np.arange(0, len(x), 3)
+        for size in (1, 6, 16, 60):
+            for got, want in zip(K.Boxes(x, y).nearest(rows, size), K.matrix_nearest(x, y, rows, size), strict=True):
+                assert (got == want).all()
 
 
 def test_rectangle_misses_neighbours():
@@ -127,6 +148,57 @@ def test_executors(spark, pair):
     assert found["iou"] > 0.3
 
 
+def test_chunked_searches_are_disjoint_and_miss_nothing(spark):
+    """Dependence across chunk borders: no two windows overlap, all pass, and what is left has no passing grid window."""
+    n = 288
+    base = synth.relation(spark, "linear", n).withColumn("pair_id", F.lit("a"))
+    mixed = synth.relation(spark, "independent", n, salt="q").withColumn("y", F.when(F.col("idx").between(70, 130), F.col("x")).otherwise(F.col("y"))).withColumn("pair_id", F.lit("b"))
+    paired, ladder = base.unionByName(mixed).cache(), W.Ladder.of((48, 12), (24, 6))
+    grid = {g: {(r["pair_id"], r["s"]) for r in search.score_windows(search.untied(paired), W.grid(W.whole(paired), g, step), g, {"tie": None}).where("mi >= 0.6").collect()} for g, step in ((48, 12), (24, 6))}
+    for executor in ("chunked", "recursive"):
+        found, left, counts = search.layered_search(paired, ladder, W.Absolute(0.6), executor, windows_per_chunk=2)
+        rows, spans = found.collect(), [tuple(r) for r in left.select("pair_id", "s", "e").collect()]
+        assert all(r["mi"] >= 0.6 for r in rows) and counts.count() >= 3
+        for p in "ab":
+            own = sorted([(r["s"], r["e"]) for r in rows if r["pair_id"] == p] + [(s, e) for q, s, e in spans if q == p])
+            assert own[0][0] == 0 and own[-1][1] == n and all(a[1] == b[0] for a, b in zip(own, own[1:]))
+        assert [r["s"] for r in sorted(rows, key=lambda r: r["s"]) if r["pair_id"] == "a"] == list(range(0, n, 48))
+        inside = [(p, s, g) for g, starts in grid.items() for p, s in starts if any(p == q and a <= s and s + g <= b for q, a, b in spans)]
+        assert not inside
+
+
+def test_grid_equals_scan_with_ties(spark):
+    paired = synth.relation(spark, "linear", 240).withColumn("x", F.floor(F.col("x") * 4)).withColumn("y", F.floor(F.col("y") * 4)).withColumn("pair_id", F.lit("t"))
+    a, b = (search.layered_search(paired, W.Ladder.of((48, 12), (24, 6)), W.Absolute(0.35), e)[0] for e in ("sequential", "grid"))
+    assert a.count() and sorted((r["s"], r["e"], round(r["mi"], 9)) for r in a.collect()) == sorted((r["s"], r["e"], round(r["mi"], 9)) for r in b.collect())
+
+
+def test_islands_over_stretches(spark, monkeypatch):
+    monkeypatch.setattr(W, "STRETCH", 16)
+    rng = np.random.default_rng(5)
+    rows = [(p, int(s), int(s + n)) for p in "pq" for s, n in zip(rng.integers(0, 400, 60), rng.integers(1, 30, 60))]
+    df = spark.createDataFrame(rows, "pair_id string, s long, e long")
+    kept = [tuple(r) for r in W.disjoint(df).collect()]
+    want = []
+    for p, s, e in sorted(set(rows), key=lambda r: (r[0], r[1] - r[2], r[1])):
+        if not any(p == q and s < b and a < e for q, a, b in want):
+            want.append((p, s, e))
+    assert sorted(kept) == sorted(want)
+    left = W.leftouts(spark.createDataFrame([("p", 0, 450), ("q", 0, 200), ("q", 200, 450)], "pair_id string, s long, e long"), W.disjoint(df).where("s >= 200 or e <= 200"))
+    points = {(p, i) for p, s, e in want if s >= 200 or e <= 200 for i in range(s, e)}
+    assert {(r["pair_id"], i) for r in left.collect() for i in range(r["s"], r["e"])} == {(p, i) for p in "pq" for i in range(450)} - points
+    union = {(r["pair_id"], r["s"], r["e"]) for r in W.merge(df, "union").collect()}
+    covered = {(p, i) for p, s, e in rows for i in range(s, e)}
+    assert {(p, i) for p, s, e in union for i in range(s, e)} == covered
+
+
+def test_distributed_estimator_of_flat_series(spark):
+    for x, y in ((F.lit(1.0), F.lit(2.0)), (F.lit(1.0), F.col("id") * 1.0)):
+        p = spark.range(40).select(F.lit("p").alias("pair_id"), F.col("id").alias("idx"), x.alias("x"), y.alias("y"))
+        rows = p.orderBy("idx").toPandas()
+        assert search.knn_mi_distributed(p).first()["mi"] == pytest.approx(K.knn_mi(rows["x"], rows["y"]), abs=1e-9)
+
+
 def test_distributed_estimator(spark, pair):
     rows = pair.orderBy("idx").toPandas()
     got = search.knn_mi_distributed(pair).first()["mi"]
