@@ -136,6 +136,34 @@ def assign_points(points: DataFrame, windows: DataFrame, bucket: int) -> DataFra
     return points.withColumn("_b", F.floor(F.col("idx") / bucket)).join(w, ["pair_id", "_b"]).where("idx >= s and idx < e").drop("_b")
 
 
+def inside(points: DataFrame, windows: DataFrame, bucket: int, keep: bool = True) -> DataFrame:
+    """The points that some window holds, or those that none does: a semi or an anti join on buckets of time."""
+    w = windows.select(F.col("pair_id").alias("_p"), "s", "e", F.explode(F.sequence(F.floor(F.col("s") / bucket), F.floor((F.col("e") - 1) / bucket))).alias("_w"))
+    held = (F.col("pair_id") == F.col("_p")) & (F.floor(F.col("idx") / bucket) == F.col("_w")) & (F.col("idx") >= F.col("s")) & (F.col("idx") < F.col("e"))
+    return points.join(w, held, "left_semi" if keep else "left_anti")
+
+
+def profile(series: DataFrame) -> DataFrame:
+    """Per variable: points, steps without one, distinct values, smallest, largest and mean value."""
+    out = series.groupBy("var").agg(F.count("v").alias("n"), (F.max("idx") - F.min("idx") + 1 - F.count("v")).alias("missing"), F.count_distinct("v").alias("values"), F.min("v").alias("low"), F.max("v").alias("high"), F.avg("v").alias("mean"))
+    return out
+
+
+def horizon(series: DataFrame) -> tuple[int, int]:
+    """The first step of a series and the one after its last: two numbers."""
+    r = series.agg(F.min("idx").alias("a"), F.max("idx").alias("b")).first()
+    return (0, 0) if r["a"] is None else (r["a"], r["b"] + 1)
+
+
+def even(series: DataFrame, fill: float | None = None) -> DataFrame:
+    """Series without gaps: interpolated, each from its first to its last step; or all over one range, with `fill`."""
+    if fill is not None:
+        return spine(series, *horizon(series), fill)
+    ends = series.groupBy("var").agg(F.min("idx").alias("a"), F.max("idx").alias("b"))
+    steps = ends.select("var", F.explode(F.sequence("a", "b")).alias("idx"))
+    return interpolate(steps.join(series.select("var", "idx", "v"), ["var", "idx"], "left").withColumn("imputed", F.col("v").isNull()))
+
+
 def overlaps(a: DataFrame, b: DataFrame, bucket: int) -> DataFrame:
     """Pairs of overlapping spans with their intersection over union."""
     cut = lambda df, p: df.select("pair_id", F.col("s").alias(f"{p}s"), F.col("e").alias(f"{p}e"), F.explode(F.sequence(F.floor(F.col("s") / bucket), F.floor((F.col("e") - 1) / bucket))).alias("_b"))

@@ -22,24 +22,30 @@ COUNTERS = ["windows", "added", "removed", "researched", "recounted", "untouched
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cuts the lineage between layers: a table in the shared folder, or a checkpoint where one is set up.
+    """Cuts the lineage between layers: a table in the shared folder, which survives lost executors.
 
     Only a local session that names no folder (tests) gets a temporary one.
     """
     spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if folder is None:
-        if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-            master = spark.sparkContext.master
-            if not master.startswith("local") or master.startswith("local-cluster"):
-                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tempcorr-"))
-        return df.checkpoint()
-    path = f"{folder.rstrip('/')}/tempcorr-search-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark).rstrip('/')}/tempcorr-search-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def shared_folder(spark) -> str:
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder is None:
+        kept = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if kept.isDefined():
+            return kept.get()
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        folder = tempfile.mkdtemp(prefix="tempcorr-")
+        spark.sparkContext.setCheckpointDir(folder)
+    return folder
+
+
 def untied(paired: DataFrame, share: float = 1e-6) -> DataFrame:
     """Breaks ties by noise of a millionth of a pair's spread. It depends on idx alone: every slice has the same values."""
     spread = paired.groupBy("pair_id").agg(*[F.coalesce(F.nullif(F.stddev_pop(c), F.lit(0.0)), F.lit(1.0)).alias(f"_{c}") for c in "xy"])
@@ -117,7 +123,7 @@ def _chunked(segments: DataFrame, largest: int, m: int) -> DataFrame:
 def layered_search(paired: DataFrame, ladder: W.Ladder, criterion, executor: str = "sequential", windows_per_chunk: int = 4, independent_layers: bool = False, **options):
     """(selected, left out, counters). Finer layers search only what coarser ones left.
 
-    executor 'sequential' scans each segment in a task; 'grid' scores all grid windows at once and then takes greedily,
+    executor 'sequential' scans each series in a task, all layers one after the other; 'grid' scores all grid windows at once and then takes greedily,
     which equals the scan where the step divides the size. 'chunked' scans overlapping chunks of bounded size, layer by
     layer; 'recursive' runs the whole ladder inside each chunk. Both then keep of overlapping windows the larger, then the
     earlier, deal what the others have covered to new tasks of bounded size, and end when nothing more is left.
@@ -130,6 +136,10 @@ def layered_search(paired: DataFrame, ladder: W.Ladder, criterion, executor: str
     whole = cut(W.whole(paired))
     if executor == "recursive":
         return _in_chunks(paired, whole, layers, list(range(len(layers))), windows_per_chunk, options)
+    if executor == "sequential" and not independent_layers:
+        rows = cut(scan_segments(paired, whole, layers, options))
+        numbers = list(range(len(layers)))
+        return _selected(rows, numbers, [x.size for x, _ in layers]), rows.where("kind = 'left'").select("pair_id", "s", "e"), _tallies(rows, numbers)
     segments, found, tallies, left = whole, [], [], whole
     for i, (layer, rule) in enumerate(layers):
         if executor == "grid" and layer.size % layer.step == 0:

@@ -293,18 +293,43 @@ def test_sql_surface(spark, pair):
     assert found and all(x["mi"] >= 0.7 for x in found)
 
 
-def test_stream_search(spark, pair, tmp_path):
-    rows = pair.select("pair_id", "idx", "x", "y")
-    for i in range(3):
-        rows.where(f"idx % 3 = {i}").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
-    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
-    q = live.stream_search(stream, W.Ladder.single(48, 12), W.Absolute(0.7)).writeStream.format("memory").queryName("found").outputMode("append").start()
+def streamed(spark, tmp_path, parts, **options):
+    """What a search over a stream gives whose batches are the given rows (idx, x, y)."""
+    schema = "pair_id string, idx long, x double, y double"
+    for part in parts:
+        spark.createDataFrame([("p", *r) for r in part], schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        import time
+
+        time.sleep(0.05)  # files are taken by their time
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    name = "found" + tmp_path.name.replace("-", "_")
+    q = live.stream_search(stream, W.Ladder.of((48, 12), (24, 6)), W.Absolute(0.7), **options).writeStream.format("memory").queryName(name).outputMode("append").start()
     q.processAllAvailable()
     q.stop()
-    got = {(r["s"], r["e"]) for r in spark.table("found").collect()}
-    p = rows.orderBy("idx").toPandas()
-    want, _, _ = K.scan(p["x"], p["y"], 0, 240, 48, 12, W.Absolute(0.7), incremental=False)
-    assert got == {(r["s"], r["e"]) for r in want}
+    return [tuple(r) for r in spark.table(name).collect()]
+
+
+def test_stream_search_of_all_layers_equals_batch(spark, pair, tmp_path):
+    rows = [tuple(r) for r in pair.orderBy("idx").select("idx", "x", "y").collect()]
+    parts = [rows[i::3] for i in range(3)] + [[(240, None, None)]]
+    got = {(r[1], r[2], r[3]) for r in streamed(spark, tmp_path, parts)}
+    found = search.layered_search(pair, W.Ladder.of((48, 12), (24, 6)), W.Absolute(0.7), tie=None)[0]
+    want = {(r["layer"], r["s"], r["e"]) for r in found.collect()}
+    assert got == want and len({w[0] for w in want}) == 2
+
+
+def test_stream_search_with_gaps_and_revisions(spark, pair, tmp_path):
+    rows = [tuple(r) for r in pair.orderBy("idx").select("idx", "x", "y").collect()]
+    holes = [r for r in rows if r[0] != 30]
+    again = [(r[0], r[1], -r[2]) for r in rows if 80 <= r[0] < 84]
+    got = streamed(spark, tmp_path, [holes[:150], [(30, 0.5, 0.5)], again, holes[150:], [(240, None, None)]], lateness=50, remember=150)
+    x, y = ([r[i] for r in rows] for i in (1, 2))
+    want = set()
+    for s, e in ((0, 30), (31, 240)):
+        want |= {(i, r["s"], r["e"]) for i, r in K.top_down(np.array(x), np.array(y), s, e, [(48, 12), (24, 6)], lambda i: W.Absolute(0.7), tie=None)[0]}
+    assert {r[1:4] for r in got if r[5] == 0} == want
+    changed = [r for r in got if r[5] == 1]
+    assert changed and all(r[2] < 84 and r[3] > 80 for r in changed) and all(r[6] == (r[4] >= 0.7) for r in changed)
 
 
 def test_plans(spark, small):

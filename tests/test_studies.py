@@ -61,3 +61,14 @@ def test_window_scores(spark, middle):
     whole = {r["pair_id"]: r["mi"] for r in both if r["layer"] == -1}
     assert whole["ORD_REV"] > 0.3 > whole["local"]
     assert any(r["layer"] >= 0 and touches(r, 500, 548) for r in both)
+
+
+@pytest.mark.parametrize("name", ["windows_trips_speed", "windows_fare_speed", "workload_nested_core"])
+def test_searches_equal_sql(spark, middle, name):
+    con = duckdb.connect()
+    for t in ("events", "orders", "lineitem"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{middle}/{t}.parquet'")
+    found = studies.queries()[name](spark, middle)
+    columns = sorted(found.columns)
+    want = con.execute(f"SELECT {', '.join(columns)} FROM ({studies.oracle_sql()[name]})").fetchall()
+    assert sorted(map(repr, want)) == sorted(repr(tuple(r)) for r in found.select(*columns).collect()) and want
