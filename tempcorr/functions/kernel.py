@@ -34,7 +34,9 @@ def smallest(d, at, size):
     Rows with fewer are filled up with infinite distances to a point beyond all.
     """
     n = d.shape[1]
-    if n > size:
+    if size < n <= 2 * size:
+        near, who = d, at
+    elif n > size:
         part = np.argpartition(d, size - 1, axis=1)[:, :size]
         near, who = np.take_along_axis(d, part, 1), np.take_along_axis(at, part, 1)
         tied = np.flatnonzero((d <= near.max(1)[:, None]).sum(1) > size)
@@ -43,8 +45,9 @@ def smallest(d, at, size):
             near[tied], who[tied] = np.take_along_axis(d[tied], order, 1), np.take_along_axis(at[tied], order, 1)
     else:
         near, who = d, at
-    order = np.lexsort((who, near), axis=1)
-    near, who = np.take_along_axis(near, order, 1), np.take_along_axis(who, order, 1)
+    order = np.lexsort((who, near), axis=1)[:, :size]
+    row = np.arange(len(order))[:, None]
+    near, who = near[row, order], who[row, order]
     if n < size:
         fill = ((0, 0), (0, size - n))
         near, who = np.pad(near, fill, constant_values=np.inf), np.pad(who, fill, constant_values=BEYOND)
@@ -324,11 +327,14 @@ class IncrementalKnn:
             if not len(rows):
                 continue
             at, kth = rows + stay.start, self.who[rows + stay.start, : self.k]
-            d = np.where(inside[rows], d[rows], np.inf)
-            every = np.concatenate([self.near[at], d], 1)
-            near, who = smallest(every, np.concatenate([self.who[at], np.broadcast_to(p, d.shape)], 1), self.size)
-            self.near[at], self.who[at] = near, who
-            over = at[np.isfinite(every).sum(1) > self.size]  # something fell out at the far end
+            r, c = np.nonzero(inside[rows])  # few for each row: put side by side
+            many = np.bincount(r, minlength=len(rows))
+            place = self.size + np.arange(len(r)) - np.repeat(np.cumsum(many) - many, many)
+            every, who = (np.full((len(rows), self.size + int(many.max())), f) for f in (np.inf, BEYOND))
+            every[:, : self.size], who[:, : self.size] = self.near[at], self.who[at]
+            every[r, place], who[r, place] = d[rows[r], c], p[c]
+            over = at[many + np.isfinite(every[:, : self.size]).sum(1) > self.size]  # something falls out at the far end
+            self.near[at], self.who[at] = near, who = smallest(every, who, self.size)
             self._bound(over)
             changed[rows] |= (who[:, : self.k] != kth).any(1)
         return changed
