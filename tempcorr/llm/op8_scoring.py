@@ -7,28 +7,32 @@ All words are counted, each by its own 64-bit hash, in a distributed table that
 most frequent words that make up COVER of all tokens have an id each, and the network is as large as that takes. Every
 other word shares an id; its probability is that of the id times its part of the id's count, which is joined to the
 documents from the table, so that the probabilities of all words of the corpus sum to one. In training every word of every document is
-predicted once; each part of the input trains a copy of the network, and the copies are averaged, weighted by their words, by a tree of tasks. Half of
-the documents are the first round, the others the second. At last every word of every document is predicted.
+predicted once. Documents are dealt to shards by a hash of doc_id and text, as many as the corpus has words for; each shard
+trains a copy of the network over its documents in order, and the copies are averaged, weighted by their words, by a tree
+of tasks. How the input is cut into parts has no bearing on the result. Half of the shards are the first round, the others
+the second. At last every word of every document is predicted.
 
 Defined results: null or empty text has no words, log-probability 0 and a null mean; repeated rows are scored each; an
-empty table gives no rows; other columns are ignored.
+empty table gives no rows; other columns are ignored, whatever their names. A very long text is hashed in blocks; its ids
+take some 40 bytes of memory for each word.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tempcorr.llm.anchors import WordPlaces, word_hashes
-from tempcorr.llm.common import keyed, lean, mix, text_bytes, written
+from tempcorr.llm.common import dropped, keyed, lean, mix, text_bytes, written
 
 #: The part of all tokens whose words have an id of their own.
 COVER = 0.5
 CLASSES, SIDE = 32, 2
-SIZE, BATCH, RATE, ROUNDS = 24, 4096, 0.15, 2
+SIZE, RATE, ROUNDS = 24, 0.15, 2
+#: Words of a training step, at first and at most; words that a copy of the network is trained on, about.
+LEAST_BATCH, BATCH, SHARD = 2048, 16384, 2_000_000
 EDGE = 0
 FAN = 16
 #: Words whose counts a task adds up at once.
@@ -119,29 +123,40 @@ def shares(counts: DataFrame, table: Vocabulary) -> DataFrame:
     return others.join(F.broadcast(totals), "id").select("word", F.log(F.col("n") / F.col("all")).alias("share"))
 
 
-def key_of() -> Column:
-    """Of a row: rows with one key have one text."""
-    return F.xxhash64("doc_id", "text")
-
-
-def within_ids(docs: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFrame:
-    """(key, found, within): words with a shared id, and the sum of their shares, over all rows of a key."""
+def encoded(docs: DataFrame, table: Vocabulary, shards: int) -> DataFrame:
+    """Every row's ids, and its distinct words that share an id; a row's key and shard follow from its doc_id and text alone."""
+    kind = np.uint16 if table.classes**2 <= 1 << 16 else np.uint32
 
     def run(batches):
         for b in batches:
-            keys, words, times = [], [], []
-            for key, text in zip(b.column(0).to_pylist(), text_bytes(b.column(1)), strict=True):
+            ids, rare, times = [], [], []
+            for text in text_bytes(b.column(2)):
                 h = hashes_of(text)
-                h, n = np.unique(h[table.is_shared(table(h))], return_counts=True)
-                if len(h):
-                    keys.append(np.full(len(h), key))
-                    words.append(h)
-                    times.append(n)
-            if keys:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(words)), pa.array(np.concatenate(times).astype(np.int32))], ["key", "word", "times"])
+                own = table(h)
+                ids.append(own.astype(kind).tobytes())
+                words, n = np.unique(h[table.is_shared(own)], return_counts=True)
+                rare.append(words)
+                times.append(n.astype(np.int32))
+            cuts = pa.array(np.cumsum([0, *map(len, rare)]).astype(np.int32))
+            flat = [np.concatenate([x, e]) for x, e in ((np.concatenate(rare), np.zeros(0, np.int64)), (np.concatenate(times), np.zeros(0, np.int32)))] if rare else [np.zeros(0, np.int64), np.zeros(0, np.int32)]
+            lists = [pa.ListArray.from_arrays(cuts, pa.array(x)) for x in flat]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), pa.array(ids, pa.binary()), *lists], ["doc_id", "key", "shard", "ids", "rare", "times"])
+
+    key = F.xxhash64("doc_id", "text")
+    rows = docs.select("doc_id", key.alias("key"), "text", F.pmod(F.xxhash64(key, F.lit(1)), F.lit(shards)).cast("int").alias("shard"))
+    return written(rows.mapInArrow(lean(run), "doc_id long, key long, shard int, ids binary, rare array<bigint>, times array<int>"), "op8-ids")
+
+
+def ids_of(raw: bytes, classes: int) -> np.ndarray:
+    """The ids of a row, with SIDE edges at either end."""
+    edge = np.full(SIDE, EDGE, np.int32)
+    return np.concatenate([edge, np.frombuffer(raw, np.uint16 if classes**2 <= 1 << 16 else np.uint32).astype(np.int32), edge])
 
-    rows = docs.select(key_of().alias("key"), "text").mapInArrow(lean(run), "key long, word long, times int")
-    return rows.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
+
+def within_ids(rows: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFrame:
+    """(key, found, within): words with a shared id, and the sum of their shares, over all rows of a key."""
+    words = rows.select("key", F.explode(F.arrays_zip("rare", "times")).alias("w")).select("key", F.col("w.rare").alias("word"), F.col("w.times").alias("times"))
+    return words.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
 
 
 class Network:
@@ -160,58 +175,75 @@ class Network:
 
     def hidden(self, context: np.ndarray) -> np.ndarray:
         """context: for each predicted word the ids around it."""
-        h = self.embed[0][context[:, 0]]
+        h = self.embed[0][context[:, 0]] + self.shift
         for j in range(1, 2 * SIDE):
-            h = h + self.embed[j][context[:, j]]
-        return np.tanh(h + self.shift)
-
-    @staticmethod
-    def _softmax(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        x = x - x.max(1, keepdims=True)
-        e = np.exp(x)
-        total = e.sum(1, keepdims=True)
-        return x - np.log(total), e / total
+            h += self.embed[j][context[:, j]]
+        return np.tanh(h, out=h)
 
-    def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
-        h, cls = self.hidden(context), target // self.classes
-        logs, _ = self._softmax(h @ self.to_class + self.class_bias)
-        out = logs[np.arange(len(target)), cls].astype(np.float64)
+    def _by_class(self, h: np.ndarray, target: np.ndarray):
+        """Tokens sorted by class: their order, where each class begins, and the logits of the ids of their classes."""
+        cls = target // self.classes
         order = np.argsort(cls, kind="stable")
         cuts = np.searchsorted(cls[order], np.arange(self.classes + 1))
+        h, logits = h[order], np.empty((len(target), self.classes), np.float32)
         for c in range(self.classes):
-            at = order[cuts[c] : cuts[c + 1]]
-            if len(at):
-                logs, _ = self._softmax(h[at] @ self.to_word[c] + self.word_bias[c])
-                out[at] += logs[np.arange(len(at)), target[at] % self.classes]
+            s, e = cuts[c], cuts[c + 1]
+            if e > s:
+                np.matmul(h[s:e], self.to_word[c], out=logits[s:e])
+                logits[s:e] += self.word_bias[c]
+        return order, cuts, h, logits
+
+    @staticmethod
+    def _chosen(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """The log-probability of one column of each row."""
+        logits -= logits.max(1, keepdims=True)
+        own = logits[np.arange(len(at)), at].astype(np.float64)
+        np.exp(logits, out=logits)
+        return own - np.log(logits.sum(1))
+
+    def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
+        h = self.hidden(context)
+        out = self._chosen(h @ self.to_class + self.class_bias, target // self.classes)
+        order, _, _, logits = self._by_class(h, target)
+        out[order] += self._chosen(logits, target[order] % self.classes)
         return out
 
+    @staticmethod
+    def _slope(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """The slope of the loss in each logit: probabilities, less one at the right column."""
+        logits -= logits.max(1, keepdims=True)
+        np.exp(logits, out=logits)
+        logits /= logits.sum(1, keepdims=True)
+        logits[np.arange(len(at)), at] -= 1
+        return logits
+
     def train(self, context: np.ndarray, target: np.ndarray, memory: np.ndarray) -> None:
         """One step with rates that fall as squared gradients add up."""
-        n = len(target)
         grad = Network(np.zeros_like(self.flat), self.classes)
-        ids = self.classes * self.classes
-        h, cls = self.hidden(context), target // self.classes
-        _, p = self._softmax(h @ self.to_class + self.class_bias)
-        p[np.arange(n), cls] -= 1
-        grad.to_class[:] = h.T @ p
+        h = self.hidden(context)
+        p = self._slope(h @ self.to_class + self.class_bias, target // self.classes)
+        np.matmul(h.T, p, out=grad.to_class)
         grad.class_bias[:] = p.sum(0)
         back = p @ self.to_class.T
-        order = np.argsort(cls, kind="stable")
-        cuts = np.searchsorted(cls[order], np.arange(self.classes + 1))
+        order, cuts, sorted_h, logits = self._by_class(h, target)
+        q = self._slope(logits, target[order] % self.classes)
+        part = np.empty_like(sorted_h)
         for c in range(self.classes):
-            at = order[cuts[c] : cuts[c + 1]]
-            if len(at):
-                _, q = self._softmax(h[at] @ self.to_word[c] + self.word_bias[c])
-                q[np.arange(len(at)), target[at] % self.classes] -= 1
-                grad.to_word[c] = h[at].T @ q
-                grad.word_bias[c] = q.sum(0)
-                back[at] += q @ self.to_word[c].T
+            s, e = cuts[c], cuts[c + 1]
+            if e > s:
+                np.matmul(sorted_h[s:e].T, q[s:e], out=grad.to_word[c])
+                grad.word_bias[c] = q[s:e].sum(0)
+                np.matmul(q[s:e], self.to_word[c].T, out=part[s:e])
+        back[order] += part
         back *= 1 - h * h
         grad.shift[:] = back.sum(0)
-        dims = np.arange(SIZE)
         for j in range(2 * SIDE):
-            grad.embed[j] = np.bincount((context[:, j, None] * SIZE + dims).ravel(), back.ravel(), ids * SIZE).reshape(ids, SIZE)
-        g = grad.flat / np.float32(n)
+            by = np.argsort(context[:, j], kind="stable")
+            ids = context[by, j]
+            first = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
+            grad.embed[j][ids[first]] = np.add.reduceat(back[by], first, axis=0)
+        g = grad.flat
+        g /= np.float32(len(target))
         memory += g * g
         self.flat -= np.float32(RATE) * g / np.sqrt(memory + np.float32(1e-8))
 
@@ -226,37 +258,54 @@ def framed(text: bytes | None, table: Vocabulary) -> np.ndarray:
     return np.concatenate([edge, table(hashes_of(text)), edge])
 
 
-def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int) -> Network:
-    """The average of the copies that the parts of the input have trained."""
-    begin = Network(None if start is None else start.flat.copy(), table.classes).flat
-    part_docs = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(ROUNDS)) == turn)
+def trained(rows: DataFrame, classes: int, start: Network | None, turn: int, shards: int) -> Network:
+    """The average of copies that the shards of a round have trained, each over its rows in the order of doc_id and key."""
+    begin = Network(None if start is None else start.flat.copy(), classes).flat
+    mine = rows.where(F.pmod("shard", F.lit(ROUNDS)) == turn).select("shard", "doc_id", "key", "ids")
+    dealt = mine.repartition(max(1, shards // ROUNDS) * 2, "shard").sortWithinPartitions("shard", "doc_id", "key")
+
+    class Copy:
+        def __init__(self):
+            self.net, self.memory, self.steps, self.words = Network(begin.copy(), classes), np.zeros(len(begin), np.float32), 0, 0
+            self.contexts, self.targets, self.held = [], [], 0
+
+        def step(self):
+            if self.held:
+                self.net.train(np.concatenate(self.contexts), np.concatenate(self.targets), self.memory)
+                self.contexts, self.targets, self.held = [], [], 0
+                self.steps += 1
+
+        def add(self, ids):
+            n = len(ids) - 2 * SIDE
+            self.words += n
+            at, s = np.arange(SIDE, SIDE + n), 0
+            while s < n:  # batches begin small and grow
+                e = min(n, s + min(BATCH, LEAST_BATCH << (self.steps // 32)) - self.held)
+                self.contexts.append(around(ids, at[s:e]))
+                self.targets.append(ids[at[s:e]])
+                self.held, s = self.held + e - s, e
+                if self.held >= min(BATCH, LEAST_BATCH << (self.steps // 32)):
+                    self.step()
 
     def run(batches):
-        net, memory = Network(begin.copy(), table.classes), np.zeros(len(begin), np.float32)
-        contexts, targets, held, words = [], [], 0, 0
-        part = TaskContext.get().partitionId()
+        def out(shard, copy):
+            copy.step()
+            if copy.words:
+                yield pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([copy.words], pa.int64()), pa.array([copy.net.flat.tobytes()], pa.binary())], ["part", "words", "net"])
+
+        copy = last = None
         for b in batches:
-            for text in text_bytes(b.column(1)):
-                ids = framed(text, table)
-                n = len(ids) - 2 * SIDE
-                words += n
-                at = np.arange(SIDE, SIDE + n)
-                for s in range(0, len(at), BATCH):
-                    contexts.append(around(ids, at[s : s + BATCH]))
-                    targets.append(ids[at[s : s + BATCH]])
-                    held += len(targets[-1])
-                    if held >= BATCH:
-                        net.train(np.concatenate(contexts), np.concatenate(targets), memory)
-                        contexts, targets, held = [], [], 0
-        if held:
-            net.train(np.concatenate(contexts), np.concatenate(targets), memory)
-        if words:
-            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([words], pa.int64()), pa.array([net.flat.tobytes()], pa.binary())], ["part", "words", "net"])
-
-    copies = written(part_docs.mapInArrow(lean(run), "part int, words long, net binary"), f"op8-copies{turn}")
-    highest = copies.agg(F.max("part").alias("m")).first()["m"]
-    if highest is None:
-        return Network(begin, table.classes)
+            for shard, raw in zip(b.column(0).to_pylist(), b.column(3), strict=True):
+                if shard != last:
+                    if copy is not None:
+                        yield from out(last, copy)
+                    copy, last = Copy(), shard
+                copy.add(ids_of(raw.as_py(), classes))
+        if copy is not None:
+            yield from out(last, copy)
+
+    copies = copied = written(dealt.mapInArrow(lean(run), "part int, words long, net binary"), f"op8-copies{turn}")
+    highest = shards - 1
 
     def average(batches):
         by: dict[int, list] = {}
@@ -268,28 +317,39 @@ def trained(docs: DataFrame, table: Vocabulary, start: Network | None, turn: int
         for part, (words, total) in by.items():
             yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([words], pa.int64()), pa.array([(total / words).astype(np.float32).tobytes()], pa.binary())], ["part", "words", "net"])
 
-    while highest:
+    fan = F.floor(F.col("part") / FAN).cast("int")
+    while highest >= FAN:
         highest //= FAN
-        copies = copies.withColumn("part", F.floor(F.col("part") / FAN).cast("int")).repartition(highest + 1, "part").mapInArrow(lean(average), "part int, words long, net binary")
-    got = copies.mapInArrow(lean(average), "part int, words long, net binary").collect()
+        copies = copies.withColumn("part", fan).repartition(highest + 1, "part").sortWithinPartitions("part", "words").mapInArrow(lean(average), "part int, words long, net binary")
+    got = sorted(copies.select("part", "words", "net").collect(), key=lambda r: (r["part"], r["words"]))  # FAN rows at most
+    dropped(copied)
     total = sum(r["words"] for r in got)
-    return Network((sum(r["words"] / total * np.frombuffer(r["net"], np.float32).astype(np.float64) for r in got)).astype(np.float32), table.classes)
+    if not total:
+        return Network(begin, classes)
+    return Network((sum(r["words"] / total * np.frombuffer(r["net"], np.float32).astype(np.float64) for r in got)).astype(np.float32), classes)
 
 
-def score(docs: DataFrame) -> DataFrame:
-    """Rows of OUT: the sum and mean of every document's conditional log-probabilities."""
-    docs = keyed(docs)
+def fitted(docs: DataFrame):
+    """(rows as ids, counts of words, vocabulary, network) of all documents."""
     counts = written(word_counts(docs), "op8-counts")
     table = vocabulary(counts)
-    net = None
+    tokens = counts.agg(F.sum("n").alias("n")).first()["n"] or 0
+    shards = ROUNDS * max(1, -(-tokens // (ROUNDS * SHARD)))
+    rows, net = encoded(docs, table, shards), None
     for turn in range(ROUNDS):
-        net = trained(docs, table, net, turn)
-    flat = net.flat
+        net = trained(rows, table.classes, net, turn, shards)
+    return rows, counts, table, net
+
+
+def score(docs: DataFrame) -> DataFrame:
+    """Rows of OUT: the sum and mean of every document's conditional log-probabilities."""
+    rows, counts, table, net = fitted(keyed(docs))
+    flat, classes = net.flat, table.classes
 
     def run(batches):
-        net = Network(flat, table.classes)
+        net = Network(flat, classes)
         for b in batches:
-            ids = [framed(t, table) for t in text_bytes(b.column(1))]
+            ids = [ids_of(x.as_py(), classes) for x in b.column(2)]
             others = np.array([table.is_shared(x).sum() for x in ids], np.int64)
             sizes = np.array([len(x) - 2 * SIDE for x in ids])
             sums, doc, held = np.zeros(len(ids)), [], []
@@ -301,19 +361,19 @@ def score(docs: DataFrame) -> DataFrame:
             waiting = 0
             for i, x in enumerate(ids):
                 at = np.arange(SIDE, SIDE + sizes[i])
-                for s in range(0, len(at), 4 * BATCH):
-                    held.append((around(x, at[s : s + 4 * BATCH]), x[at[s : s + 4 * BATCH]]))
+                for s in range(0, len(at), BATCH):
+                    held.append((around(x, at[s : s + BATCH]), x[at[s : s + BATCH]]))
                     doc.append(np.full(len(held[-1][1]), i))
                     waiting += len(held[-1][1])
-                    if waiting >= BATCH:
+                    if waiting >= BATCH // 2:
                         flush(doc, held, sums)
                         doc, held, waiting = [], [], 0
             if held:
                 flush(doc, held, sums)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(sizes.astype(np.int64)), pa.array(others), pa.array(sums)], ["doc_id", "key", "n_tokens", "others", "log_prob"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sizes.astype(np.int64)), pa.array(others), pa.array(sums)], ["doc_id", "key", "n_tokens", "others", "log_prob"])
 
-    scored = docs.select("doc_id", "text", key_of().alias("key")).mapInArrow(lean(run), "doc_id long, key long, n_tokens long, others long, log_prob double")
-    both = scored.join(within_ids(docs, counts, table), "key", "left")
+    scored = rows.select("doc_id", "key", "ids").mapInArrow(lean(run), "doc_id long, key long, n_tokens long, others long, log_prob double")
+    both = scored.join(within_ids(rows, counts, table), "key", "left")
     # equal rows have one key, under which their words are added up: each has its part
     log_prob = F.col("log_prob") + F.when(F.col("others") > 0, F.col("within") * F.col("others") / F.col("found")).otherwise(F.lit(0.0))
     return both.select("doc_id", "n_tokens", log_prob.alias("log_prob"), F.when(F.col("n_tokens") > 0, log_prob / F.col("n_tokens")).alias("mean_log_prob"))
