@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import ctypes
+import os
 import tempfile
 import uuid
-from functools import wraps
+from functools import cache, wraps
 
 import numpy as np
 import pyarrow as pa
@@ -74,11 +75,29 @@ def _trim() -> None:
         pass
 
 
+#: Names under which numpy's linear algebra library sets the number of its threads.
+SET_THREADS = ("scipy_openblas_set_num_threads64_", "scipy_openblas_set_num_threads", "openblas_set_num_threads64_", "openblas_set_num_threads")
+
+
+@cache
+def one_thread() -> None:
+    """A task has one core: threads of numpy's linear algebra would only wait for each other, at twice the CPU time."""
+    folder = os.path.join(os.path.dirname(os.path.dirname(np.__file__)), "numpy.libs")
+    for name in os.listdir(folder) if os.path.isdir(folder) else []:
+        if "openblas" in name:
+            library = ctypes.CDLL(os.path.join(folder, name))
+            for symbol in SET_THREADS:
+                if hasattr(library, symbol):
+                    getattr(library, symbol)(1)
+                    break
+
+
 def lean(f):
-    """A function over batches that leaves no free memory behind in its worker."""
+    """A function over batches that uses one thread and leaves no free memory behind in its worker."""
 
     @wraps(f)
     def run(batches):
+        one_thread()
         try:
             yield from f(batches)
         finally:
