@@ -1,12 +1,12 @@
 """Line-first cleaning, by SQL expressions alone.
 
-Lines are judged one by one: a line goes when it is navigation (mostly separators or link words), boilerplate (legal or
-cookie notices), or long enough for a sentence without any closing punctuation and without enough words. Then the document
-is judged: it goes when too small a part of its words is left. All of it is done inside a row, by higher-order functions,
-so that nothing is shuffled.
+Lines are judged one by one, by rules of punctuation, navigation and boilerplate: a line goes when it has neither closing
+punctuation nor five words, when it is navigation (words between separators, or separators alone, in any language), or a
+short line with one of a list of English phrases of legal and cookie notices. Then the document is judged: it goes when too
+small a part of its words is left. All of it is done inside a row, by higher-order functions, so that nothing is shuffled.
 
 Defined results: null or empty text has no words and fails the base rules; repeated rows are judged each; an empty table
-gives no rows; other columns are ignored.
+gives no rows; other columns are ignored, whatever their names. A very long text is an array of its words inside its row.
 """
 
 from __future__ import annotations
@@ -21,7 +21,9 @@ LEAST_WORDS = 20
 MOST_REPEATED = 30
 #: Percent of a document's words that its kept lines must have.
 LEAST_KEPT = 50
-BOILERPLATE = r"(?i)(all rights reserved|terms of (use|service)|privacy policy|cookie policy|we use cookies|accept (all )?cookies|powered by|sign (in|up)|log ?in|subscribe (now|to)|click here|read more|share (this|on)|skip to (main )?content|javascript is (disabled|required))"
+#: Words of a line of boilerplate at most: a phrase inside a longer line, or a text of one line, is prose.
+NOTICE = 20
+BOILERPLATE = r"(?i)(^|[^A-Za-z0-9])(all rights reserved|terms of (use|service)|privacy policy|cookie policy|we use cookies|accept (all )?cookies|powered by|sign (in|up)|log ?in|subscribe (now|to)|click here|read more|share (this|on)|skip to (main )?content|javascript is (disabled|required))([^A-Za-z0-9]|$)"
 NAVIGATION = r"^\s*(([^\s|>»·•]+\s*[|>»·•]\s*){3,}|[-*#=_~.|>»·•\s]+$)"
 CLOSED = r"[.!?…:;\"')\]”’»。！？]\s*$"
 
@@ -85,9 +87,9 @@ def measured(docs: DataFrame) -> DataFrame:
 
 
 def line_kept(line: Column) -> Column:
-    """Does a line stay: no boilerplate, no navigation, and closed by punctuation or long enough to be prose."""
+    """Does a line stay: no short notice, no navigation, and closed by punctuation or of five words or more."""
     n = F.size(words_of(line))
-    return ~line.rlike(BOILERPLATE) & ~line.rlike(NAVIGATION) & (line.rlike(CLOSED) | (n >= 5))
+    return ((n > NOTICE) | ~line.rlike(BOILERPLATE)) & ~line.rlike(NAVIGATION) & (line.rlike(CLOSED) | (n >= 5))
 
 
 def clean(docs: DataFrame) -> DataFrame:

@@ -63,8 +63,13 @@ SELECT a.doc_id, n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n
 FROM a LEFT JOIN c USING (doc_id) LEFT JOIN o USING (doc_id)
 """
 
-_RE2 = {"boilerplate": op6_quality.BOILERPLATE, "navigation": op6_quality.NAVIGATION, "closed": op6_quality.CLOSED}
-_RE2 = {k: v.replace("'", "''") for k, v in _RE2.items()}
+#: The rules once more, in RE2: phrases between signs that are no ASCII letters or digits, runs between separators, last signs.
+_PHRASES = ["all rights reserved", "terms of use", "terms of service", "privacy policy", "cookie policy", "we use cookies", "accept cookies", "accept all cookies", "powered by", "sign in", "sign up", "login", "log in", "subscribe now", "subscribe to", "click here", "read more", "share this", "share on", "skip to content", "skip to main content", "javascript is disabled", "javascript is required"]
+_RE2 = {
+    "boilerplate": "(?i)(?:^|[^[:alnum:]])(?:" + "|".join(_PHRASES) + ")(?:[^[:alnum:]]|$)",
+    "navigation": r"^[\t-\r ]*(?:(?:[^\t-\r |>»·•]+[\t-\r ]*[|>»·•][\t-\r ]*){3,}|[-*#=_~.|>»·•\t-\r ]+$)",
+    "closed": r"""[.!?…:;"'')\]”’»。！？][\t-\r ]*$""",
+}
 
 QUALITY = f"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
@@ -76,7 +81,7 @@ r AS (SELECT doc_id, count(*) FILTER (again) AS n_repeat_words FROM (
     SELECT doc_id, bool_or(hit) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN {op6_quality.WINDOW - 1} PRECEDING AND CURRENT ROW) AS again FROM h) GROUP BY doc_id),
 l AS (SELECT doc_id, line, len(regexp_extract_all(line, '{WORD}')) AS n FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM d)),
 k AS (SELECT doc_id, count(*) - count(DISTINCT line) AS n_dup_lines, coalesce(sum(n) FILTER (
-    NOT regexp_matches(line, '{_RE2["boilerplate"]}') AND NOT regexp_matches(line, '{_RE2["navigation"]}') AND (n >= 5 OR regexp_matches(line, '{_RE2["closed"]}'))), 0) AS kept_words
+    (n > 20 OR NOT regexp_matches(line, '{_RE2["boilerplate"]}')) AND NOT regexp_matches(line, '{_RE2["navigation"]}') AND (n >= 5 OR regexp_matches(line, '{_RE2["closed"]}'))), 0) AS kept_words
     FROM l WHERE n > 0 GROUP BY doc_id),
 a AS (SELECT doc_id, len(regexp_extract_all(text, '{WORD}')) AS n_words, length(regexp_replace(text, '[\\x20\\x09-\\x0D]+', '', 'g')) AS word_chars,
     length(regexp_replace(text, '[^#*$%&|<>]+', '', 'g')) AS n_symbols FROM d),

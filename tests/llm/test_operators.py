@@ -229,6 +229,12 @@ def test_quality_verdicts(spark):
     assert found[4]["kept_text"] == "\n".join(lines)
 
 
+def test_quality_phrases_are_words(spark):
+    lines = ["The catalog in the hall is old.", "He worked on design in Paris.", "A backlog in the office grew.", "Please log in here.", "Sign up now!", "We read more books than they did, and on every evening of that long winter we talked about what was in them."]
+    r = op6_quality.clean(spark.createDataFrame([(1, "\n".join(lines))], "doc_id long, text string")).first()
+    assert r["kept_text"].split("\n") == [lines[i] for i in (0, 1, 2, 5)] and r["kept"]
+
+
 def test_packing(spark, docs, rows, small):
     from public_tokenizers import path
     from tokenizers import Tokenizer
