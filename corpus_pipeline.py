@@ -20,13 +20,14 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates: shingles of five words, a similarity of 0.8.
 
-    Of rows with one doc_id and one text one stays; rows of one doc_id with other texts are documents of their own.
+    Of rows with one doc_id and one text one stays; rows of one doc_id with other texts are documents of their own,
+    and rows without a doc_id stay.
     """
     found = written(op7_neardup.near_duplicates(docs, size=5, similar=80).where("kept").groupBy("doc_id", F.col("text_key").alias("_text_key")).agg(F.count("*").alias("_rows")), "pipeline-kept")
     named = docs.withColumn("_text_key", F.xxhash64(F.col("text").cast("string")))
     once = named.join(found.where("_rows = 1"), ["doc_id", "_text_key"], "left_semi").select(*docs.columns)
     again = named.join(found.where("_rows > 1"), ["doc_id", "_text_key"], "left_semi").dropDuplicates(["doc_id", "_text_key"]).select(*docs.columns)
-    return once.unionByName(again)
+    return once.unionByName(again).unionByName(docs.where("doc_id is null"))
 
 
 def substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -7,7 +7,9 @@ would cost shards times documents; dealing by anchors sends each passage to the
 Whole runs that repeat are settled by their hash before; strings of hot anchors meet window by window.
 
 Defined results: null or empty text has no words and nothing removed; repeated rows of one doc_id are each compared with
-smaller doc_ids only, and get the spans of all of them joined; an empty table gives no rows; other columns are ignored.
+smaller doc_ids only, and get the spans of all of them joined; a row without a doc_id has no order: it loses nothing and
+others lose nothing by it; an empty table gives no rows; other columns are ignored, whatever their names. A very long text
+is hashed in blocks and cut as a whole, in some 100 bytes of memory for each word.
 """
 
 from __future__ import annotations
@@ -67,7 +69,7 @@ def earlier(window: int):
 
 def passages(docs: DataFrame, window: int = 13) -> DataFrame:
     """(doc_id, start, end): spans of words that repeat an earlier document."""
-    return anchors.repeats(keyed(docs), anchors.Words, window, min(4, window), True, earlier(window), "op4")
+    return anchors.repeats(keyed(docs).where("doc_id is not null"), anchors.Words, window, min(4, window), True, earlier(window), "op4")
 
 
 def dedup(docs: DataFrame, window: int = 13) -> DataFrame:

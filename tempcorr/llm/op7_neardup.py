@@ -14,7 +14,7 @@ Members of different groups are compared pair by pair, in a bucket of more than
 could join two components is lost, and no step makes all pairs of a large group as rows.
 
 Defined results: null text, empty text or text of white space has an empty set, links with nothing and is kept; repeated
-rows are in one class; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored,
+rows are in one class; a row without a doc_id links nothing and is kept; ties are broken by the smallest doc_id; an empty table gives no rows; other columns are ignored,
 whatever their names. A very long text is hashed in blocks; its set takes about 40 bytes of memory for each word.
 """
 
@@ -317,7 +317,7 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
     """(doc_id, text_key, n_shingles, component_id, kept) for every document; text_key tells rows of one doc_id apart."""
     docs = keyed(docs)
     sets = written(sketches(docs, size), "op7-sets")
-    classes = written(sets.where("n_shingles > 0").groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.min("signature").alias("signature")), "op7-classes")
+    classes = written(sets.where("n_shingles > 0 and doc_id is not null").groupBy("s1", "s2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.min("signature").alias("signature")), "op7-classes")
     keys = indexed(classes, most_different(similar))
     many = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     met = buckets = written(keys.join(many, "key"), "op7-buckets")
@@ -349,4 +349,4 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similar: int = SIMILAR
         found = found.join(upper.toDF("label", "component"), "label", "left").select("s1", "s2", "n_shingles", F.coalesce("component", "label").alias("label"))
     joined = written(found.select("s1", "s2", "n_shingles", F.col("label").alias("component")), "op7-labels")
     dropped(classes, labels, more, upper)
-    return sets.join(joined, ["s1", "s2", "n_shingles"], "left").select("doc_id", "text_key", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), (F.coalesce("component", "doc_id") == F.col("doc_id")).alias("kept"))
+    return sets.join(joined, ["s1", "s2", "n_shingles"], "left").select("doc_id", "text_key", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce(F.coalesce("component", "doc_id") == F.col("doc_id"), F.lit(True)).alias("kept"))

@@ -161,7 +161,7 @@ def _hits(docs: DataFrame, items: list[tuple[str, bytes | None]], size: int) ->
 def clean(docs: DataFrame, benchmark: DataFrame, size: int = 13, share: int = 20) -> DataFrame:
     """The documents that are not contaminated, with all their columns."""
     bad = judge(find(docs, benchmark, size), share).where("contaminated").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
-    same = (F.col("doc_id").cast("long") == F.col("_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("_key"))
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.xxhash64(F.col("text").cast("string")) == F.col("_key"))
     return docs.join(bad, same, "left_anti").select(*docs.columns)
 
 
