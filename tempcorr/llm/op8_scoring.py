@@ -30,11 +30,14 @@ from tempcorr.llm.common import dropped, keyed, lean, mix, text_bytes, written
 #: The part of all tokens whose words have an id of their own.
 COVER = 0.5
 CLASSES, SIDE = 32, 2
+#: SIZE is even: see Network.train.
 SIZE, RATE, ROUNDS = 24, 0.15, 2
 #: Words of a training step, at first and at most; words that a copy of the network is trained on, about.
 LEAST_BATCH, BATCH, SHARD = 2048, 16384, 2_000_000
 EDGE = 0
 FAN = 16
+#: Logits whose bound is under this need no shift before their exponentials are taken in single precision.
+SAFE = 60.0
 #: Words whose counts a task adds up at once.
 HELD = 1 << 22
 OUT = "doc_id long, n_tokens long, log_prob double, mean_log_prob double"
@@ -159,6 +162,11 @@ def within_ids(rows: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFra
     return words.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
 
 
+def grouped(labels: np.ndarray, most: int) -> np.ndarray:
+    """The stable order of labels under `most`; 16-bit ones are sorted by radix."""
+    return np.argsort(labels.astype(np.uint16) if most <= 1 << 16 else labels, kind="stable")
+
+
 class Network:
     """The window network; all its numbers in one array, so that copies can be averaged. It has classes * classes ids."""
 
@@ -175,17 +183,18 @@ class Network:
 
     def hidden(self, context: np.ndarray) -> np.ndarray:
         """context: for each predicted word the ids around it."""
-        h = self.embed[0][context[:, 0]] + self.shift
+        h = self.embed[0].take(context[:, 0], 0)
+        h += self.shift
         for j in range(1, 2 * SIDE):
-            h += self.embed[j][context[:, j]]
+            h += self.embed[j].take(context[:, j], 0)
         return np.tanh(h, out=h)
 
     def _by_class(self, h: np.ndarray, target: np.ndarray):
         """Tokens sorted by class: their order, where each class begins, and the logits of the ids of their classes."""
         cls = target // self.classes
-        order = np.argsort(cls, kind="stable")
-        cuts = np.searchsorted(cls[order], np.arange(self.classes + 1))
-        h, logits = h[order], np.empty((len(target), self.classes), np.float32)
+        order = grouped(cls, self.classes)
+        cuts = np.r_[0, np.cumsum(np.bincount(cls, minlength=self.classes))]
+        h, logits = h.take(order, 0), np.empty((len(target), self.classes), np.float32)
         for c in range(self.classes):
             s, e = cuts[c], cuts[c + 1]
             if e > s:
@@ -193,27 +202,36 @@ class Network:
                 logits[s:e] += self.word_bias[c]
         return order, cuts, h, logits
 
+    def _safe(self) -> tuple[bool, bool]:
+        """Whether the logits of classes, and of ids, are small for any hidden layer, all of whose numbers are within 1."""
+        return tuple(float((np.abs(w).sum(-2) + np.abs(b)).max()) < SAFE for w, b in ((self.to_class, self.class_bias), (self.to_word, self.word_bias)))
+
     @staticmethod
-    def _chosen(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
+    def _raised(logits: np.ndarray, safe: bool) -> np.ndarray:
+        """Exponentials in place; the sum of each row."""
+        if not safe:
+            logits -= logits.max(1, keepdims=True)
+        np.exp(logits, out=logits)
+        return logits @ np.ones(logits.shape[1], np.float32)
+
+    def _chosen(self, logits: np.ndarray, at: np.ndarray, safe: bool) -> np.ndarray:
         """The log-probability of one column of each row."""
-        logits -= logits.max(1, keepdims=True)
+        if not safe:
+            logits -= logits.max(1, keepdims=True)
         own = logits[np.arange(len(at)), at].astype(np.float64)
-        np.exp(logits, out=logits)
-        return own - np.log(logits.sum(1))
+        return own - np.log(self._raised(logits, True))
 
     def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
         h = self.hidden(context)
-        out = self._chosen(h @ self.to_class + self.class_bias, target // self.classes)
+        safe = self._safe()
+        out = self._chosen(h @ self.to_class + self.class_bias, target // self.classes, safe[0])
         order, _, _, logits = self._by_class(h, target)
-        out[order] += self._chosen(logits, target[order] % self.classes)
+        out[order] += self._chosen(logits, target[order] % self.classes, safe[1])
         return out
 
-    @staticmethod
-    def _slope(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
+    def _slope(self, logits: np.ndarray, at: np.ndarray, safe: bool) -> np.ndarray:
         """The slope of the loss in each logit: probabilities, less one at the right column."""
-        logits -= logits.max(1, keepdims=True)
-        np.exp(logits, out=logits)
-        logits /= logits.sum(1, keepdims=True)
+        logits *= (1 / self._raised(logits, safe))[:, None]
         logits[np.arange(len(at)), at] -= 1
         return logits
 
@@ -221,12 +239,13 @@ class Network:
         """One step with rates that fall as squared gradients add up."""
         grad = Network(np.zeros_like(self.flat), self.classes)
         h = self.hidden(context)
-        p = self._slope(h @ self.to_class + self.class_bias, target // self.classes)
+        safe = self._safe()
+        p = self._slope(h @ self.to_class + self.class_bias, target // self.classes, safe[0])
         np.matmul(h.T, p, out=grad.to_class)
         grad.class_bias[:] = p.sum(0)
         back = p @ self.to_class.T
         order, cuts, sorted_h, logits = self._by_class(h, target)
-        q = self._slope(logits, target[order] % self.classes)
+        q = self._slope(logits, target[order] % self.classes, safe[1])
         part = np.empty_like(sorted_h)
         for c in range(self.classes):
             s, e = cuts[c], cuts[c + 1]
@@ -238,10 +257,11 @@ class Network:
         back *= 1 - h * h
         grad.shift[:] = back.sum(0)
         for j in range(2 * SIDE):
-            by = np.argsort(context[:, j], kind="stable")
-            ids = context[by, j]
+            by = grouped(context[:, j], self.classes**2)
+            ids = context[:, j].take(by)
             first = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
-            grad.embed[j][ids[first]] = np.add.reduceat(back[by], first, axis=0)
+            # two numbers are added at once, as the parts of a complex one
+            grad.embed[j][ids[first]] = np.add.reduceat(back.take(by, 0).view(np.complex64), first, axis=0).view(np.float32)
         g = grad.flat
         g /= np.float32(len(target))
         memory += g * g
@@ -250,7 +270,7 @@ class Network:
 
 def around(ids: np.ndarray, at: np.ndarray) -> np.ndarray:
     """The ids before and after the places `at` of a text that has SIDE edges at either end."""
-    return np.stack([ids[at + d] for d in (*range(-SIDE, 0), *range(1, SIDE + 1))], 1)
+    return np.stack([ids[at + d] for d in (*range(-SIDE, 0), *range(1, SIDE + 1))]).T
 
 
 def framed(text: bytes | None, table: Vocabulary) -> np.ndarray:
