@@ -127,7 +127,10 @@ def shares(counts: DataFrame, table: Vocabulary) -> DataFrame:
 
 
 def encoded(docs: DataFrame, table: Vocabulary, shards: int) -> DataFrame:
-    """Every row's ids, and its distinct words that share an id; a row's key and shard follow from its doc_id and text alone."""
+    """Every row's ids, and its distinct words that share an id; a row's key and shard follow from its doc_id and text alone.
+
+    `row` tells rows apart. It is fixed with the written table, and rises along it, so that shuffles of it compress well.
+    """
     kind = np.uint16 if table.classes**2 <= 1 << 16 else np.uint32
 
     def run(batches):
@@ -143,11 +146,11 @@ def encoded(docs: DataFrame, table: Vocabulary, shards: int) -> DataFrame:
             cuts = pa.array(np.cumsum([0, *map(len, rare)]).astype(np.int32))
             flat = [np.concatenate([x, e]) for x, e in ((np.concatenate(rare), np.zeros(0, np.int64)), (np.concatenate(times), np.zeros(0, np.int32)))] if rare else [np.zeros(0, np.int64), np.zeros(0, np.int32)]
             lists = [pa.ListArray.from_arrays(cuts, pa.array(x)) for x in flat]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), pa.array(ids, pa.binary()), *lists], ["doc_id", "key", "shard", "ids", "rare", "times"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), b.column(4), pa.array(ids, pa.binary()), *lists], ["doc_id", "key", "shard", "row", "ids", "rare", "times"])
 
     key = F.xxhash64("doc_id", "text")
-    rows = docs.select("doc_id", key.alias("key"), "text", F.pmod(F.xxhash64(key, F.lit(1)), F.lit(shards)).cast("int").alias("shard"))
-    return written(rows.mapInArrow(lean(run), "doc_id long, key long, shard int, ids binary, rare array<bigint>, times array<int>"), "op8-ids")
+    rows = docs.select("doc_id", key.alias("key"), "text", F.pmod(F.xxhash64(key, F.lit(1)), F.lit(shards)).cast("int").alias("shard"), F.monotonically_increasing_id().alias("row"))
+    return written(rows.mapInArrow(lean(run), "doc_id long, key long, shard int, row long, ids binary, rare array<bigint>, times array<int>"), "op8-ids")
 
 
 def ids_of(raw: bytes, classes: int) -> np.ndarray:
@@ -157,9 +160,9 @@ def ids_of(raw: bytes, classes: int) -> np.ndarray:
 
 
 def within_ids(rows: DataFrame, counts: DataFrame, table: Vocabulary) -> DataFrame:
-    """(key, found, within): words with a shared id, and the sum of their shares, over all rows of a key."""
-    words = rows.select("key", F.explode(F.arrays_zip("rare", "times")).alias("w")).select("key", F.col("w.rare").alias("word"), F.col("w.times").alias("times"))
-    return words.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("key").agg(F.sum("times").alias("found"), F.sum(F.col("times") * F.col("share")).alias("within"))
+    """(row, within): the sum of the shares of a row's words with a shared id."""
+    words = rows.select("row", F.explode(F.arrays_zip("rare", "times")).alias("w")).select("row", F.col("w.rare").alias("word"), F.col("w.times").alias("times"))
+    return words.join(shares(counts, table).hint("shuffle_hash"), "word").groupBy("row").agg(F.sum(F.col("times") * F.col("share")).alias("within"))
 
 
 def grouped(labels: np.ndarray, most: int) -> np.ndarray:
@@ -370,7 +373,6 @@ def score(docs: DataFrame) -> DataFrame:
         net = Network(flat, classes)
         for b in batches:
             ids = [ids_of(x.as_py(), classes) for x in b.column(2)]
-            others = np.array([table.is_shared(x).sum() for x in ids], np.int64)
             sizes = np.array([len(x) - 2 * SIDE for x in ids])
             sums, doc, held = np.zeros(len(ids)), [], []
 
@@ -390,10 +392,9 @@ def score(docs: DataFrame) -> DataFrame:
                         doc, held, waiting = [], [], 0
             if held:
                 flush(doc, held, sums)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sizes.astype(np.int64)), pa.array(others), pa.array(sums)], ["doc_id", "key", "n_tokens", "others", "log_prob"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sizes.astype(np.int64)), pa.array(sums)], ["doc_id", "row", "n_tokens", "log_prob"])
 
-    scored = rows.select("doc_id", "key", "ids").mapInArrow(lean(run), "doc_id long, key long, n_tokens long, others long, log_prob double")
-    both = scored.join(within_ids(rows, counts, table), "key", "left")
-    # equal rows have one key, under which their words are added up: each has its part
-    log_prob = F.col("log_prob") + F.when(F.col("others") > 0, F.col("within") * F.col("others") / F.col("found")).otherwise(F.lit(0.0))
+    scored = rows.select("doc_id", "row", "ids").mapInArrow(lean(run), "doc_id long, row long, n_tokens long, log_prob double")
+    both = scored.join(within_ids(rows, counts, table), "row", "left")
+    log_prob = F.col("log_prob") + F.coalesce("within", F.lit(0.0))
     return both.select("doc_id", "n_tokens", log_prob.alias("log_prob"), F.when(F.col("n_tokens") > 0, log_prob / F.col("n_tokens")).alias("mean_log_prob"))
