@@ -29,39 +29,53 @@ SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_te
 
 
 def earlier(window: int):
-    """Resolves a piece of open strings: the windows of each that also start in a smaller document."""
+    """Resolves a piece of open strings: the windows of each that also start in a smaller document.
+
+    The window hashes of a whole piece show at once which stretches of which strings can match; only those go, each
+    content once, into the automaton of their anchor, which decides.
+    """
 
     def resolve(rows):
-        kind = anchors.Words()
-        i = 0
-        while i < len(rows):
-            j = i
-            while j < len(rows) and rows[j]["anchor"] == rows[i]["anchor"]:
-                j += 1
-            group, i = rows[i:j], j
-            hashes = [anchors.Rolling(kind.hashes(kind.units(r["content"]))).all(window) for r in group]
-            flat = np.concatenate(hashes)
-            if len(group) < 2 or len(np.unique(flat)) == len(flat):
-                continue  # no window of this anchor comes twice
-            known, at = np.unique(flat, return_inverse=True)
-            owners = np.repeat([r["doc_id"] for r in group], [len(h) for h in hashes])
-            low, high = np.full(len(known), np.iinfo(np.int64).max), np.full(len(known), np.iinfo(np.int64).min)
-            np.minimum.at(low, at, owners)
-            np.maximum.at(high, at, owners)
-            twice = np.split((low < high)[at], np.cumsum([len(h) for h in hashes])[:-1])
-            chosen = [r for r, t in zip(group, twice, strict=True) if t.any()]
-            machine = SuffixAutomaton()
-            for r in chosen:
-                machine.add(r["content"].split(), r["doc_id"])
-            machine.finish()
-            for r in chosen:
+        count = np.array([r["windows"] for r in rows])
+        size = count + window - 1
+        words = anchors.WordPlaces(b" ".join([r["content"] for r in rows]))
+        at = np.arange(count.sum()) + np.repeat(np.arange(len(rows)), count) * (window - 1)  # windows within a string
+        _, known = np.unique(anchors.Rolling(anchors.word_hashes(words)).all(window)[at], return_inverse=True)
+        owner = np.repeat(np.array([r["doc_id"] for r in rows]), count)
+        low, high = np.full(len(at), np.iinfo(np.int64).max), np.full(len(at), np.iinfo(np.int64).min)
+        np.minimum.at(low, known, owner)
+        np.maximum.at(high, known, owner)
+        twice = np.zeros(len(words) + 1, np.int8)
+        twice[at[(low < high)[known]]] = 1
+        edge = np.diff(twice, prepend=np.int8(0))
+        begin, end = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+        row = np.searchsorted(np.cumsum(size), begin, side="right")
+        begun = (begin - (np.cumsum(size) - size)[row]).tolist()
+        group: dict[bytes, list[tuple[int, int]]] = {}
+        anchor = None
+        for i, b, s, e in zip(row.tolist(), begun, begin.tolist(), end.tolist(), strict=True):
+            if rows[i]["anchor"] != anchor:
+                yield from matched(group)
+                group, anchor = {}, rows[i]["anchor"]
+            group.setdefault(words.words(s, e + window - 1), []).append((rows[i]["doc_id"], rows[i]["start"] + b))
+        yield from matched(group)
+
+    def matched(group: dict[bytes, list[tuple[int, int]]]):
+        """Spans of the contents of one anchor, each with the (document, start) that have it."""
+        machine = SuffixAutomaton()
+        for content, places in group.items():
+            machine.add(content.split(), min(places)[0])
+        machine.finish()
+        for content, places in group.items():
+            least = list(machine.statistics(content.split(), window))[window - 1 :]
+            for doc, start in places:
                 begun = None
-                found = [o is not None and o < r["doc_id"] for o in machine.statistics(r["content"].split(), window)]
-                for end, hit in enumerate([*found, False]):
+                for i, o in enumerate([*least, None]):
+                    hit = o is not None and o < doc
                     if hit and begun is None:
-                        begun = end - window + 1
+                        begun = i
                     elif not hit and begun is not None:
-                        yield r["doc_id"], r["start"] + begun, r["start"] + end
+                        yield doc, start + begun, start + i + window - 1
                         begun = None
 
     return resolve
