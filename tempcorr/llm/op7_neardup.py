@@ -54,6 +54,8 @@ MOST_DIFFERENT = most_different(SIMILAR)
 BLOCK, SETS_BLOCK, SETS_BYTES = 1024, 256, 4 << 20
 #: Members of a bucket of several groups whose pairs are made as rows; a larger bucket goes in tiles.
 SMALL = 128
+#: Bits of a filter for each id, bits that stand for an id, and bits at most (8 MB).
+FILTER_BITS, FILTER_PLACES, FILTER_MOST = 16, 4, 1 << 26
 LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 FACTORS = mix(np.arange(1, SYMBOLS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 SETS = "doc_id long, text_key long, n_shingles long, s1 long, s2 long, signature binary"
@@ -139,14 +141,58 @@ def near(pairs: DataFrame, classes: DataFrame, similar: int) -> DataFrame:
     return both.select("a", "b", "siga", "sigb").mapInArrow(lean(run), "a long, b long")
 
 
+def filter_places(ids: np.ndarray, bits: int) -> list[np.ndarray]:
+    """The bits, of a power of two, that stand for each id."""
+    return [mix(ids.view(np.uint64) * FACTORS[j] + FACTORS[j + 1]) & np.uint64(bits - 1) for j in range(FILTER_PLACES)]
+
+
+def id_filter(ids: DataFrame) -> np.ndarray:
+    """64-bit words of a filter that each of the (doc_id) passes, and few others; its size is bounded, and a fuller one lets more pass."""
+    bits = 64
+    while bits < min(FILTER_MOST, FILTER_BITS * ids.count()):
+        bits *= 2
+
+    def run(batches):
+        for b in batches:
+            at = np.concatenate(filter_places(b.column(0).to_numpy(), bits))
+            yield pa.RecordBatch.from_arrays([pa.array((at >> np.uint64(6)).view(np.int64)), pa.array((np.uint64(1) << (at & np.uint64(63))).view(np.int64))], ["word", "mask"])
+
+    found = ids.mapInArrow(lean(run), "word long, mask long").groupBy("word").agg(F.bit_or("mask").alias("mask")).toArrow()
+    words = np.zeros(bits // 64, np.uint64)
+    words[found.column("word").to_numpy()] = found.column("mask").to_numpy().view(np.uint64)
+    return words
+
+
+def passing(ids: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """Which of the ids pass a filter."""
+    out = np.ones(len(ids), bool)
+    for at in filter_places(ids, len(words) * 64):
+        out &= (words[at >> np.uint64(6)] >> (at & np.uint64(63))) & np.uint64(1) > 0
+    return out
+
+
+def passed(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The documents that an id_filter of the given ids lets pass: all of those ids, and few others."""
+    words = id_filter(ids)
+
+    def run(batches):
+        for b in batches:
+            yield b.filter(pa.array(passing(b.column(0).to_numpy(), words)))
+
+    return docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(lean(run), "doc_id long, text string")
+
+
 def full_sets(docs: DataFrame, ids: DataFrame, size: int, name: str) -> DataFrame:
-    """(doc_id, items): the full sets of the given documents, made anew from their texts."""
+    """(doc_id, items): the full sets of the given documents, made anew from their texts; no other text is shuffled but what passes the filter."""
 
     def sets(batches):
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingles(unpacked(t), size).tobytes() if t is not None else b"" for t in b.column(1).to_pylist()], pa.binary())], ["doc_id", "items"])
 
-    return written(zipped(docs).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(lean(sets), "doc_id long, items binary"), f"{name}-sets")
+    ids = written(ids, f"{name}-ids")
+    out = written(zipped(passed(docs, ids)).join(ids, "doc_id").dropDuplicates(["doc_id"]).mapInArrow(lean(sets), "doc_id long, items binary"), f"{name}-sets")
+    dropped(ids)
+    return out
 
 
 def confirmed(pairs: DataFrame, items: DataFrame, similar: int, name: str) -> DataFrame:
