@@ -19,6 +19,21 @@ def _windows(words: str, key: str, size: int) -> str:
     return f"SELECT {key}, i, word, string_agg(word, ' ') OVER f AS win, count(*) OVER f AS n FROM {words} WINDOW f AS (PARTITION BY {key} ORDER BY i ROWS BETWEEN CURRENT ROW AND {size - 1} FOLLOWING)"
 
 
+#: Every string of 400 bytes as 800 hex digits, texts cut into blocks first, since a substring is found from the text's begin.
+SUFFIX = """
+WITH d AS MATERIALIZED (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS x, strlen(coalesce(text, '')) AS n FROM documents),
+b AS (SELECT r, j, substr(x, 2 * j + 1, 2 * (256 + 399)) AS y, least(256, n - 399 - j) AS m FROM (SELECT r, x, n, unnest(range(0, n - 399, 256)) AS j FROM d)),
+g AS MATERIALIZED (SELECT r, j + i AS i, md5(substr(y, 2 * i + 1, 800)) AS win FROM (SELECT r, j, y, unnest(range(m)) AS i FROM b)),
+h AS (SELECT r, i FROM g SEMI JOIN (SELECT win FROM g GROUP BY win HAVING count(*) > 1) USING (win)),
+s AS (SELECT r, i, CASE WHEN i - lag(i) OVER (PARTITION BY r ORDER BY i) <= 400 THEN 0 ELSE 1 END AS new FROM h),
+p AS (SELECT r, min(i) AS a, max(i) + 400 AS z FROM (SELECT r, i, sum(new) OVER (PARTITION BY r ORDER BY i) AS span FROM s) GROUP BY r, span),
+c AS (SELECT r, a, z FROM p UNION ALL SELECT r, n, n FROM d),
+k AS (SELECT r, a, z, coalesce(lag(z) OVER (PARTITION BY r ORDER BY a, z), 0) AS kept FROM c)
+SELECT doc_id, n AS n_bytes, sum(z - a)::BIGINT AS n_removed, count(*) FILTER (z > a) AS n_spans,
+    sha256(unhex(string_agg(substr(x, 2 * kept + 1, 2 * (a - kept)), '' ORDER BY a, z))) AS kept_sha256
+FROM k JOIN d USING (r) GROUP BY r, doc_id, n
+"""
+
 SUBSTRING = f"""
 WITH w AS ({_words("documents", "doc_id", "coalesce(text, '')", WORD)}),
 g AS ({_windows("w", "doc_id", 13)}),
@@ -115,4 +130,4 @@ SELECT page_id, payload_bytes::BIGINT AS payload_bytes, payload_digest,
 FROM k
 """
 
-ORACLES = {"op4_substring_dedup": SUBSTRING, "op5_warc": WARC, "op6_quality": QUALITY, "op7_neardup": NEARDUP, "op9_decontamination": DECONTAMINATION}
+ORACLES = {"op3_suffix_dedup": SUFFIX, "op4_substring_dedup": SUBSTRING, "op5_warc": WARC, "op6_quality": QUALITY, "op7_neardup": NEARDUP, "op9_decontamination": DECONTAMINATION}
